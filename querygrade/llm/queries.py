@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from .simhash import op4_simhash_near_dedup
 from .substring_dedup import op1_substring_dedup
 
-QUERIES = {"op1_substring_dedup": op1_substring_dedup}
+QUERIES = {
+    "op1_substring_dedup": op1_substring_dedup,
+    "op4_simhash_near_dedup": op4_simhash_near_dedup,
+}
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
 SQL: dict[str, str] = {}
