@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+from . import exact_dedup
+from .exact_dedup import op10_exact_dedup
 from .simhash import op4_simhash_near_dedup
 from .substring_dedup import op1_substring_dedup
 
 QUERIES = {
     "op1_substring_dedup": op1_substring_dedup,
+    "op10_exact_dedup": op10_exact_dedup,
     "op4_simhash_near_dedup": op4_simhash_near_dedup,
 }
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {"op10_exact_dedup": exact_dedup.SQL}
