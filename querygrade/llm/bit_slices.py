@@ -106,6 +106,8 @@ def small_groups_links(prints: np.ndarray, starts: np.ndarray, sizes: np.ndarray
         hit = near_lanes(planes[:, live], lanes[live, j], radius)
         later = hit[:, 0] & valid[live] & ~((np.uint64(2) << np.uint64(j)) - np.uint64(1))
         some = np.flatnonzero(later)
+        if not len(some):
+            continue
         row, lane = np.nonzero(lanes_to_bool(later[some][:, None], 64))
         left.append(starts[live[some[row]]] + j)
         right.append(starts[live[some[row]]] + lane)
