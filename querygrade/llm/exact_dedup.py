@@ -29,7 +29,12 @@ from pyspark.sql import functions as F
 
 from .common import ASCII_SPACE, fresh_path, stored, table, texts_as_bytes
 
-STATE_STORE = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+#: Session settings of the stream: state on local disk, small files where many state partitions hold little.
+STATE_SETTINGS = {
+    "spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider",
+    "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false",
+    "spark.sql.streaming.stateStore.rocksdb.changelogCheckpointing.enabled": "true",
+}
 SIGNATURE = "doc_id long, digest binary, n_points long, at string, row long"
 
 
@@ -72,9 +77,9 @@ def dedup_stream(spark: SparkSession, signature_path: str, files_per_trigger: in
     call with the same ``state_dir`` would go on from it; queries use a fresh one.
     """
     sink, state = fresh_path(spark, "dedup-changes"), fresh_path(spark, "dedup-state")
-    key = "spark.sql.streaming.stateStore.providerClass"
-    before = spark.conf.get(key)
-    spark.conf.set(key, STATE_STORE)
+    before = {key: spark.conf.get(key, None) for key in STATE_SETTINGS}
+    for key, value in STATE_SETTINGS.items():
+        spark.conf.set(key, value)
     try:
         stream = spark.readStream.schema(SIGNATURE).option("maxFilesPerTrigger", files_per_trigger).parquet(signature_path)
         held = stream.groupBy("digest").agg(F.count(F.lit(1)).alias("group_size"), _best().alias("best"))
@@ -86,7 +91,8 @@ def dedup_stream(spark: SparkSession, signature_path: str, files_per_trigger: in
         query.awaitTermination()
         n_batches = len(query.recentProgress)
     finally:
-        spark.conf.set(key, before)
+        for key, value in before.items():
+            spark.conf.unset(key) if value is None else spark.conf.set(key, value)
     shape = "digest binary, group_size long, best struct<n_points:long,named:boolean,minus_id:long,minus_row:long,at:string>, batch long"
     fs = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(sink)
     if not fs.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(fs):
