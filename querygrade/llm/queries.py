@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from . import exact_dedup
 from .exact_dedup import op10_exact_dedup
+from .packing import op5_best_fit_packing
 from .simhash import op4_simhash_near_dedup
 from .substring_dedup import op1_substring_dedup
 
@@ -11,6 +12,7 @@ QUERIES = {
     "op1_substring_dedup": op1_substring_dedup,
     "op10_exact_dedup": op10_exact_dedup,
     "op4_simhash_near_dedup": op4_simhash_near_dedup,
+    "op5_best_fit_packing": op5_best_fit_packing,
 }
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
