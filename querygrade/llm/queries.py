@@ -7,12 +7,14 @@ from .exact_dedup import op10_exact_dedup
 from .packing import op5_best_fit_packing
 from .simhash import op4_simhash_near_dedup
 from .substring_dedup import op1_substring_dedup
+from .toxicity import op7_toxicity
 
 QUERIES = {
     "op1_substring_dedup": op1_substring_dedup,
     "op10_exact_dedup": op10_exact_dedup,
     "op4_simhash_near_dedup": op4_simhash_near_dedup,
     "op5_best_fit_packing": op5_best_fit_packing,
+    "op7_toxicity": op7_toxicity,
 }
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
