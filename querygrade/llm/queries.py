@@ -5,6 +5,7 @@ from __future__ import annotations
 from . import exact_dedup
 from .exact_dedup import op10_exact_dedup
 from .packing import op5_best_fit_packing
+from .pii import op3_pii_surrogates
 from .simhash import op4_simhash_near_dedup
 from .substring_dedup import op1_substring_dedup
 from .toxicity import op7_toxicity
@@ -12,6 +13,7 @@ from .toxicity import op7_toxicity
 QUERIES = {
     "op1_substring_dedup": op1_substring_dedup,
     "op10_exact_dedup": op10_exact_dedup,
+    "op3_pii_surrogates": op3_pii_surrogates,
     "op4_simhash_near_dedup": op4_simhash_near_dedup,
     "op5_best_fit_packing": op5_best_fit_packing,
     "op7_toxicity": op7_toxicity,
