@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from . import exact_dedup
+from . import chat_trees, exact_dedup
+from .chat_trees import op8_chat_formatting
 from .exact_dedup import op10_exact_dedup
 from .packing import op5_best_fit_packing
 from .pii import op3_pii_surrogates
@@ -17,7 +18,8 @@ QUERIES = {
     "op4_simhash_near_dedup": op4_simhash_near_dedup,
     "op5_best_fit_packing": op5_best_fit_packing,
     "op7_toxicity": op7_toxicity,
+    "op8_chat_formatting": op8_chat_formatting,
 }
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
-SQL: dict[str, str] = {"op10_exact_dedup": exact_dedup.SQL}
+SQL: dict[str, str] = {"op10_exact_dedup": exact_dedup.SQL, "op8_chat_formatting": chat_trees.SQL}
