@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from . import chat_trees, exact_dedup
+from . import ball_tree, chat_trees, exact_dedup
+from .ball_tree import op2_exact_top_k
 from .chat_trees import op8_chat_formatting
 from .exact_dedup import op10_exact_dedup
 from .packing import op5_best_fit_packing
@@ -14,6 +15,7 @@ from .toxicity import op7_toxicity
 QUERIES = {
     "op1_substring_dedup": op1_substring_dedup,
     "op10_exact_dedup": op10_exact_dedup,
+    "op2_exact_top_k": op2_exact_top_k,
     "op3_pii_surrogates": op3_pii_surrogates,
     "op4_simhash_near_dedup": op4_simhash_near_dedup,
     "op5_best_fit_packing": op5_best_fit_packing,
@@ -22,4 +24,4 @@ QUERIES = {
 }
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
-SQL: dict[str, str] = {"op10_exact_dedup": exact_dedup.SQL, "op8_chat_formatting": chat_trees.SQL}
+SQL: dict[str, str] = {"op2_exact_top_k": ball_tree.SQL, "op10_exact_dedup": exact_dedup.SQL, "op8_chat_formatting": chat_trees.SQL}
