@@ -8,6 +8,7 @@ from .chat_trees import op8_chat_formatting
 from .exact_dedup import op10_exact_dedup
 from .packing import op5_best_fit_packing
 from .pii import op3_pii_surrogates
+from .sentence_pieces import op9_sentence_pieces
 from .simhash import op4_simhash_near_dedup
 from .substring_dedup import op1_substring_dedup
 from .toxicity import op7_toxicity
@@ -21,6 +22,7 @@ QUERIES = {
     "op5_best_fit_packing": op5_best_fit_packing,
     "op7_toxicity": op7_toxicity,
     "op8_chat_formatting": op8_chat_formatting,
+    "op9_sentence_pieces": op9_sentence_pieces,
 }
 
 #: DuckDB twins, for the operators that SQL can express on whole tables.
