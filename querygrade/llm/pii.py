@@ -34,7 +34,7 @@ MAX_ATTEMPTS = 40
 # fixed values: patterns of the kinds, in the order in which they are tried
 _L = r"\p{L}\p{M}"
 PATTERNS = {
-    "email": rf"[{_L}\p{{N}}._%+\-]*[{_L}\p{{N}}_%+\-]@[{_L}\p{{N}}\-]+(?:\.[{_L}\p{{N}}\-]+)*\.[{_L}]{{2,24}}",
+    "email": rf"(?<![{_L}\p{{N}}._%+\-])[{_L}\p{{N}}._%+\-]++@[{_L}\p{{N}}\-]+(?:\.[{_L}\p{{N}}\-]+)*\.[{_L}]{{2,24}}",
     "api_key": r"\b(?:AKIA|ASIA)[0-9A-Z]{16}\b|\b(?:ghp|gho|ghs|glpat|xox[abp]|sk|pk)[_\-][0-9A-Za-z\-_]{16,80}",
     "secret": r"\b(?:[0-9a-f]{32,128}|[0-9A-F]{32,128})\b",
     "iban": r"\b[A-Z]{2}[0-9]{2}(?: ?[0-9A-Z]{4}){3,7}(?: ?[0-9A-Z]{1,3})?\b",
@@ -43,9 +43,11 @@ PATTERNS = {
     "phone": r"(?<![0-9+])\+[0-9]{1,3}[ .\-]?(?:\([0-9]{1,4}\)[ .\-]?)?[0-9]{2,4}(?:[ .\-]?[0-9]{2,4}){1,4}(?![0-9])|(?<![0-9])\([0-9]{3}\) ?[0-9]{3}[ .\-][0-9]{4}(?![0-9])|(?<![0-9\-.])[0-9]{3}[.\-][0-9]{3}[.\-][0-9]{4}(?![0-9\-.])",
     "ssn": r"(?<![0-9\-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9\-])",
     "card": r"(?<![0-9])[0-9](?:[ \-]?[0-9]){12,18}(?![0-9])",
-    "name": rf"\b(?:Mr|Mrs|Ms|Miss|Sir|Lady|Dr|Prof|Herr|Frau|Monsieur|Madame|Mme|Señor|Señora|Sr|Sra|Г-н|Г-жа)\.? \p{{Lu}}[{_L}'’\-]+(?: \p{{Lu}}[{_L}'’\-]+)?",
+    "name": rf"\b(?=[MSLDPHFГ])(?:Mr|Mrs|Ms|Miss|Sir|Lady|Dr|Prof|Herr|Frau|Monsieur|Madame|Mme|Señor|Señora|Sr|Sra|Г-н|Г-жа)\.? \p{{Lu}}[{_L}'’\-]+(?: \p{{Lu}}[{_L}'’\-]+)?",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
+#: Every text with an entity matches this cheaper pattern.
+HINT = r"@|[0-9][0-9]|[0-9][. \-:][0-9]|[0-9A-Fa-f]:[0-9A-Fa-f]|[0-9A-Fa-f]{32}|\b(?:AKIA|ASIA)[0-9A-Z]|\b(?:ghp|gho|ghs|glpat|xox[abp]|sk|pk)[_\-]|\b(?=[MSLDPHFГ])(?:Mrs?|Ms|Miss|Sir|Lady|Dr|Prof|Herr|Frau|Monsieur|Madame|Mme|Señora?|Sra?|Г-н|Г-жа)\.? \p{Lu}"
 MALE = r"^(Mr|Sir|Herr|Monsieur|Señor|Sr|Г-н)\b"
 FEMALE = r"^(Mrs|Ms|Miss|Lady|Frau|Madame|Mme|Señora|Sra|Г-жа)\b"
 # fixed values: given names by gender, and letters of each script that the sixteen hex digits stand for
@@ -113,33 +115,36 @@ def _syllables(stream: Column, n: int) -> Column:
     return F.initcap(F.concat(*parts))
 
 
-def surrogate(kind: Column, canonical: Column, attempt: Column, key: str = KEY) -> Column:
-    """The surrogate of a canonical form at an attempt."""
-    stream = _digest(kind, canonical, attempt, key)
-    local, domain = F.split_part(canonical, F.lit("@"), F.lit(1)), F.split_part(canonical, F.lit("@"), F.lit(2))
+def with_surrogates(parts: DataFrame, key: str = KEY) -> DataFrame:
+    """``parts(kind, canonical, attempt)`` with their surrogates; built in columns that each are computed once."""
+    kind, canonical, attempt, stream, filled = (F.col(c) for c in ("kind", "canonical", "attempt", "stream", "filled"))
+    named = kind.isin("surname", *GIVEN)
+    phone_at = F.instr(canonical, "|")
+    keep = F.when(kind == "card", 1).when(kind == "iban", 2).when(kind == "api_key", 4).when(kind == "phone", phone_at).otherwise(0)
+    form = F.when(kind == "email", F.split_part(canonical, F.lit("@"), F.lit(1))).otherwise(canonical)
+    domain = F.split_part(canonical, F.lit("@"), F.lit(2))
     host, tld = F.regexp_extract(domain, r"^(.*)(\.[^.]+)$", 1), F.regexp_extract(domain, r"^(.*)(\.[^.]+)$", 2)
-    mail = F.concat(_filled(local, stream, F.lit(0)), F.lit("@"), _filled(host, _digest(F.lit("domain"), domain, F.lit(0), key), F.lit(0)), tld)
     octets = F.concat_ws(".", *[(F.conv(F.substring(stream, 1 + 4 * k, 4), 16, 10).cast("int") % 254 + 1).cast("string") for k in range(4)])
-    number = _filled(canonical, stream, F.lit(1))
-    # the last digit makes a card valid that was valid
-    body = F.regexp_replace(number, ".$", "")
-    card = F.when(_luhn(canonical) == 0, F.concat(body, ((F.lit(10) - _luhn(F.concat(body, F.lit("0")))) % 10).cast("string"))).otherwise(number)
-    hexed = F.rpad(F.concat(stream, F.sha2(stream, 256)), 128, "0")
-    secret = F.substring(hexed, F.lit(1), F.length(canonical))
-    out = _filled(canonical, stream, F.lit(0))
-    out = F.when(kind == "email", mail).when(kind == "ipv4", octets).when(kind == "card", card).when(kind.isin("secret", "ipv6"), secret).otherwise(out)
-    out = F.when(kind == "iban", _filled(canonical, stream, F.lit(2))).when(kind == "api_key", _filled(canonical, stream, F.lit(4))).otherwise(out)
-    # the country code of a phone number was set apart by a bar in its canonical form
-    out = F.when(kind == "phone", F.concat(F.split_part(canonical, F.lit("|"), F.lit(1)), F.lit("|"), _filled(F.split_part(canonical, F.lit("|"), F.lit(2)), stream, F.lit(0)))).otherwise(out)
-    latin = canonical.rlike(r"\p{IsLatin}")
+    hexed = F.substring(F.rpad(F.concat(stream, F.sha2(stream, 256)), 128, "0"), F.lit(1), F.length(canonical))
     pick = F.conv(F.substring(stream, 1, 4), 16, 10).cast("int") % 16 + 1
-    for given, names in GIVEN.items():
-        listed = F.element_at(F.array(*map(F.lit, names)), pick)
-        out = F.when((kind == given) & latin, F.when(attempt < 3, listed).otherwise(_syllables(stream, 3))).otherwise(out)
-    out = F.when((kind == "surname") & latin, _syllables(stream, 4)).when(kind.isin("surname", *GIVEN) & ~latin, F.initcap(_filled(canonical, stream, F.lit(0)))).otherwise(out)
-    suffix = F.translate(F.substring(stream, 33, 6), HEX, "0123456789371950")
-    wide = F.when(kind == "email", F.concat(F.split_part(out, F.lit("@"), F.lit(1)), suffix, F.lit("@"), F.split_part(out, F.lit("@"), F.lit(2)))).when(kind.isin("surname", *GIVEN), F.concat(out, _syllables(stream, 2))).otherwise(out)
-    return F.when(attempt >= WIDEN, wide).otherwise(out)
+    given = F.lit(None).cast("string")
+    for who, names in GIVEN.items():
+        given = F.when(kind == who, F.element_at(F.array(*map(F.lit, names)), pick)).otherwise(given)
+    body = F.regexp_replace(filled, ".$", "")
+    card = F.when(_luhn(canonical) == 0, F.concat(body, ((F.lit(10) - _luhn(F.concat(body, F.lit("0")))) % 10).cast("string"))).otherwise(filled)
+    latin = canonical.rlike(r"\p{IsLatin}")
+    spoken = F.when(kind == "surname", _syllables(stream, 4)).when(attempt < 3, given).otherwise(_syllables(stream, 3))
+    plain = F.when(kind == "ipv4", octets).when(kind.isin("secret", "ipv6"), hexed).when(kind == "card", card).when(named & latin, spoken).when(named, F.initcap(filled)).otherwise(filled)
+    suffix = F.when(attempt >= WIDEN, F.when(named, _syllables(stream, 2)).otherwise(F.translate(F.substring(stream, 33, 6), HEX, "0123456789371950"))).otherwise("")
+    out = F.when(kind == "email", F.concat(F.col("plain"), suffix, F.lit("@"), F.col("host"), F.col("tld"))).when(named, F.concat(F.col("plain"), suffix)).otherwise(F.col("plain"))
+    return (
+        parts.withColumn("stream", _digest(kind, canonical, attempt, key))
+        .withColumn("filled", F.when(kind.isin("secret", "ipv4", "ipv6"), canonical).otherwise(_filled(form, stream, keep)))
+        .withColumn("host", F.when(kind == "email", _filled(host, _digest(F.lit("domain"), domain, F.lit(0), key), F.lit(0))))
+        .withColumns({"tld": tld, "plain": plain})
+        .withColumn("surrogate", out)
+        .select("kind", "canonical", "attempt", "surrogate")
+    )
 
 
 def parts_of(entity: Column, kind: Column) -> Column:
@@ -180,19 +185,26 @@ def assembled(entity: Column, kind: Column, given: Column, last: Column) -> Colu
     return F.when(kind == "name", name).when(kind == "email", mail).when(kind.isin("ipv4", "api_key"), last).otherwise(laid)
 
 
+def _dealt(df: DataFrame, *keys: str) -> DataFrame:
+    """Few bytes but much work for each row: keep as many tasks as the session's shuffles have."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys)
+
+
 def distinct_surrogates(parts: DataFrame, key: str = KEY) -> DataFrame:
     """kind, canonical, surrogate for distinct ``parts(kind, canonical)``; surrogates of a kind are distinct and new."""
     chain = StoredChain(parts.sparkSession, "surrogates")
-    now = chain.put(parts.select("kind", "canonical", F.lit(0).alias("attempt")).withColumn("surrogate", surrogate(F.col("kind"), F.col("canonical"), F.col("attempt"), key)))
+    now = chain.put(with_surrogates(_dealt(parts, "kind", "canonical").select("kind", "canonical", F.lit(0).alias("attempt")), key))
     for _ in range(MAX_ATTEMPTS):
-        shared = now.groupBy("kind", F.lower("surrogate").alias("low")).agg(F.count(F.lit(1)).alias("n"), F.min(F.struct((-F.col("attempt")).alias("settled"), "canonical")).getField("canonical").alias("holder")).where("n > 1").select("kind", "low", "holder")
+        low = F.lower("surrogate").alias("low")
+        held = now.groupBy("kind", low).agg(F.count(F.lit(1)).alias("n"), F.min(F.struct((-F.col("attempt")).alias("settled"), "canonical")).getField("canonical").alias("holder")).where("n > 1").select("kind", "low", "holder")
         taken = now.select("kind", F.col("canonical").alias("low"), F.lit(True).alias("real"))
-        marked = now.withColumn("low", F.lower("surrogate")).join(shared, ["kind", "low"], "left").join(taken, ["kind", "low"], "left")
+        marked = now.withColumn("low", F.lower("surrogate")).join(held, ["kind", "low"], "left").join(taken, ["kind", "low"], "left")
         again = F.col("real").isNotNull() | (F.col("holder").isNotNull() & (F.col("holder") != F.col("canonical")))
         marked = stored(marked.select("kind", "canonical", "attempt", "surrogate", again.alias("again")), "surrogate-check")
         if marked.where("again").isEmpty():
             break
-        now = chain.put(marked.withColumn("attempt", F.col("attempt") + F.col("again").cast("int")).withColumn("surrogate", F.when(F.col("again"), surrogate(F.col("kind"), F.col("canonical"), F.col("attempt"), key)).otherwise(F.col("surrogate"))).select("kind", "canonical", "attempt", "surrogate"))
+        anew = with_surrogates(marked.where("again").select("kind", "canonical", (F.col("attempt") + 1).alias("attempt")), key)
+        now = chain.put(marked.where(~F.col("again")).drop("again").unionByName(anew))
     else:
         raise RuntimeError("surrogates of some kind are exhausted")
     return now.select("kind", "canonical", "surrogate")
@@ -200,27 +212,26 @@ def distinct_surrogates(parts: DataFrame, key: str = KEY) -> DataFrame:
 
 def surrogate_table(docs: DataFrame, key: str = KEY) -> tuple[DataFrame, DataFrame]:
     """(places(text_key, pos, entity), names(entity, kind, surrogate)) of all texts."""
-    found = docs.select(F.md5(F.col("text").cast("binary")).alias("text_key"), entities(F.col("text")).alias("e")).where(F.size("e") > 0)
+    found = docs.where(F.col("text").rlike(HINT)).select(F.md5(F.col("text").cast("binary")).alias("text_key"), entities(F.col("text")).alias("e"))
     places = stored(found.groupBy("text_key").agg(F.first("e").alias("e")).select("text_key", F.posexplode("e").alias("pos", "entity")), "pii-places")
-    kinds = stored(places.select("entity").distinct().withColumn("kind", kind_of(F.col("entity"))), "pii-entities")
-    parts = stored(kinds.select("entity", F.col("kind").alias("of"), F.posexplode(parts_of(F.col("entity"), F.col("kind"))).alias("part", "p")).select("entity", "of", "part", "p.kind", "p.canonical"), "pii-parts")
+    kinds = _dealt(places.select("entity").distinct(), "entity").withColumn("of", kind_of(F.col("entity")))
+    parts = stored(kinds.withColumn("parts", parts_of(F.col("entity"), F.col("of"))).select("entity", "of", F.posexplode("parts").alias("part", "p")).select("entity", "of", "part", "p.kind", "p.canonical"), "pii-parts")
     chosen = distinct_surrogates(parts.select("kind", "canonical").distinct(), key)
     whole = parts.join(chosen, ["kind", "canonical"]).groupBy("entity", "of").agg(F.max(F.when(F.col("kind").startswith("given"), F.col("surrogate"))).alias("given"), F.max(F.when(~F.col("kind").startswith("given"), F.col("surrogate"))).alias("last"))
-    return places, stored(whole.select("entity", F.col("of").alias("kind"), assembled(F.col("entity"), F.col("of"), F.col("given"), F.col("last")).alias("surrogate")), "pii-surrogates")
+    return places, stored(_dealt(whole, "entity").select("entity", F.col("of").alias("kind"), assembled(F.col("entity"), F.col("of"), F.col("given"), F.col("last")).alias("surrogate")), "pii-surrogates")
 
 
 def pseudonymize(docs: DataFrame, key: str = KEY) -> DataFrame:
     """``docs`` with surrogates in ``text``, and a last column ``n_entities``."""
     places, names = surrogate_table(docs, key)
-    filled = places.join(names, "entity").groupBy("text_key").agg(F.sort_array(F.collect_list(F.struct("pos", "surrogate"))).alias("put"))
+    filled = places.join(names, "entity").groupBy("text_key").agg(F.sort_array(F.collect_list(F.struct("pos", "surrogate"))).alias("__put")).withColumnRenamed("text_key", "__text_key")
     columns = docs.columns
-    has = F.coalesce(F.col("text").rlike(ANY), F.lit(False))
-    keyed = docs.where(has).withColumn("__text_key", F.md5(F.col("text").cast("binary")))
-    met = keyed.join(filled.withColumnsRenamed({"text_key": "__text_key", "put": "__put"}), "__text_key")
-    between = F.split(F.col("text"), ANY, -1)
-    woven = F.zip_with(between, F.col("__put.surrogate"), lambda gap, s: F.concat(gap, F.coalesce(s, F.lit(""))))
-    changed = met.withColumn("n_entities", F.size("__put").cast("long")).withColumn("text", F.array_join(woven, ""))
-    return changed.select(*columns, "n_entities").unionByName(docs.where(~has).withColumn("n_entities", F.lit(0).cast("long")))
+    hinted = F.coalesce(F.col("text").rlike(HINT), F.lit(False))
+    met = docs.where(hinted).withColumn("__text_key", F.md5(F.col("text").cast("binary"))).join(filled, "__text_key", "left")
+    woven = F.zip_with(F.split(F.col("text"), ANY, -1), F.col("__put.surrogate"), lambda gap, s: F.concat(gap, F.coalesce(s, F.lit(""))))
+    changed = met.withColumn("text", F.when(F.col("__put").isNull(), F.col("text")).otherwise(F.array_join(woven, "")))
+    changed = changed.withColumn("n_entities", F.when(F.col("__put").isNull(), 0).otherwise(F.size("__put")).cast("long"))
+    return changed.select(*columns, "n_entities").unionByName(docs.where(~hinted).withColumn("n_entities", F.lit(0).cast("long")))
 
 
 def op3_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
