@@ -62,7 +62,7 @@ def on_files(docs: DataFrame) -> DataFrame:
         located(docs)
         return docs
     except AnalysisException:
-        return stored(docs.select("doc_id", "text"), "documents")
+        return stored(docs, "documents")
 
 
 def _best():
@@ -142,6 +142,14 @@ def exact_dedup(docs: DataFrame, digest_bytes: int = 32, files_per_trigger: int
     )
 
 
+def without_copies(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that stay, all columns as they are."""
+    docs = on_files(docs)
+    kept = exact_dedup(docs).where("kept").select(F.col("at").alias("__at"), F.col("row").alias("__row"))
+    placed = docs.withColumns({"__at": F.col("_metadata.file_path"), "__row": F.col("_metadata.row_index")})
+    return placed.join(kept, ["__at", "__row"], "left_semi").select(*docs.columns)
+
+
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = exact_dedup(table(spark, sf_dir, "documents"))
     return out.select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
