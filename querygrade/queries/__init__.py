@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from importlib import import_module
 
-MODULES = ("grading", "ranking", "profiles")
+MODULES = ("grading", "ranking", "profiles", "statements", "spatial")
 
 QUERIES: dict[str, Callable] = {}
 SQL: dict[str, str] = {}

@@ -35,7 +35,10 @@ def long_table(spark, sf):
     return r.long_metrics(metric_table(spark, sf), METRICS)
 
 
-_FAMILY = F.regexp_extract("metric", "^([a-z]+)_", 1)
+def _family():
+    return F.regexp_extract("metric", "^([a-z]+)_", 1)
+
+
 _LONG = (
     "WITH q AS (SELECT model_id, family, qid, variant, max(correct) AS f5 FROM attempts WHERE family <> 'concept' GROUP BY 1, 2, 3, 4), long AS ("
     + " UNION ALL ".join(f"SELECT model_id, 'concept_{s}' AS metric, avg(CAST(answer = truth AS INTEGER)) AS value FROM attempts WHERE family = 'concept' AND subtask = '{s}' GROUP BY 1" for s in SUBTASKS)
@@ -71,12 +74,12 @@ _ROUNDED = ", ".join(f"round({d}, 6) AS {d}" for d in DIMENSIONS)
 
 @query("overall_rank", with_ctes(_STAGES + f" SELECT model_id, {_ROUNDED}, CAST(rank() OVER (ORDER BY round(overall, 9) DESC) AS INTEGER) AS rank_overall FROM board"))
 def overall_rank(spark, sf):
-    return rounded(r.ranks(r.two_stage_rank(long_table(spark, sf), _FAMILY), ["overall"]), *DIMENSIONS)
+    return rounded(r.ranks(r.two_stage_rank(long_table(spark, sf), _family()), ["overall"]), *DIMENSIONS)
 
 
 @query("rank_heatmap", with_ctes(_STAGES + " SELECT model_id, " + ", ".join(f"CAST(rank() OVER (ORDER BY round({d}, 9) DESC) AS INTEGER) AS rank_{d}" for d in DIMENSIONS) + " FROM board"))
 def rank_heatmap(spark, sf):
-    return r.ranks(r.two_stage_rank(long_table(spark, sf), _FAMILY), DIMENSIONS).select("model_id", *[f"rank_{d}" for d in DIMENSIONS])
+    return r.ranks(r.two_stage_rank(long_table(spark, sf), _family()), DIMENSIONS).select("model_id", *[f"rank_{d}" for d in DIMENSIONS])
 
 
 _BOARD_LONG = _STAGES + ", bl AS (" + " UNION ALL ".join(f"SELECT model_id, '{d}' AS metric, {d} AS value FROM board" for d in DIMENSIONS) + ")"
@@ -84,12 +87,12 @@ _BOARD_LONG = _STAGES + ", bl AS (" + " UNION ALL ".join(f"SELECT model_id, '{d}
 
 @query("score_distribution", with_ctes(_BOARD_LONG + ", c AS (SELECT *, value - avg(value) OVER (PARTITION BY metric) AS dev FROM bl) SELECT metric, round(avg(value), 6) AS mean, round(sqrt(avg(dev^2)), 6) AS sd, round(avg(dev^3) / sqrt(avg(dev^2))^3, 6) AS skew FROM c GROUP BY 1"))
 def score_distribution(spark, sf):
-    return rounded(r.score_distribution(r.long_metrics(r.two_stage_rank(long_table(spark, sf), _FAMILY), DIMENSIONS)), "mean", "sd", "skew")
+    return rounded(r.score_distribution(r.long_metrics(r.two_stage_rank(long_table(spark, sf), _family()), DIMENSIONS)), "mean", "sd", "skew")
 
 
 @query("score_histogram", with_ctes(_BOARD_LONG + " SELECT metric, CAST(least(9, floor(round(value, 9) * 10)) AS INTEGER) AS bin, count(*) AS n FROM bl GROUP BY 1, 2"))
 def score_histogram(spark, sf):
-    long = r.long_metrics(r.two_stage_rank(long_table(spark, sf), _FAMILY), DIMENSIONS)
+    long = r.long_metrics(r.two_stage_rank(long_table(spark, sf), _family()), DIMENSIONS)
     return r.score_histogram(long.withColumn("value", F.round("value", 9)))
 
 
@@ -97,7 +100,7 @@ def score_histogram(spark, sf):
 def baseline_rank_distance(spark, sf):
     long = long_table(spark, sf)
     plain = long.groupBy("model_id").agg(F.round(F.avg("value"), 9).alias("plain"))
-    board = r.two_stage_rank(long, _FAMILY).join(plain, "model_id").withColumns({"overall": F.round("overall", 9), "equal": F.round((F.col("concept") + F.col("syntax") + F.col("schema")) / 3, 9)})
+    board = r.two_stage_rank(long, _family()).join(plain, "model_id").withColumns({"overall": F.round("overall", 9), "equal": F.round((F.col("concept") + F.col("syntax") + F.col("schema")) / 3, 9)})
     both = [r.kendall_tau(board, "overall", b).withColumn("baseline", F.lit(n)) for n, b in (("unweighted", "plain"), ("equal_families", "equal"))]
     return rounded(both[0].unionByName(both[1]), "tau")
 
