@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from importlib import import_module
 
-MODULES = ("grading", "ranking", "profiles", "bank", "statements", "spatial")
+MODULES = ("grading", "ranking", "profiles", "bank", "statements", "spatial", "relational", "streams")
 
 QUERIES: dict[str, Callable] = {}
 SQL: dict[str, str] = {}
