@@ -202,8 +202,10 @@ def word_counts(docs: DataFrame) -> DataFrame:
 
 def head_codes(docs: DataFrame, pieces: PieceTable, method: str = "merge", head: int = HEAD) -> dict[str, bytes]:
     """ids (little-endian 32-bit) of the ``head`` most frequent words, by the relational lattice."""
-    top = stored(word_counts(docs).orderBy(F.desc("n"), "word").limit(head).select("word").repartition("word"), "head-words")
-    coded = stored(encode_words(top.repartition("word"), pieces, method).select("word", "cuts", "ids"), "head-codes")
+    top = stored(word_counts(docs).orderBy(F.desc("n"), "word").limit(head).select("word"), "head-words")
+    # few bytes but much work for each word: as many tasks as the session's shuffles have
+    dealt = top.repartition(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), "word")
+    coded = stored(encode_words(dealt, pieces, method).select("word", "cuts", "ids"), "head-codes")
     out = {}
     for r in coded.toLocalIterator():  # head rows
         ids: list[int] = []
