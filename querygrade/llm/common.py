@@ -16,6 +16,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from querygrade.sources.tables import importable
+
 #: ASCII white space of the word pattern ``[^\x20\x09-\x0D]+``; ``bytes.split()`` splits on exactly these.
 ASCII_SPACE = b"\x09\x0a\x0b\x0c\x0d\x20"
 #: The same class for JVM regular expressions.
@@ -25,6 +27,7 @@ _local_scratch: str | None = None
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    importable(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
