@@ -170,7 +170,9 @@ class ClassModel:
         self.counts = stored(word_counts(texts), "word-counts")
         total = self.counts.agg(F.sum("c"), F.count(F.lit(1))).first()
         self.n, self.v = int(total[0] or 0), int(total[1])
-        top = [(bytes(r["word"]), r["c"]) for r in self.counts.orderBy(F.desc("c"), "word").limit(head).collect()]  # head rows
+        listed = self.counts.orderBy(F.desc("c"), "word").limit(head).toArrow()  # head rows
+        top = list(zip(listed.column("word").to_pylist(), listed.column("c").to_pylist(), strict=True))
+        del listed
         ends = sum(c for w, c in top if not w) if any(not w for w, _ in top) else int(self.counts.where(F.length("word") == 0).agg(F.sum("c")).first()[0] or 0)
         words = [(w, c) for w, c in top if w]
         self.known = {w: c for w, c in words} | ({b"": ends} if ends else {})
