@@ -1,12 +1,16 @@
 """One document of each group of near duplicates, by SimHash candidates and exact similarity.
 
 Documents are near duplicates when their sets of five-word shingles have a Jaccard similarity of 0.8 or more;
-groups are the components of that relation, and the smallest id of a group stays.  Documents meet in buckets by
-the least shingle hash of each of ``BINS`` bins (at similarity 0.8 a pair misses all of them with probability
-0.2^8); there the bit-sliced comparison of their fingerprints (``bit_slices``) leaves pairs within ``radius`` bits,
-whose similarity is then computed from the shingle sets.  Buckets over 64 members first give a spanning forest of
-their near pairs; pairs of members that are still in different groups after its verification follow in a second
-round, so dense groups cost few pairs and no pair is left out.
+groups are the components of that relation, and the smallest id of a group stays.  Documents of up to ``SHORT``
+shingles meet by the least shingle hashes of their set, as many as two similar sets cannot both do without; longer ones by
+the least shingle hash of each of ``BINS`` bins (at similarity 0.8 a pair misses all of them with probability 0.2^8 at most);
+lengths in between do both.
+
+Similarity is computed from the shingle sets, and no pair that met is left out of that but for two bounds that hold for
+every similar pair: the sizes of the sets, and the differing bits of their parity sketches (a shingle turns
+one of ``PARITY`` bits, so sets that differ in d shingles differ in d bits at most).  Fingerprints only order
+the work: first each bucket gives a spanning forest of its pairs within ``radius`` bits (bit-sliced,
+``bit_slices``), then all pairs of members that are still in different groups follow, at whatever distance of their fingerprints.
 
 Defined cases: texts without words and rows without id belong to no group; repeated rows of one id are one
 document; extra columns are ignored; an empty table gives no rows.
@@ -14,6 +18,7 @@ document; extra columns are ignored; an empty table gives no rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,11 +26,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bit_slices import bit_planes, forest, lanes_to_bool, near_lanes, small_groups_links
+from .bit_slices import bit_planes, lanes_to_bool, near_lanes, small_groups_links
 from .common import components, stored, texts_as_bytes
 from .simhash import majority_bits, shingle_hashes
 
-WIDTH, SIMILARITY, RADIUS, BINS = 5, 0.8, 18, 8
+WIDTH, SIMILARITY, RADIUS, BINS, SHORT, PARITY = 5, 0.8, 18, 8, 39, 1024
+#: Slot of the least hashes of short documents; bins have slots 0 to BINS - 1.
+PREFIX = BINS
 
 
 def least_by_bin(hashes: np.ndarray, bins: int = BINS) -> np.ndarray:
@@ -35,55 +42,130 @@ def least_by_bin(hashes: np.ndarray, bins: int = BINS) -> np.ndarray:
     return out.view(np.int64)
 
 
-def _sketches(width: int):
+def meeting_keys(hashes: np.ndarray, similarity: float) -> list[tuple[int, int]]:
+    """(slot, part) of a document's distinct hashes in ascending order."""
+    n, out = len(hashes), []
+    if n <= SHORT:
+        out += [(PREFIX, int(x)) for x in hashes[: n - math.ceil(similarity * n - 1e-9) + 1].view(np.int64)]
+    if n >= similarity * SHORT:
+        out += [(k, int(x)) for k, x in enumerate(least_by_bin(hashes)) if x != -1]
+    return out
+
+
+def parity_sketch(hashes: np.ndarray) -> bytes:
+    """Bit k is set where an odd number of the hashes fall on k (by high bits, as bins take the low ones)."""
+    odd = np.bincount((hashes >> np.uint64(40)).astype(np.int64) % PARITY, minlength=PARITY) & 1
+    return np.packbits(odd.astype(np.uint8)).tobytes()
+
+
+def _sketches(width: int, similarity: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, prints, least = [], [], []
+            out = []
             for doc, text in zip(batch.column(0).to_pylist(), texts_as_bytes(batch.column(1)), strict=True):
-                hashes = shingle_hashes(text, width) if doc is not None else ()
+                hashes = np.unique(shingle_hashes(text, width)) if doc is not None else ()
                 if len(hashes):
-                    ids.append(doc)
-                    prints.append(majority_bits(hashes))
-                    least.append([int(x) if x != -1 else None for x in least_by_bin(hashes)])
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(np.array(prints, np.uint64).view(np.int64)), pa.array(least, pa.list_(pa.int64()))], names=["doc_id", "print", "least"])
+                    keys = [{"slot": a, "part": b} for a, b in meeting_keys(hashes, similarity)]
+                    out.append((doc, majority_bits(hashes), len(hashes), parity_sketch(hashes), keys))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 5
+            prints = pa.array(np.array(cols[1], np.uint64).view(np.int64))
+            keys = pa.array(cols[4], pa.list_(pa.struct([("slot", pa.int32()), ("part", pa.int64())])))
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), prints, pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.binary()), keys], names=["doc_id", "print", "size", "parity", "keys"])
 
     return run
 
 
-def _pairs(radius: int, second: bool):
-    """Sorted rows (slot, part, doc_id, print, root) to pairs of documents; second: only across roots, only dense groups."""
+def may_be_similar(sizes: np.ndarray, parity: np.ndarray, a: np.ndarray, b: np.ndarray, similarity: float) -> np.ndarray:
+    """Whether the sets at positions a and b can be similar enough; false only where they cannot."""
+    x, y = sizes[a], sizes[b]
+    out = np.minimum(x, y) + 1e-6 >= similarity * np.maximum(x, y)
+    most = (x + y) * ((1 - similarity) / (1 + similarity)) + 1e-6  # shingles in one of the two sets only
+    at = np.flatnonzero(out)
+    for k in range(0, len(at), 1 << 16):
+        some = at[k : k + (1 << 16)]
+        out[some] = np.bitwise_count(parity[a[some]] ^ parity[b[some]]).sum(axis=1, dtype=np.int64) <= most[some]
+    return out
+
+
+def _forest(prints: np.ndarray, sizes: np.ndarray, parity: np.ndarray, radius: int, similarity: float, step: int = 64) -> tuple[np.ndarray, np.ndarray]:
+    """(child, parent) positions: a spanning forest of the pairs within ``radius`` that may be similar; as ``bit_slices.forest``."""
+    n = len(prints)
+    parent, free, rest = np.full(n, -1), np.ones(n, bool), np.arange(n)
+    planes = bit_planes(prints)
+    for seed in range(n):
+        if not free[seed]:
+            continue
+        free[seed] = False
+        front = [seed]
+        while front and free.any():
+            if free.sum() * 2 < len(rest):
+                rest = np.flatnonzero(free)
+                planes = bit_planes(prints[rest])
+            # one query at first, as most of a dense group hang on it
+            now, front = (np.array(front[:1]), front[1:]) if front[0] == seed else (np.array(front[:step]), front[step:])
+            hit = lanes_to_bool(near_lanes(planes, prints[now], radius), len(rest)) & free[rest][None, :]
+            q, r = np.nonzero(hit)
+            hit[q, r] = may_be_similar(sizes, parity, now[q], rest[r], similarity)
+            got = np.flatnonzero(hit.any(axis=0))
+            parent[rest[got]] = now[hit[:, got].argmax(axis=0)]
+            free[rest[got]] = False
+            front += rest[got].tolist()
+    child = np.flatnonzero(parent >= 0)
+    return child, parent[child]
+
+
+def _group_pairs(starts: np.ndarray, sizes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs of positions (left before right) inside groups, a bounded number at once."""
+    for size in np.unique(sizes):
+        first = starts[sizes == size]
+        if size <= 64:
+            i, j = np.triu_indices(size, 1)
+            some = max(1, (1 << 18) // len(i))
+            for a in range(0, len(first), some):
+                yield (first[a : a + some, None] + i).ravel(), (first[a : a + some, None] + j).ravel()
+            continue
+        step = max(1, (1 << 18) // int(size))
+        for s in first.tolist():
+            for a in range(0, int(size), step):
+                i, j = np.nonzero(np.arange(a, min(a + step, size))[:, None] < np.arange(size)[None, :])
+                yield s + a + i, s + j
+
+
+def _pairs(radius: int, similarity: float, second: bool):
+    """Sorted rows (slot, part, doc_id, print, root, size, parity) to pairs of documents; second: all pairs across roots."""
 
     def of(rows: list[np.ndarray]):
-        slot, part, doc, prints, root = rows
+        slot, part, doc, prints, root, size, parity = rows
         new = np.concatenate([[True], (slot[1:] != slot[:-1]) | (part[1:] != part[:-1])])
         starts = np.flatnonzero(new)
-        sizes = np.diff(np.concatenate([starts, [len(slot)]]))
+        members = np.diff(np.concatenate([starts, [len(slot)]]))
+        if second:
+            mixed = np.minimum.reduceat(root, starts) != np.maximum.reduceat(root, starts)
+            for left, right in _group_pairs(starts[mixed], members[mixed]):
+                apart = root[left] != root[right]
+                left, right = left[apart], right[apart]
+                fine = may_be_similar(size, parity, left, right, similarity)
+                yield doc[left[fine]], doc[right[fine]]
+            return
         values = prints.view(np.uint64)
-        small = np.flatnonzero((sizes > 1) & (sizes <= 64)) if not second else []
+        small = np.flatnonzero((members > 1) & (members <= 64))
         for a in range(0, len(small), 4096):
-            left, right = small_groups_links(values, starts[small[a : a + 4096]], sizes[small[a : a + 4096]], radius)
-            yield doc[left], doc[right]
-        for g in np.flatnonzero(sizes > 64):
-            at = slice(starts[g], starts[g] + sizes[g])
-            group, names, roots = values[at], doc[at], root[at]
-            if not second:
-                child, parent = forest(group, radius)
-                yield names[child], names[parent]
-                continue
-            if (roots == roots[0]).all():
-                continue
-            planes = bit_planes(group)
-            for a in range(0, len(group), 256):
-                hit = lanes_to_bool(near_lanes(planes, group[a : a + 256], radius), len(group))
-                hit &= roots[a : a + 256, None] != roots[None, :]
-                q, r = np.nonzero(hit)
-                keep = names[a + q] < names[r]
-                yield names[a + q][keep], names[r][keep]
+            left, right = small_groups_links(values, starts[small[a : a + 4096]], members[small[a : a + 4096]], radius)
+            fine = may_be_similar(size, parity, left, right, similarity)
+            left, right = left[fine], right[fine]
+            order = np.lexsort((left, right))
+            right, first = np.unique(right[order], return_index=True)  # each member once, with the least id near it
+            yield doc[left[order][first]], doc[right]
+        for g in np.flatnonzero(members > 64):
+            at = slice(starts[g], starts[g] + members[g])
+            child, parent = _forest(values[at], size[at], parity[at], radius, similarity)
+            yield doc[at][child], doc[at][parent]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = None
         for batch in batches:
-            now = [batch.column(i).to_numpy() for i in range(5)]
+            now = [batch.column(i).to_numpy() for i in range(6)]
+            now.append(np.frombuffer(b"".join(batch.column(6).to_pylist()), np.uint64).reshape(-1, PARITY // 64))
             held = now if held is None else [np.concatenate([a, b]) for a, b in zip(held, now, strict=True)]
             if not len(held[0]):
                 continue
@@ -119,19 +201,20 @@ def _similar(docs: DataFrame, pairs: DataFrame, width: int, similarity: float) -
 def near_groups(docs: DataFrame, width: int = WIDTH, similarity: float = SIMILARITY, radius: int = RADIUS) -> DataFrame:
     """node, root: documents that are in groups of two or more, with the smallest id of their group."""
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    sketches = stored(texts.mapInArrow(_sketches(width), "doc_id long, print long, least array<long>").dropDuplicates(["doc_id"]), "sketches")
-    dealt = sketches.select("doc_id", "print", F.posexplode("least").alias("slot", "part")).where("part is not null")
-    several = stored(dealt.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "sketch-buckets")
-    met = stored(dealt.join(several, ["slot", "part"]).select("slot", "part", "doc_id", "print", "n"), "sketch-members")
+    shape = "doc_id long, print long, size long, parity binary, keys array<struct<slot:int,part:long>>"
+    sketches = stored(texts.mapInArrow(_sketches(width, similarity), shape).dropDuplicates(["doc_id"]), "sketches")
+    dealt = sketches.select("doc_id", F.explode("keys").alias("k")).select("doc_id", "k.slot", "k.part")
+    several = stored(dealt.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("slot", "part"), "sketch-buckets")
+    met = stored(dealt.join(several, ["slot", "part"]).join(sketches.drop("keys"), "doc_id"), "sketch-members")
 
     def candidates(rows: DataFrame, second: bool) -> DataFrame:
-        ordered = rows.repartition("slot", "part").sortWithinPartitions("slot", "part", "doc_id").select("slot", "part", "doc_id", "print", "root")
-        found = ordered.mapInArrow(_pairs(radius, second), "a long, b long")
+        ordered = rows.repartition("slot", "part").sortWithinPartitions("slot", "part", "doc_id").select("slot", "part", "doc_id", "print", "root", "size", "parity")
+        found = ordered.mapInArrow(_pairs(radius, similarity, second), "a long, b long")
         return stored(found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "near-candidates")
 
     links = stored(_similar(docs, candidates(met.withColumn("root", F.col("doc_id")), False), width, similarity), "near-links")
     groups = components(links)
-    rooted = met.where("n > 64").join(groups.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("root", F.coalesce("root", "doc_id"))
+    rooted = met.join(groups.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("root", F.coalesce("root", "doc_id"))
     more = candidates(rooted, True)
     if more.isEmpty():
         return groups
