@@ -40,7 +40,7 @@ def pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _packing.pack_documents(docs, _packing.default_tokenizer())
+    return _packing.pack_documents(docs, _packing.default_tokenizer(), added_tokens=True)
 
 
 STAGES = [("toxicity", toxicity), ("exact_dedup", exact_dedup), ("simhash_near_dedup", simhash_near_dedup), ("pii", pii), ("packing", packing)]

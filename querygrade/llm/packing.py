@@ -36,11 +36,11 @@ PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PLACED = PIECE + ", sequence_id long, offset long"
 
 
-def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, added_tokens: bool = False) -> DataFrame:
     """One row for each piece: doc_id, piece, start, length, ids_crc32."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = word_ids(tokenizer_path)
+        model = word_ids(tokenizer_path, added_tokens)
         step = 4 * capacity
         for batch in batches:
             rows = []
@@ -155,9 +155,9 @@ def pack(items: DataFrame, capacity: int = CAPACITY, per_partition: int = PER_PA
     return out
 
 
-def pack_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, per_partition: int = PER_PARTITION) -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, per_partition: int = PER_PARTITION, added_tokens: bool = False) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
-    cut = stored(pieces(docs, tokenizer_path, capacity), "pieces")
+    cut = stored(pieces(docs, tokenizer_path, capacity, added_tokens), "pieces")
     whole = cut.where(F.col("length") == capacity).withColumns({"sequence_id": F.monotonically_increasing_id() + F.lit(0), "offset": F.lit(0).cast("long")})
     return pack(cut.where(F.col("length") < capacity), capacity, per_partition).unionByName(whole)
 
@@ -169,4 +169,4 @@ def default_tokenizer() -> str:
 
 
 def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack_documents(table(spark, sf_dir, "documents"), default_tokenizer())
+    return pack_documents(table(spark, sf_dir, "documents"), default_tokenizer(), added_tokens=True)

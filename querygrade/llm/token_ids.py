@@ -3,7 +3,7 @@
 A BPE file with word ends never joins pieces across white space or across its pre-tokens, so a text's ids
 are the ids of its words.  Texts made of characters for which that was checked (``PLAIN``: ASCII and
 precomposed Latin letters, which normalisation leaves alone and lower-casing maps one to one) go through
-the cache; all others go to the library whole.
+the cache; all others go to the library whole, and so do texts that hold the string of an added token where these count as tokens.
 """
 
 from __future__ import annotations
@@ -29,14 +29,19 @@ def byte_letters() -> dict[int, str]:
 
 
 class WordIds:
-    """ids of a text as little-endian unsigned 32-bit bytes."""
+    """ids of a text as little-endian unsigned 32-bit bytes.
 
-    def __init__(self, path: str, limit: int = 400_000):
+    ``added_tokens``: strings of the file's added tokens in a text become these tokens, as by the library's default; else they are ordinary text.
+    """
+
+    def __init__(self, path: str, added_tokens: bool = False, limit: int = 400_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
-        self.model.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.model.encode_special_tokens = not added_tokens
+        added = [re.escape(t.content) for t in self.model.get_added_tokens_decoder().values()] if added_tokens else []
+        self.whole = re.compile("|".join([PLAIN.pattern, *added]))
         self.bpe, self.letters = self.model.model, byte_letters()
         self.runs = BoundedCache(self._run, limit // 2)
         self.words = BoundedCache(self._word, limit)
@@ -51,16 +56,16 @@ class WordIds:
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if PLAIN.search(text):
+        if self.whole.search(text):
             return b"".join([i.to_bytes(4, "little") for i in self.model.encode(text, add_special_tokens=False).ids])
         return b"".join(map(self.words.__getitem__, text.lower().split()))
 
 
-_models: dict[str, WordIds] = {}
+_models: dict[tuple[str, bool], WordIds] = {}
 
 
-def word_ids(path: str) -> WordIds:
-    """One cache for each worker process and file."""
-    if path not in _models:
-        _models[path] = WordIds(path)
-    return _models[path]
+def word_ids(path: str, added_tokens: bool = False) -> WordIds:
+    """One cache for each worker process, file and reading of added tokens."""
+    if (path, added_tokens) not in _models:
+        _models[path, added_tokens] = WordIds(path, added_tokens)
+    return _models[path, added_tokens]
