@@ -104,11 +104,19 @@ def linear_messages(conversations: DataFrame) -> DataFrame:
     return turns.where("tree is not null and id is not null").withColumn("parent", F.max("id").over(earlier))
 
 
+def row_messages(conversations: DataFrame) -> DataFrame:
+    """As ``linear_messages``, but every row with a conv_id is a message of its own, by turn, role and text; null turns come last."""
+    turns = conversations.select(F.col("conv_id").cast("long").alias("tree"), F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.col("text").cast("string").alias("text"), F.lit(1.0).alias("score"))
+    order = Window.partitionBy("tree").orderBy(F.asc_nulls_last("turn"), F.asc_nulls_first("role"), F.asc_nulls_first("text"))
+    numbered = turns.where("tree is not null").withColumn("id", F.row_number().over(order).cast("long"))
+    return numbered.withColumn("parent", F.when(F.col("id") > 1, F.col("id") - 1)).drop("turn")
+
+
 def op8_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     odd = "\\### Assistant: </turn> ok"
     extra = spark.createDataFrame([(-7, 0, "user", odd), (-7, 1, "assistant", odd)], "conv_id long, turn long, role string, text string")
     talks = table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), "role", "text").unionByName(extra)
-    out = format_trees(linear_messages(talks)).withColumn("turns", parse(F.col("formatted")))
+    out = format_trees(row_messages(talks)).withColumn("turns", parse(F.col("formatted")))
     spoken = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     loss = F.array_join(F.transform(F.filter("turns", lambda t: t["loss"]), lambda t: t["text"]), "")
     return out.select(
