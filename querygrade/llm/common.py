@@ -1,8 +1,8 @@
 """Helpers shared by the training-data operators: tables, shared storage, hashing, components.
 
 Everything that must outlive an executor is written under the folder that the session names in
-``spark.checkpoint.dir``.  Only where a session names none (unit tests on ``local[n]``) a temporary
-folder of this process is used.
+``spark.checkpoint.dir``.  Only where a session on ``local[n]`` names none (unit tests) a temporary
+folder of this process is used; elsewhere a session without one is an error.
 """
 
 from __future__ import annotations
@@ -36,6 +36,8 @@ def shared_dir(spark: SparkSession) -> str:
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
+    if not (spark.conf.get("spark.master", "local") or "").startswith("local[") and spark.conf.get("spark.master", "local") != "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     global _local_scratch
     if _local_scratch is None:
         _local_scratch = tempfile.mkdtemp(prefix="shared_scratch_")
@@ -77,6 +79,17 @@ class StoredChain:
         return self.spark.read.schema(df.schema).parquet(path)
 
 
+def unused_names(columns: list[str], *names: str) -> list[str]:
+    """Each name, or with underscores before it where ``columns`` (in any case) hold it."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def crc32_of_id(col: str = "doc_id") -> Column:
     """crc32 of the id written as decimal text: the split key of the held-out folds."""
     return F.crc32(F.col(col).cast("string").cast("binary"))

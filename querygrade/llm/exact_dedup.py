@@ -13,7 +13,7 @@ differ (digest collisions) leave their group and are grouped among themselves by
 
 Defined cases: null text counts as empty; empty texts equal each other; repeated rows with one id are
 rows of their own in ``group_size`` and share ``keep_id``, and only the first of the kept id's rows is ``kept``;
-of rows without id one may stay only where no row with an id has as many code points, with a null ``keep_id``; other columns are ignored; an empty
+of rows without id one may stay only where no row with an id has as many code points, with a null ``keep_id``; other columns, whatever their names, are ignored; an empty
 table gives no rows.
 """
 
@@ -27,7 +27,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ASCII_SPACE, fresh_path, stored, table, texts_as_bytes
+from .common import ASCII_SPACE, fresh_path, stored, table, texts_as_bytes, unused_names
 
 #: Session settings of the stream: state on local disk, small files where many state partitions hold little.
 STATE_SETTINGS = {
@@ -51,9 +51,15 @@ def signatures(docs: DataFrame, digest_bytes: int = 32) -> DataFrame:
     return located(docs).mapInArrow(run, SIGNATURE)
 
 
+def places(docs: DataFrame) -> list[Column]:
+    """File and row in it, whatever columns the rows have themselves."""
+    hidden = docs.metadataColumn("_metadata")
+    return [hidden.getField("file_path"), hidden.getField("row_index")]
+
+
 def located(docs: DataFrame) -> DataFrame:
     """doc_id, text and the content locator of rows that are read straight from files."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("_metadata.file_path").alias("at"), F.col("_metadata.row_index").alias("row"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *(c.alias(n) for c, n in zip(places(docs), ("at", "row"), strict=True)))
 
 
 def on_files(docs: DataFrame) -> DataFrame:
@@ -145,9 +151,10 @@ def exact_dedup(docs: DataFrame, digest_bytes: int = 32, files_per_trigger: int
 def without_copies(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, all columns as they are."""
     docs = on_files(docs)
-    kept = exact_dedup(docs).where("kept").select(F.col("at").alias("__at"), F.col("row").alias("__row"))
-    placed = docs.withColumns({"__at": F.col("_metadata.file_path"), "__row": F.col("_metadata.row_index")})
-    return placed.join(kept, ["__at", "__row"], "left_semi").select(*docs.columns)
+    at, row = unused_names(docs.columns, "at", "row")
+    kept = exact_dedup(docs).where("kept").select(F.col("at").alias(at), F.col("row").alias(row))
+    placed = docs.withColumns(dict(zip((at, row), places(docs), strict=True)))
+    return placed.join(kept, [at, row], "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
