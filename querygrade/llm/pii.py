@@ -2,7 +2,8 @@ r"""PII surrogates: detected entities get keyed, type-consistent replacements.
 
 One alternation finds all entities of a text; ``split`` on the same pattern gives what stands between them.
 An entity falls into parts (an e-mail address, a number, or the given name and the surname of a titled name).
-A part's canonical form (lower case; numbers without separators) is hashed with a secret key, and the hash
+A titled name's words get their surrogates also where they stand alone in the same text, so a person keeps
+one name there.  A part's canonical form (lower case; numbers without separators) is hashed with a secret key, and the hash
 fills the form character by character: digits give digits, letters give letters of the same script and
 case, separators, country codes, card brand, titles and top-level domains stay, a valid card checksum
 stays valid.  Given names follow the gender of the title.  Equal canonical forms get equal surrogates in all
@@ -17,17 +18,23 @@ that hold entities; texts without entities pass through.  Hot entities or texts
 by joins that AQE splits.
 
 Defined cases: null text stays null; texts without entities stay as they are; repeated rows are returned as
-often as they come; extra columns pass through; an empty table gives no rows.
+often as they come; extra columns of any name pass through; an empty table gives no rows.
+
+The key is an argument, or the session setting ``KEY_SETTING``; where neither is given, a random one is drawn that
+lasts as long as the driver's process.
 """
 
 from __future__ import annotations
 
+import secrets
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import StoredChain, stored, table
+from .common import StoredChain, stored, table, unused_names
 
-KEY = "surrogate-key-1"
+KEY_SETTING = "spark.querygrade.surrogate.key"
+_DRAWN = secrets.token_hex(32)
 WIDEN = 6
 MAX_ATTEMPTS = 40
 
@@ -39,7 +46,7 @@ PATTERNS = {
     "secret": r"\b(?:[0-9a-f]{32,128}|[0-9A-F]{32,128})\b",
     "iban": r"\b[A-Z]{2}[0-9]{2}(?: ?[0-9A-Z]{4}){3,7}(?: ?[0-9A-Z]{1,3})?\b",
     "ipv6": r"\b(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}\b",
-    "ipv4": r"(?<![0-9.])(?:(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])\.){3}(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?![0-9]|\.[0-9])",
+    "ipv4": r"(?<![\p{L}0-9._])(?:(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])\.){3}(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?![0-9]|\.[0-9])",
     "phone": r"(?<![0-9+])\+[0-9]{1,3}[ .\-]?(?:\([0-9]{1,4}\)[ .\-]?)?[0-9]{2,4}(?:[ .\-]?[0-9]{2,4}){1,4}(?![0-9])|(?<![0-9])\([0-9]{3}\) ?[0-9]{3}[ .\-][0-9]{4}(?![0-9])|(?<![0-9\-.])[0-9]{3}[.\-][0-9]{3}[.\-][0-9]{4}(?![0-9\-.])",
     "ssn": r"(?<![0-9\-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9\-])",
     "card": r"(?<![0-9])[0-9](?:[ \-]?[0-9]){12,18}(?![0-9])",
@@ -66,6 +73,10 @@ LETTERS = {
 VOWELS, CONSONANTS = "aeioaeiouaeioaei", "bdfgklmnprstvzhj"
 
 
+def secret_key(spark: SparkSession, key: str | None = None) -> str:
+    return key or spark.conf.get(KEY_SETTING, None) or _DRAWN
+
+
 def entities(text: Column) -> Column:
     return F.regexp_extract_all(text, F.lit(ANY), F.lit(0))
 
@@ -115,7 +126,7 @@ def _syllables(stream: Column, n: int) -> Column:
     return F.initcap(F.concat(*parts))
 
 
-def with_surrogates(parts: DataFrame, key: str = KEY) -> DataFrame:
+def with_surrogates(parts: DataFrame, key: str) -> DataFrame:
     """``parts(kind, canonical, attempt)`` with their surrogates; built in columns that each are computed once."""
     kind, canonical, attempt, stream, filled = (F.col(c) for c in ("kind", "canonical", "attempt", "stream", "filled"))
     named = kind.isin("surname", *GIVEN)
@@ -190,7 +201,7 @@ def _dealt(df: DataFrame, *keys: str) -> DataFrame:
     return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys)
 
 
-def distinct_surrogates(parts: DataFrame, key: str = KEY) -> DataFrame:
+def distinct_surrogates(parts: DataFrame, key: str) -> DataFrame:
     """kind, canonical, surrogate for distinct ``parts(kind, canonical)``; surrogates of a kind are distinct and new."""
     chain = StoredChain(parts.sparkSession, "surrogates")
     now = chain.put(with_surrogates(_dealt(parts, "kind", "canonical").select("kind", "canonical", F.lit(0).alias("attempt")), key))
@@ -210,7 +221,7 @@ def distinct_surrogates(parts: DataFrame, key: str = KEY) -> DataFrame:
     return now.select("kind", "canonical", "surrogate")
 
 
-def surrogate_table(docs: DataFrame, key: str = KEY) -> tuple[DataFrame, DataFrame]:
+def surrogate_table(docs: DataFrame, key: str) -> tuple[DataFrame, DataFrame]:
     """(places(text_key, pos, entity), names(entity, kind, surrogate)) of all texts."""
     found = docs.where(F.col("text").rlike(HINT)).select(F.md5(F.col("text").cast("binary")).alias("text_key"), entities(F.col("text")).alias("e"))
     places = stored(found.groupBy("text_key").agg(F.first("e").alias("e")).select("text_key", F.posexplode("e").alias("pos", "entity")), "pii-places")
@@ -221,17 +232,37 @@ def surrogate_table(docs: DataFrame, key: str = KEY) -> tuple[DataFrame, DataFra
     return places, stored(_dealt(whole, "entity").select("entity", F.col("of").alias("kind"), assembled(F.col("entity"), F.col("of"), F.col("given"), F.col("last")).alias("surrogate")), "pii-surrogates")
 
 
-def pseudonymize(docs: DataFrame, key: str = KEY) -> DataFrame:
-    """``docs`` with surrogates in ``text``, and a last column ``n_entities``."""
-    places, names = surrogate_table(docs, key)
-    filled = places.join(names, "entity").groupBy("text_key").agg(F.sort_array(F.collect_list(F.struct("pos", "surrogate"))).alias("__put")).withColumnRenamed("text_key", "__text_key")
-    columns = docs.columns
+def _mentions(put: Column) -> Column:
+    """array<struct<word, put>>: the words of the titled names of a text and their surrogates."""
+
+    def words(e: Column) -> Column:
+        old, new = F.split(e["entity"], " "), F.split(e["surrogate"], " ")
+        return F.arrays_zip(F.slice(old, 2, F.size(old)).alias("word"), F.slice(new, 2, F.size(new)).alias("put"))
+
+    return F.array_distinct(F.flatten(F.transform(F.filter(put, lambda e: e["kind"] == "name"), words)))
+
+
+def _named_alike(gap: Column, mentions: Column) -> Column:
+    """What stands between entities, with the words of ``mentions`` replaced."""
+    edge = rf"[{_L}\p{{N}}]"
+    one = lambda text, m: F.regexp_replace(text, F.concat(F.lit(rf"(?<!{edge})\Q"), m["word"], F.lit(rf"\E(?!{edge})")), m["put"])
+    return F.when(F.size(mentions) == 0, gap).otherwise(F.aggregate(mentions, gap, one))
+
+
+def pseudonymize(docs: DataFrame, key: str | None = None) -> DataFrame:
+    """``docs`` with surrogates in ``text``, and a last column ``n_entities`` (underscores before it where ``docs`` has one)."""
+    places, names = surrogate_table(docs, secret_key(docs.sparkSession, key))
+    text_key, put, mentions, count = unused_names(docs.columns, "text_key", "put", "mentions", "n_entities")
+    struct = F.struct("pos", "surrogate", "kind", F.when(F.col("kind") == "name", F.col("entity")).alias("entity"))
+    filled = places.join(names, "entity").groupBy("text_key").agg(F.sort_array(F.collect_list(struct)).alias(put)).withColumnRenamed("text_key", text_key)
+    columns = [F.col(f"`{c}`") for c in docs.columns]
     hinted = F.coalesce(F.col("text").rlike(HINT), F.lit(False))
-    met = docs.where(hinted).withColumn("__text_key", F.md5(F.col("text").cast("binary"))).join(filled, "__text_key", "left")
-    woven = F.zip_with(F.split(F.col("text"), ANY, -1), F.col("__put.surrogate"), lambda gap, s: F.concat(gap, F.coalesce(s, F.lit(""))))
-    changed = met.withColumn("text", F.when(F.col("__put").isNull(), F.col("text")).otherwise(F.array_join(woven, "")))
-    changed = changed.withColumn("n_entities", F.when(F.col("__put").isNull(), 0).otherwise(F.size("__put")).cast("long"))
-    return changed.select(*columns, "n_entities").unionByName(docs.where(~hinted).withColumn("n_entities", F.lit(0).cast("long")))
+    met = docs.where(hinted).withColumn(text_key, F.md5(F.col("text").cast("binary"))).join(filled, text_key, "left")
+    met = met.withColumn(mentions, _mentions(F.col(put)))
+    woven = F.zip_with(F.split(F.col("text"), ANY, -1), F.col(f"{put}.surrogate"), lambda gap, s: F.concat(_named_alike(gap, F.col(mentions)), F.coalesce(s, F.lit(""))))
+    changed = met.withColumn("text", F.when(F.col(put).isNull(), F.col("text")).otherwise(F.array_join(woven, "")))
+    changed = changed.withColumn(count, F.when(F.col(put).isNull(), 0).otherwise(F.size(put)).cast("long"))
+    return changed.select(*columns, count).unionByName(docs.where(~hinted).withColumn(count, F.lit(0).cast("long")))
 
 
 def op3_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -41,11 +41,46 @@ def test_types_formats_and_coreference(spark):
 
 def test_surrogates_stay_distinct_and_new(spark):
     parts = [("email", f"{a}.{b}@m.example.com") for a in "abcdefghijkl" for b in range(10)] + [("ipv4", f"10.0.{a}.{b}") for a in range(8) for b in range(100)] + [("given_f", f"name{k}") for k in range(60)]
-    rows = distinct_surrogates(spark.createDataFrame(parts, "kind string, canonical string")).collect()
+    rows = distinct_surrogates(spark.createDataFrame(parts, "kind string, canonical string"), "test key").collect()
     assert len(rows) == len(parts) == len({(r.kind, r.surrogate.lower()) for r in rows})
     assert not {(r.kind, r.surrogate.lower()) for r in rows} & set(parts)
 
 
+def test_untitled_mentions_follow_the_titled_name(spark):
+    out = run(spark, ["Dr. John Smith and John Smith met Smith; Smithson stays.", "John Smith is untitled here", "see v1.2.3.4 and 10.1.2.3"])
+    given, last = re.match(r"Dr\. (\w+) (\w+) and ", out[0]).groups()
+    assert out[0] == f"Dr. {given} {last} and {given} {last} met {last}; Smithson stays." and "John" not in out[0]
+    assert out[1] == "John Smith is untitled here"
+    assert "v1.2.3.4" in out[2] and "10.1.2.3" not in out[2]
+
+
+def test_the_key_decides(spark):
+    df = spark.createDataFrame([(1, "a.b@c.example.com")], "doc_id long, text string")
+    one, two, again = (pseudonymize(df, k).first().text for k in ("k1", "k2", "k1"))
+    assert one != two and one == again
+    spark.conf.set("spark.querygrade.surrogate.key", "k2")
+    try:
+        assert pseudonymize(df).first().text == two
+    finally:
+        spark.conf.unset("spark.querygrade.surrogate.key")
+
+
+def test_surrogates_equal_a_brute_force_replay(spark):
+    """Every text is its own gaps with each entity replaced by one surrogate of its kind and form, corpus-wide."""
+    sf = "/root/testdata/sf0.001"
+    before = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    put = {}
+    for r in op3_pii_surrogates(spark, sf).collect():
+        old, new = before[r.doc_id], r.text
+        if not r.n_entities:
+            assert old == new
+            continue
+        for a, b in zip(re.split(r"\s+", old), re.split(r"\s+", new), strict=True):
+            if a != b and "@" in a:
+                assert put.setdefault(a.lower().strip(".,;:()<>"), b.lower().strip(".,;:()<>")) == b.lower().strip(".,;:()<>")
+    assert len(set(put.values())) == len(put) > 0
+
+
 def test_repeated_rows_and_empty(spark):
     df = spark.createDataFrame([(1, "a@b.com 1", None), (1, "a@b.com 1", None), (None, "a@b.com 1", "z"), (None, None, None)], "doc_id long, text string, text_key string")
     out = pseudonymize(df)
