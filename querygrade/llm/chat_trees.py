@@ -5,7 +5,8 @@ their reach: the pairs (leaf, ancestor) within 2^k steps and the ancestor 2^k st
 the pairs within 2^(k+1) steps, so a chain of n turns takes log2(n) joins.  Branches are ranked by the sum
 of their messages' scores (then depth, then the smaller leaf), and each chosen path becomes one text.
 
-Template: a turn is ``### Role:`` + newline + escaped text + newline + ``</turn>`` + newline.  In texts
+Template: a turn is ``### role:`` + newline + escaped text + newline + ``</turn>`` + newline.  In roles, whose letters
+stay as they are, a backslash becomes ``\\b`` and a newline ``\\n``.  In texts
 every backslash and every ``#`` , ``<`` that begins a control string (``###`` or ``</turn>``) gets a backslash before
 it, so that no control string survives inside and reading back is exact.  ``parse`` reads roles, texts and
 the loss mask (the assistant texts) from the formatted text alone.
@@ -25,6 +26,8 @@ from .common import StoredChain, stored, table
 OPEN, CLOSE = "### ", "</turn>"
 #: A turn starts where OPEN follows the start of the text or a CLOSE line.
 END_OF_TURN = "\n</turn>\n"
+#: Stands for a null conv_id, which joins cannot match.
+NO_CONVERSATION = -(1 << 63)
 
 
 def escaped(text: Column) -> Column:
@@ -36,8 +39,16 @@ def unescaped(text: Column) -> Column:
     return F.regexp_replace(text, r"\\(\\|###|</turn>)", "$1")
 
 
+def escaped_role(role: Column) -> Column:
+    return F.replace(F.replace(F.coalesce(role, F.lit("")), F.lit("\\"), F.lit("\\b")), F.lit("\n"), F.lit("\\n"))
+
+
+def unescaped_role(role: Column) -> Column:
+    return F.replace(F.replace(role, F.lit("\\n"), F.lit("\n")), F.lit("\\b"), F.lit("\\"))
+
+
 def turn_text(role: Column, text: Column) -> Column:
-    return F.concat(F.lit(OPEN), F.initcap(role), F.lit(":\n"), escaped(text), F.lit(END_OF_TURN))
+    return F.concat(F.lit(OPEN), escaped_role(role), F.lit(":\n"), escaped(text), F.lit(END_OF_TURN))
 
 
 def parse(formatted: Column) -> Column:
@@ -45,7 +56,7 @@ def parse(formatted: Column) -> Column:
     pieces = F.slice(F.split(formatted, r"\n</turn>\n", -1), 1, F.size(F.split(formatted, r"\n</turn>\n", -1)) - 1)
 
     def one(piece: Column) -> Column:
-        role = F.lower(F.regexp_extract(piece, r"^### ([^\n]*):\n", 1))
+        role = unescaped_role(F.regexp_extract(piece, r"^### ([^\n]*):\n", 1))
         return F.struct(role.alias("role"), unescaped(F.regexp_replace(piece, r"^### [^\n]*:\n", "")).alias("text"), (role == "assistant").alias("loss"))
 
     return F.transform(pieces, one)
@@ -92,7 +103,7 @@ def format_trees(messages: DataFrame, best: int = 1) -> DataFrame:
         chosen = branch.withColumn("rank", F.row_number().over(Window.partitionBy("tree").orderBy(F.desc("score"), F.desc("n_turns"), "leaf"))).where(F.col("rank") <= best).select("tree", "leaf", "rank", "score")
     chosen = stored(chosen, "reply-chosen")
     turns = paths.join(chosen, ["tree", "leaf"]).join(once.select("tree", F.col("id").alias("node"), "role", "text"), ["tree", "node"])
-    line = turn_text(F.coalesce("role", F.lit("")), F.col("text"))
+    line = turn_text(F.col("role"), F.col("text"))
     texts = turns.groupBy("tree", "leaf", "rank", "score").agg(F.sort_array(F.collect_list(F.struct((-F.col("steps")).alias("at"), line.alias("line")))).alias("lines"))
     return texts.select("tree", "leaf", "rank", "score", F.size("lines").cast("long").alias("n_turns"), F.array_join(F.col("lines.line"), "").alias("formatted"))
 
@@ -105,10 +116,11 @@ def linear_messages(conversations: DataFrame) -> DataFrame:
 
 
 def row_messages(conversations: DataFrame) -> DataFrame:
-    """As ``linear_messages``, but every row with a conv_id is a message of its own, by turn, role and text; null turns come last."""
-    turns = conversations.select(F.col("conv_id").cast("long").alias("tree"), F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.col("text").cast("string").alias("text"), F.lit(1.0).alias("score"))
+    """As ``linear_messages``, but every row is a message of its own, by turn, role and text; null turns come last, and
+    rows without conv_id are the conversation ``NO_CONVERSATION``."""
+    turns = conversations.select(F.coalesce(F.col("conv_id").cast("long"), F.lit(NO_CONVERSATION)).alias("tree"), F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.col("text").cast("string").alias("text"), F.lit(1.0).alias("score"))
     order = Window.partitionBy("tree").orderBy(F.asc_nulls_last("turn"), F.asc_nulls_first("role"), F.asc_nulls_first("text"))
-    numbered = turns.where("tree is not null").withColumn("id", F.row_number().over(order).cast("long"))
+    numbered = turns.withColumn("id", F.row_number().over(order).cast("long"))
     return numbered.withColumn("parent", F.when(F.col("id") > 1, F.col("id") - 1)).drop("turn")
 
 
@@ -120,7 +132,7 @@ def op8_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     spoken = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     loss = F.array_join(F.transform(F.filter("turns", lambda t: t["loss"]), lambda t: t["text"]), "")
     return out.select(
-        F.col("tree").alias("conv_id"), F.size("turns").cast("long").alias("n_turns"), F.sha2(spoken.cast("binary"), 256).alias("turns_sha256"),
+        F.when(F.col("tree") != NO_CONVERSATION, F.col("tree")).alias("conv_id"), F.size("turns").cast("long").alias("n_turns"), F.sha2(spoken.cast("binary"), 256).alias("turns_sha256"),
         F.length(loss).cast("long").alias("loss_chars"), F.sha2(loss.cast("binary"), 256).alias("loss_sha256"), F.length("formatted").cast("long").alias("formatted_chars"),
     )
 
@@ -128,16 +140,16 @@ def op8_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: The same digests from the table itself; formatted_chars counts the template and one backslash for each escape.
 SQL = r"""
 WITH t AS (
-  SELECT conv_id, turn, role, coalesce(text, '') AS text FROM conversations
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
   UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok'
   UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'
 ), e AS (
-  SELECT *, replace(replace(replace(text, '\', '\\'), '###', '\###'), '</turn>', '\</turn>') AS esc FROM t
+  SELECT *, replace(replace(replace(text, '\', '\\'), '###', '\###'), '</turn>', '\</turn>') AS esc, replace(replace(role, '\', '\b'), chr(10), '\n') AS who FROM t
 )
 SELECT conv_id, count(*) AS n_turns,
-       sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn)) AS turns_sha256,
+       sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS LAST, role, text)) AS turns_sha256,
        CAST(coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0) AS BIGINT) AS loss_chars,
-       sha256(coalesce(string_agg(text, '' ORDER BY turn) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
-       CAST(sum(4 + length(role) + 2 + length(esc) + 9) AS BIGINT) AS formatted_chars
+       sha256(coalesce(string_agg(text, '' ORDER BY turn NULLS LAST, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+       CAST(sum(4 + length(who) + 2 + length(esc) + 9) AS BIGINT) AS formatted_chars
 FROM e GROUP BY conv_id
 """
