@@ -10,8 +10,8 @@ below 2^53, so float64 products are exact; bounds get a margin for rounding.
 Queries (a stated set) travel in packed blocks to every shard; a task reads one shard and streams the blocks
 of one query group.  Each shard returns k rows at most for a query.
 
-Defined cases: vectors that are null, empty or hold null, NaN or infinite components take no part; repeated rows of an
-id are one vector (the largest); only vectors of equal length are compared; fewer than k candidates give all;
+Defined cases: vectors that are null, empty or hold null, NaN or infinite components take no part, nor do rows without
+id; repeated rows of an id are vectors of their own, as queries (each with its k rows) and as candidates (of each other too); only vectors of equal length are compared; fewer than k candidates give all;
 an empty table gives no rows; extra columns are ignored.
 """
 
@@ -38,8 +38,8 @@ NO_ID = np.iinfo(np.int64).max
 class BallTree:
     """Leaves of points with the levels of balls above them."""
 
-    def __init__(self, points: np.ndarray, ids: np.ndarray, leaf: int = LEAF):
-        self.points, self.ids = points, ids
+    def __init__(self, points: np.ndarray, ids: np.ndarray, rows: np.ndarray, leaf: int = LEAF):
+        self.points, self.ids, self.rows = points, ids, rows
         self.leaves: list[np.ndarray] = []
         self.centre: list[np.ndarray] = []
         self.radius: list[float] = []
@@ -72,7 +72,7 @@ class BallTree:
         return queries @ self.centres[nodes].T + length[:, None] * self.radii[nodes][None, :] + 1e-6 * (1 + length[:, None] ** 2)
 
     def search(self, queries: np.ndarray, own: np.ndarray, floor: np.ndarray, k: int, first_leaf_only: bool = False) -> tuple[np.ndarray, np.ndarray]:
-        """(scores, ids), k columns each, of every query; rows under ``floor`` may be left out."""
+        """(scores, ids), k columns each, of every query but for its ``own`` row; scores under ``floor`` may be left out."""
         m = len(queries)
         scores, ids = np.full((m, k), -np.inf), np.full((m, k), NO_ID)
         length = np.sqrt((queries**2).sum(axis=1))
@@ -114,7 +114,7 @@ class BallTree:
         rows = self.leaves[self.leaf_of[node]]
         got = queries[who] @ self.points[rows].T
         names = self.ids[rows]
-        got[own[who][:, None] == names[None, :]] = -np.inf
+        got[own[who][:, None] == self.rows[rows][None, :]] = -np.inf
         best = got >= np.maximum(floor[who], scores[who, k - 1])[:, None]
         best &= got > -np.inf
         for j in np.flatnonzero(best.any(axis=1)):
@@ -135,16 +135,16 @@ def _scan(k: int, first_leaf_only: bool):
                 if key != at:
                     at, trees = key, {}
                 dim = row["dim"]
-                ids, values = np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["data"], "<i4").reshape(-1, dim).astype(float)
+                ids, rows, values = np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["rows"], "<i8"), np.frombuffer(row["data"], "<i4").reshape(-1, dim).astype(float)
                 if row["kind"] == 0:
-                    trees[dim] = BallTree(values, ids)
+                    trees[dim] = BallTree(values, ids, rows)
                     continue
                 if dim not in trees:
                     continue
                 floor = np.frombuffer(row["floor"], "<f8") if row["floor"] else np.full(len(ids), -np.inf)
-                scores, found = trees[dim].search(values, ids, floor, k, first_leaf_only)
+                scores, found = trees[dim].search(values, rows, floor, k, first_leaf_only)
                 q, r = np.nonzero(scores > -np.inf)
-                yield pa.RecordBatch.from_arrays([pa.array(ids[q]), pa.array(found[q, r]), pa.array(scores[q, r].astype(np.int64))], names=["query_id", "vec_id", "score"])
+                yield pa.RecordBatch.from_arrays([pa.array(rows[q]), pa.array(ids[q]), pa.array(found[q, r]), pa.array(scores[q, r].astype(np.int64))], names=["row", "query_id", "vec_id", "score"])
 
     return run
 
@@ -156,16 +156,17 @@ def _packed(df: DataFrame, keys: list[str]) -> DataFrame:
         data = np.array(group.column("v").to_pylist(), "<i4")
         cols = [group.column(c).slice(0, 1) for c in [*keys, "dim"]]
         floor = group.column("floor").to_numpy().astype("<f8").tobytes() if "floor" in group.column_names else None
-        return pa.table([*cols, pa.array([group.column("vec_id").to_numpy().astype("<i8").tobytes()]), pa.array([data.tobytes()]), pa.array([floor], pa.binary())], names=[*keys, "dim", "ids", "data", "floor"])
+        longs = [pa.array([group.column(c).to_numpy().astype("<i8").tobytes()]) for c in ("vec_id", "row")]
+        return pa.table([*cols, *longs, pa.array([data.tobytes()]), pa.array([floor], pa.binary())], names=[*keys, "dim", "ids", "rows", "data", "floor"])
 
-    return df.groupBy(*keys, "dim").applyInArrow(pack, ", ".join(f"{k} long" for k in keys) + ", dim int, ids binary, data binary, floor binary")
+    return df.groupBy(*keys, "dim").applyInArrow(pack, ", ".join(f"{k} long" for k in keys) + ", dim int, ids binary, rows binary, data binary, floor binary")
 
 
 def whole_numbers(vectors: DataFrame, scale: float = SCALE) -> DataFrame:
-    """vec_id, v (array of floor(scale*x)), dim: the vectors that take part."""
+    """vec_id, row (unlike for all rows), v (array of floor(scale*x)), dim: the vectors that take part."""
     sound = F.col("vec_id").isNotNull() & (F.size("embedding") > 0) & F.forall("embedding", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf"))))
-    one = vectors.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>").alias("embedding")).where(sound).groupBy("vec_id").agg(F.max("embedding").alias("e"))
-    return one.select("vec_id", F.transform("e", lambda x: F.floor(x * F.lit(scale)).cast("int")).alias("v"), F.size("e").alias("dim"))
+    one = vectors.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>").alias("embedding")).where(sound).withColumnRenamed("embedding", "e")
+    return one.select("vec_id", F.monotonically_increasing_id().alias("row"), F.transform("e", lambda x: F.floor(x * F.lit(scale)).cast("int")).alias("v"), F.size("e").alias("dim"))
 
 
 def top_k(vectors: DataFrame, is_query: Column, k: int = K, shard_rows: int = SHARD_ROWS, block: int = BLOCK) -> DataFrame:
@@ -174,24 +175,24 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = K, shard_rows: int = SH
     n, q = numbers.agg(F.count(F.lit(1)), F.count_if(is_query)).first()
     shards, blocks = max(1, -(-n // shard_rows)), max(1, -(-q // block))
     groups = -(-blocks // BLOCKS_PER_GROUP)
-    dealt = numbers.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)))
-    held = stored(_packed(dealt.select("shard", "vec_id", "v", "dim"), ["shard"]), "shards")
-    asked = numbers.where(is_query).withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(7)), F.lit(blocks)))
+    dealt = numbers.withColumn("shard", F.pmod(F.xxhash64("row"), F.lit(shards)))
+    held = stored(_packed(dealt.select("shard", "vec_id", "row", "v", "dim"), ["shard"]), "shards")
+    asked = numbers.where(is_query).withColumn("block", F.pmod(F.xxhash64("row", F.lit(7)), F.lit(blocks)))
 
     def against_all(packed: DataFrame, first_leaf_only: bool) -> DataFrame:
         part = F.pmod("block", F.lit(groups))
-        queries = packed.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("shard"), part.alias("part"), F.lit(1).alias("kind"), "dim", "ids", "data", "floor")
-        points = held.select("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("part"), F.lit(0).alias("kind"), "dim", "ids", "data", "floor")
+        queries = packed.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("shard"), part.alias("part"), F.lit(1).alias("kind"), "dim", "ids", "rows", "data", "floor")
+        points = held.select("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("part"), F.lit(0).alias("kind"), "dim", "ids", "rows", "data", "floor")
         rows = points.unionByName(queries).repartition("shard", "part").sortWithinPartitions("shard", "part", "kind")
-        return rows.mapInArrow(_scan(k, first_leaf_only), "query_id long, vec_id long, score long")
+        return rows.mapInArrow(_scan(k, first_leaf_only), "row long, query_id long, vec_id long, score long")
 
     def best(found: DataFrame) -> DataFrame:
-        w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+        w = Window.partitionBy("row").orderBy(F.desc("score"), "vec_id")
         return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
     first = best(against_all(_packed(asked, ["block"]), True))
-    floors = stored(first.where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"), F.col("score").cast("double").alias("floor")), "floors")
-    bounded = asked.join(floors, "vec_id", "left").withColumn("floor", F.coalesce("floor", F.lit(float("-inf"))))
+    floors = stored(first.where(F.col("rank") == k).select("row", F.col("score").cast("double").alias("floor")), "floors")
+    bounded = asked.join(floors, "row", "left").withColumn("floor", F.coalesce("floor", F.lit(float("-inf"))))
     return best(against_all(_packed(bounded, ["block"]), False)).select("query_id", "rank", "vec_id", "score")
 
 
@@ -201,10 +202,10 @@ def op2_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 SQL = """
 WITH v AS (
-  SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS e FROM embeddings
-  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+  SELECT row_number() OVER () AS n, vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS e FROM embeddings
+  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
 ), s AS (
-  SELECT q.vec_id AS query_id, c.vec_id, CAST(list_inner_product(q.e, c.e) AS BIGINT) AS score FROM v q JOIN v c ON c.vec_id <> q.vec_id WHERE q.vec_id % 50 = 0
-), r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank FROM s)
+  SELECT q.n, q.vec_id AS query_id, c.vec_id, CAST(list_inner_product(q.e, c.e) AS BIGINT) AS score FROM v q JOIN v c ON c.n <> q.n WHERE q.vec_id % 50 = 0
+), r AS (SELECT *, CAST(row_number() OVER (PARTITION BY n ORDER BY score DESC, vec_id) AS INTEGER) AS rank FROM s)
 SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 """
