@@ -4,9 +4,10 @@ Texts become token ids (``token_ids``); a document longer than a sequence is cut
 and a rest.  Pieces are dealt into partitions by a hash and each partition is packed by best-fit
 decreasing.  Dual-feasible functions over the histogram of lengths bound the number of sequences from
 below, for each partition and for the whole; where the count of all partitions meets the bound of the whole,
-the packing is certified and final.  Until then full sequences are final, and the pieces of sequences with
-gaps are exchanged: they are dealt anew, into fewer partitions, and packed again, until the whole is
-certified, one partition holds the rest, or a round gains nothing.
+the packing is certified and final.  Until then full sequences are final.  A partition that meets its own bound is
+set aside; those that miss it exchange the pieces of their sequences with gaps, which are dealt anew, into fewer
+partitions, and packed again.  When nothing is gained so, the sequences set aside join the exchange, until the whole is certified, one
+partition holds all that has gaps, or such a round gains nothing.
 
 The number of partitions follows the number of pieces (``per_partition``), so a task holds a bounded
 number of short rows; texts are never shuffled.  Cut pieces of one very long document do not meet: only its
@@ -31,7 +32,7 @@ from .token_ids import word_ids
 
 CAPACITY = 2048
 END_ID = 0
-PER_PARTITION = 250_000
+PER_PARTITION = 32_000
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PLACED = PIECE + ", sequence_id long, offset long"
 
@@ -123,36 +124,44 @@ def _pack(capacity: int, round_no: int):
     return run
 
 
-def pack(items: DataFrame, capacity: int = CAPACITY, per_partition: int = PER_PARTITION, max_rounds: int = 6) -> DataFrame:
+def pack(items: DataFrame, capacity: int = CAPACITY, per_partition: int = PER_PARTITION, max_rounds: int = 8) -> DataFrame:
     """Adds sequence_id and offset to ``items`` (any table of PIECE rows with length <= capacity)."""
     spark = items.sparkSession
     names = [c.split()[0] for c in PIECE.split(", ")]
     counts = np.zeros(capacity + 1, np.int64)
     for r in items.groupBy("length").count().collect():  # capacity rows at most
         counts[r["length"]] = r["count"]
-    n, bound, closed, before, done = int(counts.sum()), lower_bound(counts, capacity), 0, None, []
-    todo = items.select(*names)
+    n, bound, closed, done = int(counts.sum()), lower_bound(counts, capacity), 0, []
+    todo, aside, all_in, before = items.select(*names), [], True, None
+    schema = PLACED + ", full boolean, certified boolean"
     for round_no in range(1, max_rounds + 1):
         parts = max(1, -(-n // (per_partition * (1 if round_no == 1 else 2))))
         path = fresh_path(spark, f"packed-{round_no}")
-        dealt = todo.repartition(parts, F.xxhash64("doc_id", "piece", "start", "ids_crc32", F.lit(round_no))) if parts > 1 else todo.coalesce(1)
-        schema = PLACED + ", full boolean, certified boolean"
-        dealt.mapInArrow(_pack(capacity, round_no), schema).write.parquet(path)
+        todo.repartition(parts, F.xxhash64("doc_id", "piece", "start", "ids_crc32", F.lit(round_no))).mapInArrow(_pack(capacity, round_no), schema).write.parquet(path)
         packed = spark.read.schema(schema).parquet(path)
-        each = {r["full"]: (r["n"], r["used"]) for r in packed.groupBy("full").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("sequence_id").alias("used")).collect()}
-        n, used = each.get(False, (0, 0))
-        closed += each.get(True, (0, 0))[1]
-        gained = before is None or closed + used < before
-        before = closed + used
-        if closed + used <= bound or parts == 1 or not gained or round_no == max_rounds:
-            done.append(packed.select(*names, "sequence_id", "offset"))
+        each = packed.groupBy("full", "certified").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("offset") == 0).alias("used")).collect()
+        size = {(r["full"], r["certified"]): (r["n"], r["used"]) for r in each}
+        closed += sum(used for (full, _), (_, used) in size.items() if full)
+        done.append(packed.where("full"))
+        met, missed = size.get((False, True), (0, 0)), size.get((False, False), (0, 0))
+        aside.append((packed.where("not full and certified"), *met))
+        rest = (packed.where("not full and not certified"), *missed)
+        total = closed + rest[2] + sum(used for _, _, used in aside)
+        ends = all_in and (parts == 1 or (before is not None and total >= before))
+        if total <= bound or ends or round_no == max_rounds:
+            done += [rest[0], *(df for df, _, _ in aside)]
             break
-        done.append(packed.where("full").select(*names, "sequence_id", "offset"))
-        todo = packed.where(~F.col("full")).select(*names)
+        # those that missed their bounds among themselves first, all that has gaps when that gains nothing
+        all_in = not rest[1] or parts == 1 or (before is not None and total >= before)
+        todo, n, before = rest[0].select(*names), rest[1], total
+        if all_in:
+            for df, more, _ in aside:
+                todo, n = todo.unionByName(df.select(*names)), n + more
+            aside = []
     out = done[0]
     for more in done[1:]:
         out = out.unionByName(more)
-    return out
+    return out.select(*names, "sequence_id", "offset")
 
 
 def pack_documents(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, per_partition: int = PER_PARTITION, added_tokens: bool = False) -> DataFrame:
