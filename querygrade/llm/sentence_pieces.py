@@ -1,40 +1,47 @@
 """SentencePiece encoding and decoding over a relational lattice.
 
-A text becomes words that begin with the space mark.  The lattice of a word is relational: its substrings of bounded
-length are exploded, equi-joined to the piece table and grouped by word again (the words stay where
-their hash put them, so only the distinct words are shuffled).  A higher-order ``aggregate`` folds each word's
-edges to its pieces, in one of two ways:
+A text becomes words that begin with the space mark, and words are cut further where no piece of the model can
+lie across (between letters and other characters, where the model's pieces bear that out).  Every distinct word of the
+corpus goes through one relational lattice: its substrings of bounded length are exploded, equi-joined to the piece table and
+grouped by word again (the words stay where their hash put them, so only distinct words are shuffled).  A
+higher-order ``aggregate`` folds each word's edges to its pieces, in one of two ways:
 
 * ``viterbi``: the best sum of scores, for unigram models;
-* ``merge``: the adjacent pair with the best edge is joined until none is left, for BPE models, whose ids a
-  sum of scores does not give.
+* ``merge``: edges are visited by falling score, leftmost first, and join two adjacent pieces where they can, for
+  BPE models, whose ids a sum of scores does not give.
 
-The fold runs for the ``head`` most frequent words of the corpus (a parameter that bounds what is broadcast);
-words beyond it, and words longer than ``LONGEST``, have their lattice made where they are read, from the same piece
-table and with the same rule, so no word is dropped and texts are never shuffled.  Characters without a piece
-become byte pieces, so decoding gives back every text.
+Words longer than ``LONGEST`` have the same lattice, but their edges are folded by a heap in an Arrow function, as an
+array of that length is slow to fold.  Characters without a piece become byte pieces, so decoding gives back every text.
 
-Defined cases: null text is empty; an empty text has no pieces; repeated rows are encoded each; an empty table gives no rows;
-extra columns are ignored.
+The codes of the most frequent words (at most ``head``, a bound of what is broadcast) are looked up where texts are read; those of
+all other words come by joins on the word and back on the text's row, with checksums of the stretches between
+them instead of the ids, so texts are never shuffled.
+
+Defined cases: null text is empty; an empty text has no pieces; repeated rows are encoded each, rows with a null id too; an empty table gives
+no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import heapq
+import re
 import zlib
 from array import array
 from collections import Counter
 from collections.abc import Iterator
+from itertools import pairwise
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, stored, table
+from .common import stored, table
 
 MARK = "▁"
-HEAD = 1 << 17
-LONGEST = 24
+HEAD = 1 << 18
+LONGEST = 128
+LETTERS = "A-Za-zÀ-ÖØ-öø-ɏ"
 
 
 class PieceTable:
@@ -53,6 +60,8 @@ class PieceTable:
             elif not (model.is_control(i) or model.is_unknown(i) or model.is_unused(i)):
                 self.pieces[piece] = (model.get_score(i), i)
         self.longest = max(map(len, self.pieces), default=1)
+        # whether no piece joins one of LETTERS to another character, but for marks before it
+        self.letters_apart = not any(re.search(f"[{LETTERS}][^{LETTERS}]|[^{LETTERS}][{LETTERS}]", p.lstrip(MARK)) for p in self.pieces)
         self.texts = {i: p.encode() for p, (_, i) in self.pieces.items()} | {i: bytes([b]) for b, i in self.bytes.items()}
 
     def spelled(self, piece: str) -> list[int]:
@@ -109,28 +118,24 @@ class PieceTable:
         return text[1:] if text.startswith(" ") else text
 
 
-def words_of(text: str | None) -> list[str]:
-    """Words of a text, each with the space marks before it."""
-    if not text:
-        return []
-    out, held = [], ""
-    for part in text.replace(MARK, " ").split(" "):
-        if part:
-            out.append(held + MARK + part)
-            held = ""
-        else:
-            held += MARK
-    return [*out, held] if held else out
+def word_pattern(letters_apart: bool) -> re.Pattern:
+    """Words of a text that begins with a space, each with the spaces before it."""
+    return re.compile(f" *[{LETTERS}]+| *[^{LETTERS} ]+| +" if letters_apart else r" *[^ ]+| +")
+
+
+def spaced(text: str | None) -> str:
+    return " " + (text.replace(MARK, " ") if MARK in text else text) if text else ""
 
 
 def lattice(words: DataFrame, pieces: DataFrame, longest: int) -> DataFrame:
-    """word, edges: array<struct<start, stop, score, id>> of distinct ``words(word)``, sorted."""
+    """word, edges: array<struct<rank, start, stop, id>> of distinct ``words(word)``, by falling score (rank = -score), leftmost first."""
     n = F.length("word")
     starts = words.select("word", F.explode(F.sequence(F.lit(1), n)).alias("start"))
     spans = starts.select("word", "start", F.explode(F.sequence(F.col("start") + 1, F.least(n + 1, F.col("start") + longest))).alias("stop"))
+    # the piece table is as large as the model's vocabulary
     edges = spans.withColumn("piece", F.substring("word", F.col("start"), F.col("stop") - F.col("start"))).join(F.broadcast(pieces), "piece")
-    grouped = edges.groupBy("word").agg(F.sort_array(F.collect_list(F.struct("start", "stop", "score", "id"))).alias("edges"))
-    return words.join(grouped, "word", "left").select("word", F.coalesce("edges", F.array().cast("array<struct<start:int,stop:int,score:double,id:int>>")).alias("edges"))
+    grouped = edges.groupBy("word").agg(F.sort_array(F.collect_list(F.struct((-F.col("score")).alias("rank"), "start", "stop", "id"))).alias("edges"))
+    return words.join(grouped, "word", "left").select("word", F.coalesce("edges", F.array().cast("array<struct<rank:double,start:int,stop:int,id:int>>")).alias("edges"))
 
 
 def _edge(edges: Column, start: Column, stop: Column) -> Column:
@@ -138,15 +143,15 @@ def _edge(edges: Column, start: Column, stop: Column) -> Column:
 
 
 def fold_merge(word: Column, edges: Column) -> Column:
-    """Cut positions after joining the best adjacent pair again and again."""
-    n = F.length(word)
+    """Cut positions after joining adjacent pieces by falling score."""
 
-    def step(cuts: Column, _: Column) -> Column:
-        offers = F.filter(edges, lambda e: (F.array_position(cuts, e["start"]) > 0) & (F.array_position(cuts, e["stop"]) == F.array_position(cuts, e["start"]) + 2))
-        best = F.array_max(F.transform(offers, lambda e: F.struct(e["score"].alias("score"), (-e["start"]).alias("left"))))
-        return F.when(best.isNull(), cuts).otherwise(F.filter(cuts, lambda c: c != F.get(cuts, F.array_position(cuts, -best["left"]).cast("int"))))
+    def step(cuts: Column, e: Column) -> Column:
+        at = F.array_position(cuts, e["start"]).cast("int")
+        joins = (F.get(cuts, at + 1) == e["stop"]) & (at > 0)
+        return F.when(joins, F.concat(F.slice(cuts, 1, at), F.slice(cuts, at + 2, F.size(cuts)))).otherwise(cuts)
 
-    return F.when(n > 1, F.aggregate(F.sequence(F.lit(1), n - 1), F.sequence(F.lit(1), n + 1), step)).otherwise(F.sequence(F.lit(1), n + 1))
+    several = F.filter(edges, lambda e: e["stop"] - e["start"] > 1)
+    return F.aggregate(several, F.sequence(F.lit(1), F.length(word) + 1), step)
 
 
 def fold_viterbi(word: Column, edges: Column, missing: float = -1e6) -> Column:
@@ -156,29 +161,88 @@ def fold_viterbi(word: Column, edges: Column, missing: float = -1e6) -> Column:
 
     def step(best: Column, stop: Column) -> Column:
         into = F.filter(edges, lambda e: e["stop"] == stop + 1)
-        options = F.transform(into, lambda e: F.struct((F.get(best, e["start"] - 1)["score"] + e["score"]).alias("score"), (-e["start"]).alias("from")))
+        options = F.transform(into, lambda e: F.struct((F.get(best, e["start"] - 1)["score"] - e["rank"]).alias("score"), (-e["start"]).alias("from")))
         top = F.array_max(options)
         alone = F.struct((F.get(best, stop - 1)["score"] + F.lit(missing)).alias("score"), stop.alias("from"))
         return F.array_append(best, F.when(top.isNull(), alone).otherwise(F.struct(top["score"].alias("score"), (-top["from"]).alias("from"))))
 
     best = F.aggregate(F.sequence(F.lit(1), n), start, step)
-    back = F.aggregate(F.sequence(F.lit(1), n), F.array(n + 1), lambda cuts, _: F.when(F.get(cuts, F.lit(0)) == 1, cuts).otherwise(F.array_prepend(cuts, F.get(best, F.get(cuts, F.lit(0)) - 1)["from"])))
-    return back
+    return F.aggregate(F.sequence(F.lit(1), n), F.array(n + 1), lambda cuts, _: F.when(F.get(cuts, F.lit(0)) == 1, cuts).otherwise(F.array_prepend(cuts, F.get(best, F.get(cuts, F.lit(0)) - 1)["from"])))
+
+
+def far_fold(word: str, edges: list[dict], method: str, missing: float = -1e6) -> tuple[list[int], list[int]]:
+    """(cuts, ids) of one long word from the edges of its lattice."""
+    n, of = len(word), {(e["start"], e["stop"]): (e["rank"], e["id"]) for e in edges}
+    if method == "viterbi":
+        into: dict[int, list[int]] = {}
+        for a, b in of:
+            into.setdefault(b, []).append(a)
+        best = [(0.0, 0)] * (n + 2)
+        for b in range(2, n + 2):
+            best[b] = max(((best[a][0] - of[a, b][0], -a) for a in into.get(b, ())), default=(best[b - 1][0] + missing, 1 - b))
+        cuts = [n + 1]
+        while cuts[-1] > 1:
+            cuts.append(-best[cuts[-1]][1])
+        cuts.reverse()
+    else:
+        after, before = list(range(1, n + 3)), list(range(-1, n + 1))
+        alive, heap = [True] * (n + 2), []
+
+        def offer(a: int) -> None:
+            if 1 <= a and after[a] <= n and (a, after[after[a]]) in of:
+                heapq.heappush(heap, (of[a, after[after[a]]][0], a, after[after[a]]))
+
+        for a in range(1, n):
+            offer(a)
+        while heap:
+            _, a, stop = heapq.heappop(heap)
+            if alive[a] and after[a] <= n and after[after[a]] == stop:
+                alive[after[a]] = False
+                after[a], before[stop] = stop, a
+                offer(a)
+                offer(before[a])
+        cuts = [1]
+        while cuts[-1] <= n:
+            cuts.append(after[cuts[-1]])
+    return cuts, [of[a, b][1] if (a, b) in of else -1 for a, b in pairwise(cuts)]
+
 
+def encode_words(words: DataFrame, table_: PieceTable, method: str = "merge", longest: int = LONGEST) -> DataFrame:
+    """word, cuts, ids, edges: the relational lattice of distinct ``words(word)``, folded; missing characters are id -1.
 
-def encode_words(words: DataFrame, table_: PieceTable, method: str = "merge") -> DataFrame:
-    """word, ids: the relational lattice folded for distinct ``words(word)``; missing characters are id -1."""
+    Words over ``longest`` keep their edges and have no cuts yet.
+    """
     rows = [(p, s, i) for p, (s, i) in table_.pieces.items()]
     pieces = words.sparkSession.createDataFrame(rows, "piece string, score double, id int")
     edged = lattice(words, pieces, table_.longest)
-    fold = fold_merge if method == "merge" else fold_viterbi
-    cut = edged.withColumn("cuts", fold(F.col("word"), F.col("edges")))
+    near = F.length("word") <= longest
+    cut = edged.withColumn("cuts", F.when(near, (fold_merge if method == "merge" else fold_viterbi)(F.col("word"), F.col("edges"))))
     ids = F.transform(F.sequence(F.lit(0), F.size("cuts") - 2), lambda k: F.coalesce(_edge(F.col("edges"), F.get("cuts", k), F.get("cuts", k + 1))["id"], F.lit(-1)))
-    return cut.select("word", "cuts", ids.alias("ids"))
+    return cut.select("word", "cuts", F.when(near, ids).alias("ids"), F.when(~near, F.col("edges")).alias("edges"))
+
+
+def word_codes(words: DataFrame, pieces: PieceTable, method: str = "merge", longest: int = LONGEST) -> DataFrame:
+    """word, code (its ids as little-endian 32-bit numbers), whole (decoding gives the word back) of ``words(word)``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            codes, whole = [], []
+            for word, cuts, ids, edges in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+                if cuts is None:
+                    cuts, ids = far_fold(word, edges, method)
+                if -1 in ids:
+                    ids = [x for i, (a, b) in zip(ids, pairwise(cuts), strict=True) for x in ([i] if i >= 0 else pieces.spelled(word[a - 1 : b - 1]))]
+                codes.append(array("i", ids).tobytes())
+                whole.append(b"".join(map(pieces.texts.__getitem__, ids)) == word.encode())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.binary()), pa.array(whole, pa.bool_())], names=["word", "code", "whole"])
+
+    # few bytes but much work for each word: as many tasks as the session's shuffles have
+    dealt = words.repartition(int(words.sparkSession.conf.get("spark.sql.shuffle.partitions")), "word")
+    return encode_words(dealt, pieces, method, longest).mapInArrow(run, "word string, code binary, whole boolean")
 
 
-def word_counts(docs: DataFrame) -> DataFrame:
-    """word, n of all texts."""
+def word_counts(docs: DataFrame, pattern: re.Pattern) -> DataFrame:
+    """word (spaces as marks), n of all texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: Counter = Counter()
@@ -187,70 +251,134 @@ def word_counts(docs: DataFrame) -> DataFrame:
             names = list(held)
             for a in range(0, len(names), 50_000):
                 part = names[a : a + 50_000]
-                yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([held[w] for w in part], pa.int64())], names=["word", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array([w.replace(" ", MARK) for w in part], pa.string()), pa.array([held[w] for w in part], pa.int64())], names=["word", "n"])
             held.clear()
 
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                held.update(w for w in words_of(text) if len(w) <= LONGEST)
-            if len(held) > 300_000:
+                held.update(pattern.findall(spaced(text)))
+            if len(held) > 400_000:
                 yield from flush()
         yield from flush()
 
     return docs.select(F.col("text").cast("string")).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def head_codes(docs: DataFrame, pieces: PieceTable, method: str = "merge", head: int = HEAD) -> dict[str, bytes]:
-    """ids (little-endian 32-bit) of the ``head`` most frequent words, by the relational lattice."""
-    top = stored(word_counts(docs).orderBy(F.desc("n"), "word").limit(head).select("word"), "head-words")
-    # few bytes but much work for each word: as many tasks as the session's shuffles have
-    dealt = top.repartition(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), "word")
-    coded = stored(encode_words(dealt, pieces, method).select("word", "cuts", "ids"), "head-codes")
-    out = {}
-    for r in coded.toLocalIterator():  # head rows
-        ids: list[int] = []
-        for a, b, i in zip(r["cuts"][:-1], r["cuts"][1:], r["ids"], strict=True):
-            ids += [i] if i >= 0 else pieces.spelled(r["word"][a - 1 : b - 1])
-        out[r["word"]] = array("i", ids).tobytes()
-    return out
-
-
-def coder(spark: SparkSession, docs: DataFrame, model_path: str, method: str, head: int):
-    """A function for workers: text -> (number of words, ids as array('i')), and the piece table."""
-    pieces = PieceTable(model_path)
-    shared = spark.sparkContext.broadcast((pieces, head_codes(docs, pieces, method, head)))  # head words and one piece table
-
-    def make():
-        lattice_of, codes = shared.value
-        rule = lattice_of.merged if method == "merge" else lattice_of.viterbi
-        rare = BoundedCache(lambda w: array("i", rule(w)).tobytes(), 300_000)
-
-        def code(word: str) -> bytes:
-            got = codes.get(word)
-            return got if got is not None else rare[word]
+def least_head_count(counts: DataFrame, head: int) -> int:
+    """The least count so that ``head`` words at most reach it; found on sixteen steps for each power of two."""
+    step = lambda n: F.floor(F.log2(n) * 16)
+    sizes = sorted(((r["s"], r["k"], r["n"]) for r in counts.groupBy(step("n").alias("s")).agg(F.count(F.lit(1)).alias("k"), F.min("n").alias("n")).collect()), reverse=True)  # 1,024 rows at most
+    total, least = 0, 1 << 62
+    for _, k, n in sizes:
+        total += k
+        if total > head:
+            break
+        least = n
+    return least
+
+
+class CrcShift:
+    """crc32 of a concatenation from the crc32 and lengths of its parts, for many at once."""
+
+    def __init__(self):
+        self.steps: list[np.ndarray] = []
+        basis = np.array([zlib.crc32(b"\0", 1 << b) ^ zlib.crc32(b"\0", 0) for b in range(32)], np.uint64)
+        # tables of 2^k zero bytes: four of 256 entries, one for each byte of a crc
+        for _ in range(44):
+            tables = np.zeros((4, 256), np.uint64)
+            for byte in range(4):
+                for bit in range(8):
+                    tables[byte, 1 << bit : 2 << bit] = tables[byte, : 1 << bit] ^ basis[8 * byte + bit]
+            self.steps.append(tables)
+            basis = self._once(tables, basis)
+
+    @staticmethod
+    def _once(tables: np.ndarray, values: np.ndarray) -> np.ndarray:
+        out = tables[0][values & np.uint64(255)]
+        for byte in (1, 2, 3):
+            out = out ^ tables[byte][(values >> np.uint64(8 * byte)) & np.uint64(255)]
+        return out
 
-        def run(text: str | None):
-            words = words_of(text)
-            return len(words), array("i", b"".join(map(code, words)))
+    def joined(self, crcs: np.ndarray, sizes: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """crc32 of each run of parts; runs begin at ``starts``."""
+        if not len(starts):
+            return np.zeros(0, np.uint64)
+        until = np.cumsum(sizes)
+        ends = np.append(starts[1:], len(sizes))
+        after = np.repeat(until[ends - 1], ends - starts) - until
+        out = crcs.astype(np.uint64)
+        for k in range(int(after.max()).bit_length()):
+            at = np.flatnonzero(after >> k & 1)
+            out[at] = self._once(self.steps[k], out[at])
+        return np.bitwise_xor.reduceat(out, starts)
+
+
+def _coded(docs: DataFrame, model_path: str, method: str, head: int, ids: bool) -> DataFrame:
+    """row, doc_id, n_words, whole, segs and tails: array<struct<n, crc, ids>> of the stretches of a text and of the other words between them."""
+    spark, pieces = docs.sparkSession, PieceTable(model_path)
+    pattern = word_pattern(pieces.letters_apart)
+    counts = stored(word_counts(docs, pattern), "piece-words")
+    codes = stored(word_codes(counts.select("word"), pieces, method), "piece-codes")
+    frequent = counts.where(F.col("n") >= least_head_count(counts, head)).select("word")
+    top = codes.join(frequent, "word").toArrow()  # head rows at most
+    known = dict(zip((w.replace(MARK, " ") for w in top.column("word").to_pylist()), top.column("code").to_pylist(), strict=True))
+    bad = {w.replace(MARK, " ") for w, fine in zip(top.column("word").to_pylist(), top.column("whole").to_pylist(), strict=True) if not fine}
+    shared = spark.sparkContext.broadcast((known, bad))
 
-        return run, lattice_of
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
 
-    return make
+        of, broken = shared.value
+        row = TaskContext.get().partitionId() << 40
+        for batch in batches:
+            for a in range(0, batch.num_rows, 500):
+                part, out = batch.slice(a, 500), []
+                for text in part.column(1).to_pylist():
+                    text = spaced(text)
+                    words = pattern.findall(text)
+                    got = list(map(of.get, words))
+                    n_words = text.count(" ") if "  " not in text else len(re.findall(" +", text))
+                    segs, tails, at = [], [], 0
+                    while None in got[at:] if at else None in got:
+                        k = got.index(None, at)
+                        segs.append(b"".join(got[at:k]))
+                        tails.append(words[k].replace(" ", MARK))
+                        at = k + 1
+                    segs.append(b"".join(got[at:]))
+                    row += 1
+                    out.append((row, n_words, not broken or broken.isdisjoint(words), [(len(x), zlib.crc32(x), x if ids else None) for x in segs], tails))
+                cols = list(zip(*out, strict=True))
+                kinds = (pa.int64(), pa.int64(), pa.bool_(), pa.list_(pa.struct([("n", pa.int64()), ("crc", pa.int64()), ("ids", pa.binary())])), pa.list_(pa.string()))
+                segs = [[dict(zip(("n", "crc", "ids"), x, strict=True)) for x in row_] for row_ in cols[3]]
+                arrays = [pa.array(c, t) for c, t in zip((*cols[:3], segs, cols[4]), kinds, strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column(0), *arrays], names=["doc_id", "row", "n_words", "whole", "segs", "tails"])
+
+    shape = "doc_id long, row long, n_words long, whole boolean, segs array<struct<n:bigint,crc:bigint,ids:binary>>, tails array<string>"
+    heads = stored(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, shape), "piece-heads")
+    rare = heads.where(F.size("tails") > 0).select("row", F.posexplode("tails").alias("at", "word"))
+    code = F.struct("at", F.octet_length("code").cast("long").alias("n"), F.crc32("code").alias("crc"), (F.col("code") if ids else F.lit(None).cast("binary")).alias("ids"))
+    met = rare.join(codes, "word").groupBy("row").agg(F.sort_array(F.collect_list(code)).alias("t"), F.bool_and("whole").alias("fine"))
+    both = heads.drop("tails").join(met, "row", "left")
+    return both.select("doc_id", "n_words", (F.col("whole") & F.coalesce("fine", F.lit(True))).alias("whole"), "segs", F.coalesce(F.transform("t", lambda x: F.struct(x["n"].alias("n"), x["crc"].alias("crc"), x["ids"].alias("ids"))), F.array().cast("array<struct<n:bigint,crc:bigint,ids:binary>>")).alias("tails"))
+
+
+def _in_turn(segs: list, tails: list) -> list:
+    out = [None] * (len(segs) + len(tails))
+    out[::2], out[1::2] = segs, tails
+    return out
 
 
 def encode(docs: DataFrame, model_path: str, method: str = "merge", head: int = HEAD) -> DataFrame:
     """doc_id, n_words, ids array<int>: the ids of every text."""
-    make = coder(docs.sparkSession, docs, model_path, method, head)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coded, _ = make()
         for batch in batches:
-            for a in range(0, batch.num_rows, 500):
-                part = batch.slice(a, 500)
-                got = [coded(t) for t in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([n for n, _ in got], pa.int64()), pa.array([memoryview(x) for _, x in got], pa.list_(pa.int32()))], names=["doc_id", "n_words", "ids"])
+            both = zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)
+            got = [np.frombuffer(b"".join(x["ids"] for x in _in_turn(segs, tails)), "<i4") for segs, tails in both]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got, pa.list_(pa.int32()))], names=["doc_id", "n_words", "ids"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_words long, ids array<int>")
+    coded = _coded(docs, model_path, method, head, True).select("doc_id", "n_words", "segs", "tails")
+    return coded.mapInArrow(run, "doc_id long, n_words long, ids array<int>")
 
 
 def decode(coded: DataFrame, model_path: str) -> DataFrame:
@@ -266,19 +394,25 @@ def decode(coded: DataFrame, model_path: str) -> DataFrame:
 
 def encode_digests(docs: DataFrame, model_path: str, method: str = "merge", head: int = HEAD) -> DataFrame:
     """doc_id, n_words, n_pieces, ids_crc32 (of little-endian 32-bit ids), round_trip (decoding gives the text back)."""
-    make = coder(docs.sparkSession, docs, model_path, method, head)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coded, pieces = make()
+        shift = CrcShift()
         for batch in batches:
-            rows = []
-            for text in batch.column(1).to_pylist():
-                n, ids = coded(text)
-                rows.append((n, len(ids), zlib.crc32(ids.tobytes()), pieces.decode(ids) == (text or "").replace(MARK, " ")))
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.bool_()), strict=True))], names=["doc_id", "n_words", "n_pieces", "ids_crc32", "round_trip"])
-
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_words long, n_pieces long, ids_crc32 long, round_trip boolean")
+            segs, tails = batch.column(2), batch.column(3)
+            n_segs, n_tails = (np.diff(c.offsets.to_numpy()) for c in (segs, tails))
+            ends = np.cumsum(n_segs + n_tails)
+            starts = ends - n_segs - n_tails
+            # a text's stretches and other words in turn: stretch, word, stretch ...
+            place = [np.repeat(starts + k, n) + 2 * (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)) for k, n in ((0, n_segs), (1, n_tails))]
+            sizes, crcs = np.zeros(ends[-1] if len(ends) else 0, np.int64), np.zeros(ends[-1] if len(ends) else 0, np.uint64)
+            for at, flat in zip(place, (segs.flatten(), tails.flatten()), strict=True):
+                sizes[at], crcs[at] = flat.field("n").to_numpy(), flat.field("crc").to_numpy()
+            total = np.add.reduceat(sizes, starts) if len(starts) else sizes
+            out = shift.joined(crcs, sizes, starts).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(total // 4), pa.array(out), batch.column(4)], names=["doc_id", "n_words", "n_pieces", "ids_crc32", "round_trip"])
+
+    coded = _coded(docs, model_path, method, head, False).select("doc_id", "n_words", "segs", "tails", "whole")
+    return coded.mapInArrow(run, "doc_id long, n_words long, n_pieces long, ids_crc32 long, round_trip boolean")
 
 
 def default_model() -> str:
