@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 from .common import stored, table
 
 MARK = "▁"
-HEAD = 1 << 18
+HEAD = 196_608
 LONGEST = 128
 LETTERS = "A-Za-zÀ-ÖØ-öø-ɏ"
 
@@ -128,14 +128,14 @@ def spaced(text: str | None) -> str:
 
 
 def lattice(words: DataFrame, pieces: DataFrame, longest: int) -> DataFrame:
-    """word, edges: array<struct<rank, start, stop, id>> of distinct ``words(word)``, by falling score (rank = -score), leftmost first."""
-    n = F.length("word")
-    starts = words.select("word", F.explode(F.sequence(F.lit(1), n)).alias("start"))
-    spans = starts.select("word", "start", F.explode(F.sequence(F.col("start") + 1, F.least(n + 1, F.col("start") + longest))).alias("stop"))
-    # the piece table is as large as the model's vocabulary
-    edges = spans.withColumn("piece", F.substring("word", F.col("start"), F.col("stop") - F.col("start"))).join(F.broadcast(pieces), "piece")
-    grouped = edges.groupBy("word").agg(F.sort_array(F.collect_list(F.struct((-F.col("score")).alias("rank"), "start", "stop", "id"))).alias("edges"))
-    return words.join(grouped, "word", "left").select("word", F.coalesce("edges", F.array().cast("array<struct<rank:double,start:int,stop:int,id:int>>")).alias("edges"))
+    """word, n, edges: array<struct<rank, start, stop, id>> of distinct ``words(word, n)``, by falling score (rank = -score), leftmost first."""
+    size = F.length("word")
+    starts = words.select("word", "n", F.explode(F.sequence(F.lit(1), size)).alias("start"))
+    spans = starts.select("word", "n", "start", F.explode(F.sequence(F.col("start") + 1, F.least(size + 1, F.col("start") + longest))).alias("stop"))
+    # the piece table is as large as the model's vocabulary; a word's first character stays, so that words without edges do too
+    met = spans.withColumn("piece", F.substring("word", F.col("start"), F.col("stop") - F.col("start"))).join(F.broadcast(pieces), "piece", "left").where("id is not null or (start = 1 and stop = 2)")
+    edge = F.when(F.col("id").isNotNull(), F.struct((-F.col("score")).alias("rank"), "start", "stop", "id"))
+    return met.groupBy("word", "n").agg(F.sort_array(F.collect_list(edge)).alias("edges"))
 
 
 def _edge(edges: Column, start: Column, stop: Column) -> Column:
@@ -208,37 +208,40 @@ def far_fold(word: str, edges: list[dict], method: str, missing: float = -1e6) -
 
 
 def encode_words(words: DataFrame, table_: PieceTable, method: str = "merge", longest: int = LONGEST) -> DataFrame:
-    """word, cuts, ids, edges: the relational lattice of distinct ``words(word)``, folded; missing characters are id -1.
+    """word, n, cuts, ids, edges: the relational lattice of distinct ``words(word)``, folded; missing characters are id -1.
 
     Words over ``longest`` keep their edges and have no cuts yet.
     """
     rows = [(p, s, i) for p, (s, i) in table_.pieces.items()]
     pieces = words.sparkSession.createDataFrame(rows, "piece string, score double, id int")
-    edged = lattice(words, pieces, table_.longest)
+    edged = lattice(words if "n" in words.columns else words.withColumn("n", F.lit(0)), pieces, table_.longest)
     near = F.length("word") <= longest
     cut = edged.withColumn("cuts", F.when(near, (fold_merge if method == "merge" else fold_viterbi)(F.col("word"), F.col("edges"))))
     ids = F.transform(F.sequence(F.lit(0), F.size("cuts") - 2), lambda k: F.coalesce(_edge(F.col("edges"), F.get("cuts", k), F.get("cuts", k + 1))["id"], F.lit(-1)))
-    return cut.select("word", "cuts", F.when(near, ids).alias("ids"), F.when(~near, F.col("edges")).alias("edges"))
+    return cut.select("word", "n", "cuts", F.when(near, ids).alias("ids"), F.when(~near, F.col("edges")).alias("edges"))
 
 
 def word_codes(words: DataFrame, pieces: PieceTable, method: str = "merge", longest: int = LONGEST) -> DataFrame:
-    """word, code (its ids as little-endian 32-bit numbers), whole (decoding gives the word back) of ``words(word)``."""
+    """word, n, code (its ids as little-endian 32-bit numbers), whole (decoding gives the word back) of distinct ``words(word, n)``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = {p: i for p, (_, i) in pieces.pieces.items()}
         for batch in batches:
             codes, whole = [], []
-            for word, cuts, ids, edges in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+            for word, cuts, edges in zip(*(batch.column(k).to_pylist() for k in (0, 2, 3)), strict=True):
                 if cuts is None:
-                    cuts, ids = far_fold(word, edges, method)
-                if -1 in ids:
-                    ids = [x for i, (a, b) in zip(ids, pairwise(cuts), strict=True) for x in ([i] if i >= 0 else pieces.spelled(word[a - 1 : b - 1]))]
+                    cuts, _ = far_fold(word, edges, method)
+                ids = []
+                for a, b in pairwise(cuts):
+                    piece = word[a - 1 : b - 1]
+                    i = table.get(piece)
+                    ids += pieces.spelled(piece) if i is None else (i,)
                 codes.append(array("i", ids).tobytes())
                 whole.append(b"".join(map(pieces.texts.__getitem__, ids)) == word.encode())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.binary()), pa.array(whole, pa.bool_())], names=["word", "code", "whole"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(codes, pa.binary()), pa.array(whole, pa.bool_())], names=["word", "n", "code", "whole"])
 
-    # few bytes but much work for each word: as many tasks as the session's shuffles have
-    dealt = words.repartition(int(words.sparkSession.conf.get("spark.sql.shuffle.partitions")), "word")
-    return encode_words(dealt, pieces, method, longest).mapInArrow(run, "word string, code binary, whole boolean")
+    cut = encode_words(words, pieces, method, longest).select("word", F.col("n").cast("long"), "cuts", "edges")
+    return cut.mapInArrow(run, "word string, n long, code binary, whole boolean")
 
 
 def word_counts(docs: DataFrame, pattern: re.Pattern) -> DataFrame:
@@ -257,11 +260,13 @@ def word_counts(docs: DataFrame, pattern: re.Pattern) -> DataFrame:
         for batch in batches:
             for text in batch.column(0).to_pylist():
                 held.update(pattern.findall(spaced(text)))
-            if len(held) > 400_000:
+            if len(held) > 300_000:
                 yield from flush()
         yield from flush()
 
-    return docs.select(F.col("text").cast("string")).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    # workers have combined their words already; few bytes but much work for each word follow: as many tasks as the session's shuffles have
+    dealt = docs.select(F.col("text").cast("string")).mapInArrow(run, "word string, n long").repartition(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), "word")
+    return dealt.groupBy("word").agg(F.sum("n").alias("n"))
 
 
 def least_head_count(counts: DataFrame, head: int) -> int:
@@ -313,17 +318,26 @@ class CrcShift:
         return np.bitwise_xor.reduceat(out, starts)
 
 
+def _list_of(rows: list[list], kind: pa.DataType) -> pa.ListArray:
+    offsets = np.concatenate([[0], np.cumsum(np.fromiter(map(len, rows), np.int64, len(rows)))])
+    return pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array([x for r in rows for x in r], kind))
+
+
 def _coded(docs: DataFrame, model_path: str, method: str, head: int, ids: bool) -> DataFrame:
-    """row, doc_id, n_words, whole, segs and tails: array<struct<n, crc, ids>> of the stretches of a text and of the other words between them."""
+    """doc_id, n_words, whole, segs and tails: the stretches of a text's frequent words, and the other words between them.
+
+    Of each its ids as binary, or (not ids) a long that holds its number of bytes and their crc32.
+    """
     spark, pieces = docs.sparkSession, PieceTable(model_path)
     pattern = word_pattern(pieces.letters_apart)
-    counts = stored(word_counts(docs, pattern), "piece-words")
-    codes = stored(word_codes(counts.select("word"), pieces, method), "piece-codes")
-    frequent = counts.where(F.col("n") >= least_head_count(counts, head)).select("word")
-    top = codes.join(frequent, "word").toArrow()  # head rows at most
-    known = dict(zip((w.replace(MARK, " ") for w in top.column("word").to_pylist()), top.column("code").to_pylist(), strict=True))
-    bad = {w.replace(MARK, " ") for w, fine in zip(top.column("word").to_pylist(), top.column("whole").to_pylist(), strict=True) if not fine}
+    counts = word_counts(docs, pattern)
+    codes = stored(word_codes(counts, pieces, method), "piece-codes")
+    top = codes.where(F.col("n") >= least_head_count(codes, head)).select("word", "code", "whole").toArrow()  # head rows at most
+    names = [w.replace(MARK, " ") for w in top.column("word").to_pylist()]
+    known = dict(zip(names, top.column("code").to_pylist(), strict=True))
+    bad = {w for w, fine in zip(names, top.column("whole").to_pylist(), strict=True) if not fine}
     shared = spark.sparkContext.broadcast((known, bad))
+    kind = pa.binary() if ids else pa.int64()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -339,33 +353,26 @@ def _coded(docs: DataFrame, model_path: str, method: str, head: int, ids: bool)
                     got = list(map(of.get, words))
                     n_words = text.count(" ") if "  " not in text else len(re.findall(" +", text))
                     segs, tails, at = [], [], 0
-                    while None in got[at:] if at else None in got:
-                        k = got.index(None, at)
-                        segs.append(b"".join(got[at:k]))
-                        tails.append(words[k].replace(" ", MARK))
-                        at = k + 1
+                    if None in got:
+                        for k in [k for k, x in enumerate(got) if x is None]:
+                            segs.append(b"".join(got[at:k]))
+                            tails.append(words[k].replace(" ", MARK))
+                            at = k + 1
                     segs.append(b"".join(got[at:]))
                     row += 1
-                    out.append((row, n_words, not broken or broken.isdisjoint(words), [(len(x), zlib.crc32(x), x if ids else None) for x in segs], tails))
+                    out.append((row, n_words, not broken or broken.isdisjoint(words), segs if ids else [len(x) << 32 | zlib.crc32(x) for x in segs], tails))
                 cols = list(zip(*out, strict=True))
-                kinds = (pa.int64(), pa.int64(), pa.bool_(), pa.list_(pa.struct([("n", pa.int64()), ("crc", pa.int64()), ("ids", pa.binary())])), pa.list_(pa.string()))
-                segs = [[dict(zip(("n", "crc", "ids"), x, strict=True)) for x in row_] for row_ in cols[3]]
-                arrays = [pa.array(c, t) for c, t in zip((*cols[:3], segs, cols[4]), kinds, strict=True)]
-                yield pa.RecordBatch.from_arrays([part.column(0), *arrays], names=["doc_id", "row", "n_words", "whole", "segs", "tails"])
+                arrays = [pa.array(c, t) for c, t in zip(cols[:3], (pa.int64(), pa.int64(), pa.bool_()), strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column(0), *arrays, _list_of(cols[3], kind), _list_of(cols[4], pa.string())], names=["doc_id", "row", "n_words", "whole", "segs", "tails"])
 
-    shape = "doc_id long, row long, n_words long, whole boolean, segs array<struct<n:bigint,crc:bigint,ids:binary>>, tails array<string>"
+    value = "binary" if ids else "bigint"
+    shape = f"doc_id long, row long, n_words long, whole boolean, segs array<{value}>, tails array<string>"
     heads = stored(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, shape), "piece-heads")
     rare = heads.where(F.size("tails") > 0).select("row", F.posexplode("tails").alias("at", "word"))
-    code = F.struct("at", F.octet_length("code").cast("long").alias("n"), F.crc32("code").alias("crc"), (F.col("code") if ids else F.lit(None).cast("binary")).alias("ids"))
-    met = rare.join(codes, "word").groupBy("row").agg(F.sort_array(F.collect_list(code)).alias("t"), F.bool_and("whole").alias("fine"))
-    both = heads.drop("tails").join(met, "row", "left")
-    return both.select("doc_id", "n_words", (F.col("whole") & F.coalesce("fine", F.lit(True))).alias("whole"), "segs", F.coalesce(F.transform("t", lambda x: F.struct(x["n"].alias("n"), x["crc"].alias("crc"), x["ids"].alias("ids"))), F.array().cast("array<struct<n:bigint,crc:bigint,ids:binary>>")).alias("tails"))
-
-
-def _in_turn(segs: list, tails: list) -> list:
-    out = [None] * (len(segs) + len(tails))
-    out[::2], out[1::2] = segs, tails
-    return out
+    short = F.col("code") if ids else F.shiftleft(F.octet_length("code").cast("long"), 32).bitwiseOR(F.crc32("code"))
+    met = rare.join(codes.select("word", short.alias("v"), "whole"), "word").groupBy("row").agg(F.sort_array(F.collect_list(F.struct("at", "v"))).alias("t"), F.bool_and("whole").alias("fine"))
+    both = heads.drop("tails").join(met.select("row", "fine", F.col("t.v").alias("tails")), "row", "left")
+    return both.select("doc_id", "n_words", (F.col("whole") & F.coalesce("fine", F.lit(True))).alias("whole"), "segs", F.coalesce("tails", F.array().cast(f"array<{value}>")).alias("tails"))
 
 
 def encode(docs: DataFrame, model_path: str, method: str = "merge", head: int = HEAD) -> DataFrame:
@@ -373,8 +380,11 @@ def encode(docs: DataFrame, model_path: str, method: str = "merge", head: int =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            both = zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)
-            got = [np.frombuffer(b"".join(x["ids"] for x in _in_turn(segs, tails)), "<i4") for segs, tails in both]
+            got = []
+            for segs, tails in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                parts = [None] * (len(segs) + len(tails))
+                parts[::2], parts[1::2] = segs, tails
+                got.append(np.frombuffer(b"".join(parts), "<i4"))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got, pa.list_(pa.int32()))], names=["doc_id", "n_words", "ids"])
 
     coded = _coded(docs, model_path, method, head, True).select("doc_id", "n_words", "segs", "tails")
@@ -406,7 +416,8 @@ def encode_digests(docs: DataFrame, model_path: str, method: str = "merge", head
             place = [np.repeat(starts + k, n) + 2 * (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)) for k, n in ((0, n_segs), (1, n_tails))]
             sizes, crcs = np.zeros(ends[-1] if len(ends) else 0, np.int64), np.zeros(ends[-1] if len(ends) else 0, np.uint64)
             for at, flat in zip(place, (segs.flatten(), tails.flatten()), strict=True):
-                sizes[at], crcs[at] = flat.field("n").to_numpy(), flat.field("crc").to_numpy()
+                values = flat.to_numpy()
+                sizes[at], crcs[at] = values >> 32, values & 0xFFFFFFFF
             total = np.add.reduceat(sizes, starts) if len(starts) else sizes
             out = shift.joined(crcs, sizes, starts).astype(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(total // 4), pa.array(out), batch.column(4)], names=["doc_id", "n_words", "n_pieces", "ids_crc32", "round_trip"])

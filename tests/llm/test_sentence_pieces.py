@@ -31,7 +31,7 @@ def test_folds_equal_the_rules_in_python(spark):
             for a, b, i in zip(r.cuts, r.cuts[1:], r.ids):
                 ids += [i] if i >= 0 else table.spelled(r.word[a - 1 : b - 1])
             assert ids == rule(r.word), (method, r.word)
-        edges = lattice(df, spark.createDataFrame([(p, s, i) for p, (s, i) in table.pieces.items()], "piece string, score double, id int"), table.longest)
+        edges = lattice(df.selectExpr("word", "1 AS n"), spark.createDataFrame([(p, s, i) for p, (s, i) in table.pieces.items()], "piece string, score double, id int"), table.longest)
         for r in edges.collect():
             cuts, ids = far_fold(r.word, [e.asDict() for e in r.edges], method)
             assert [x for k, i in enumerate(ids) for x in ([i] if i >= 0 else table.spelled(r.word[cuts[k] - 1 : cuts[k + 1] - 1]))] == rule(r.word)
