@@ -47,6 +47,34 @@ def canonical_ewkt(text: pd.Series) -> pd.Series:
     return _each(text, lambda s: g.to_ewkt(g.transform(s, 4326)))
 
 
+def _agree(ref, got, rule: str) -> int:
+    x = _shape(ref)
+    y = x if ref == got else _shape(got)
+    if x is None or y is None:
+        return 0
+    try:
+        a = g.transform(x, 4326)
+        if y is x or g.to_ewkt(a) == g.to_ewkt(g.transform(y, 4326)):
+            return 1
+        if rule == "text":
+            return 0
+        if rule == "exact":
+            return int(g.equals_snapped(x, y, 1e-12))
+        return int(g.equals_snapped(x, y) and g.z_close(x, y))
+    except g.SridMismatch:
+        return 0
+
+
+def verdict_of(rule: str):
+    """Arrow function (ref, got) -> 0/1 by canonical text, then by topology and heights as ``rule`` says."""
+
+    @pandas_udf(T.IntegerType())
+    def verdict(ref: pd.Series, got: pd.Series) -> pd.Series:
+        return pd.Series([_agree(x, y, rule) for x, y in zip(ref, got, strict=True)], dtype="int32")
+
+    return verdict
+
+
 @pandas_udf(T.BooleanType())
 def equals_snapped(a: pd.Series, b: pd.Series) -> pd.Series:
     return _pairs(a, b, g.equals_snapped)

@@ -92,12 +92,12 @@ def bind_functions(docs: DataFrame, databases: DataFrame, low: int = 4, high: in
     The repair gives each uncovered function to the database of its hash, so coverage needs no search.
     """
     n = F.lit(low) + unit_of("size", F.col("db")) % (high - low)
-    pairs = databases.withColumn("n", n).join(F.broadcast(docs.select("func_id")))
+    pairs = databases.withColumn("n", n).crossJoin(docs.select("func_id"))
     w = Window.partitionBy("db").orderBy(unit_of("bind", F.col("db"), F.lit("-"), F.col("func_id")), "func_id")
     drawn = pairs.withColumn("r", F.row_number().over(w)).where(F.col("r") <= F.col("n")).select("db", "func_id")
     missing = docs.select("func_id").join(drawn.select("func_id").distinct(), "func_id", "left_anti")
     place = Window.partitionBy("func_id").orderBy(unit_of("repair", F.col("db"), F.lit("-"), F.col("func_id")), "db")
-    repaired = missing.join(F.broadcast(databases.select("db"))).withColumn("r", F.row_number().over(place)).where("r = 1").select("db", "func_id")
+    repaired = missing.crossJoin(databases.select("db")).withColumn("r", F.row_number().over(place)).where("r = 1").select("db", "func_id")
     return drawn.unionByName(repaired)
 
 
@@ -162,6 +162,6 @@ def retrieve_functions(questions: DataFrame, docs: DataFrame, k: int = 3) -> Dat
     """qid, rank, func_id: the k catalogue entries that share most words with a question (token equi-join)."""
     asked = questions.select("qid", F.explode(F.array_distinct(F.split(F.lower("text"), r"[^a-z0-9]+"))).alias("token")).where("token <> ''")
     words = docs.select("func_id", F.explode(F.array_distinct(F.split(F.lower("text"), r"[^a-z0-9]+"))).alias("token")).where("token <> ''")
-    shared = asked.join(F.broadcast(words), "token").groupBy("qid", "func_id").agg(F.count(F.lit(1)).alias("hits"))
+    shared = asked.join(words, "token").groupBy("qid", "func_id").agg(F.count(F.lit(1)).alias("hits"))
     w = Window.partitionBy("qid").orderBy(F.desc("hits"), "func_id")
     return shared.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("qid", "rank", "func_id")

@@ -5,25 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from querygrade.functions.geometry_udfs import canonical_ewkt, equals_exact, equals_snapped, z_close
+from querygrade.functions.geometry_udfs import verdict_of
 
 
 def geo_verdict(pairs: DataFrame, rule: str = "full") -> DataFrame:
     """``pairs(..., ref, got)`` with verdict 0/1.  Rules: text, exact (text or exact topology), full.
 
-    Python functions run for every row of a projection, so the early exit is a filter split: only pairs whose texts
-    differ reach the topological test.  Two nulls agree; null against a value, and invalid texts, do not.
+    One Arrow function decides each pair in one pass and stops at the first test that settles it.  Two nulls agree; null
+    against a value, and invalid texts, do not.
     """
-    texts = pairs.withColumns({"a": canonical_ewkt("ref"), "b": canonical_ewkt("got")})
-    null = F.col("ref").isNull() & F.col("got").isNull()
-    same = null | F.coalesce(F.col("a") == F.col("b"), F.lit(False))
-    marked = texts.withColumn("same", same)
-    plain = pairs.columns
-    first = marked.where("same").select(*plain, F.lit(1).alias("verdict"))
-    rest = marked.where(~F.col("same"))
-    if rule == "text":
-        return first.unionByName(rest.select(*plain, F.lit(0).alias("verdict")))
-    ready = F.col("a").isNotNull() & F.col("b").isNotNull()
-    test = equals_exact("ref", "got") if rule == "exact" else equals_snapped("ref", "got") & z_close("ref", "got")
-    second = rest.where(ready).select(*plain, test.cast("int").alias("verdict"))
-    return first.unionByName(second).unionByName(rest.where(~ready).select(*plain, F.lit(0).alias("verdict")))
+    known = F.when(F.col("ref").isNull() & F.col("got").isNull(), 1).when(F.col("ref").isNull() | F.col("got").isNull(), 0)
+    return pairs.withColumn("verdict", F.coalesce(known, verdict_of(rule)("ref", "got")))

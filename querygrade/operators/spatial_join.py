@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from querygrade.sources.tables import written
+
 
 def cell(x: Column, y: Column, size: float) -> tuple[Column, Column]:
     return F.floor(x / size).cast("long"), F.floor(y / size).cast("long")
@@ -33,24 +37,26 @@ def within_distance(left: DataFrame, right: DataFrame, d: float) -> DataFrame:
     return placed.join(around, ["cx", "cy"]).where(gap <= d * d).withColumn("distance", F.sqrt(gap)).drop("cx", "cy")
 
 
-def nearest(left: DataFrame, right: DataFrame, key: str, other: str, k: int, first_radius: float, most_rounds: int = 12) -> DataFrame:
-    """The k nearest right points of every left point, ties by the right key.
+def nearest(left: DataFrame, right: DataFrame, key: str, other: str, k: int, first_radius: float) -> DataFrame:
+    """The k nearest right points of every left point (all, where there are fewer), ties by the right key.
 
-    Rounds double the radius; a left point leaves when it has k points within its radius, so a round joins only
-    those that are left, and the last round joins what is still open to all.
+    Rounds double the radius; a left point leaves when it has k points within its radius, so a round joins only those that
+    are open, which are written between rounds.  The last round's radius spans all points of both sides, so nothing stays open.
     """
-    spark, parts, radius = left.sparkSession, [], first_radius
-    todo = left.select(key, "x", "y")
-    for _ in range(most_rounds):
+    ends = [F.min("x"), F.max("x"), F.min("y"), F.max("y")]
+    edges = [v for r in (left.agg(*ends).first(), right.agg(F.min("x2"), F.max("x2"), F.min("y2"), F.max("y2")).first()) for v in r]
+    spread = 0.0 if None in edges else math.hypot(max(edges[1], edges[5]) - min(edges[0], edges[4]), max(edges[3], edges[7]) - min(edges[2], edges[6]))
+    out, radius, todo = None, float(first_radius), left.select(key, "x", "y")
+    while True:
+        last = radius >= spread
         near = within_distance(todo, right.select(other, "x2", "y2"), radius)
         w = Window.partitionBy(key).orderBy("distance", other)
-        ranked = near.withColumns({"rank": F.row_number().over(w), "n": F.count(F.lit(1)).over(Window.partitionBy(key))}).where(F.col("n") >= k).where(F.col("rank") <= k)
-        parts.append(ranked.select(key, "rank", other, "distance"))
-        todo = todo.join(ranked.select(key).distinct(), key, "left_anti")
+        ranked = near.withColumns({"rank": F.row_number().over(w), "n": F.count(F.lit(1)).over(Window.partitionBy(key))}).where(F.lit(last) | (F.col("n") >= k)).where(F.col("rank") <= k)
+        ranked = written(ranked.select(key, "rank", other, "distance"), "nearest")
+        out = ranked if out is None else out.unionByName(ranked)
+        if last:
+            return out
+        todo = written(todo.join(ranked.select(key).distinct(), key, "left_anti"), "nearest-open")
+        if todo.isEmpty():
+            return out
         radius *= 2
-        if radius > 720:
-            break
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out

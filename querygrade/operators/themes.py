@@ -8,18 +8,22 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def pairwise_distance(vectors: DataFrame) -> DataFrame:
-    """i, j, d (i < j) of a theme-sized table ``vectors(id, v)``."""
-    a, b = vectors.select(F.col("id").alias("i"), F.col("v").alias("x")), vectors.select(F.col("id").alias("j"), F.col("v").alias("y"))
-    square = F.aggregate(F.zip_with("x", "y", lambda p, q: (p - q) * (p - q)), F.lit(0.0).cast("double"), lambda s, e: s + e)
-    return a.join(F.broadcast(b), F.col("i") < F.col("j")).select("i", "j", F.sqrt(square).alias("d"))
+def pairwise_distance(vectors: DataFrame, block: int = 512) -> DataFrame:
+    """i, j, d (i < j) of ``vectors(id, v)``: blocks of rows meet by an equi-join, so no task holds more than two blocks."""
+    blocks = max(1, -(-vectors.count() // block))
+    own = F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")
+    left = vectors.select(F.col("id").alias("i"), F.col("v").alias("x"), own.alias("p")).withColumn("q", F.explode(F.sequence(F.col("p"), F.lit(blocks - 1))))
+    right = vectors.select(F.col("id").alias("j"), F.col("v").alias("y"), own.alias("q")).withColumn("p", F.explode(F.sequence(F.lit(0), F.col("q"))))
+    square = F.aggregate(F.zip_with("x", "y", lambda a, b: (a - b) * (a - b)), F.lit(0.0).cast("double"), lambda s, e: s + e)
+    met = left.join(right, ["p", "q"]).where("p < q or i < j")
+    return met.select(F.least("i", "j").alias("i"), F.greatest("i", "j").alias("j"), F.sqrt(square).alias("d"))
 
 
 def silhouette(distances: DataFrame, labels: DataFrame) -> DataFrame:
     """id, label, s from distances (i, j, d) and labels (id, label); members of singletons score 0."""
     both = distances.select("i", "j", "d").unionByName(distances.select(F.col("j").alias("i"), F.col("i").alias("j"), "d"))
     of_i, of_j = labels.select(F.col("id").alias("i"), F.col("label").alias("own")), labels.select(F.col("id").alias("j"), "label")
-    mean = both.join(F.broadcast(of_i), "i").join(F.broadcast(of_j), "j").groupBy("i", "own", "label").agg(F.avg("d").alias("m"))
+    mean = both.join(of_i, "i").join(of_j, "j").groupBy("i", "own", "label").agg(F.avg("d").alias("m"))
     ab = mean.groupBy("i", "own").agg(F.min(F.when(F.col("label") == F.col("own"), F.col("m"))).alias("a"), F.min(F.when(F.col("label") != F.col("own"), F.col("m"))).alias("b"))
     s = F.when(F.col("a").isNull() | F.col("b").isNull(), 0.0).otherwise(F.try_divide(F.col("b") - F.col("a"), F.greatest("a", "b")))
     return ab.select(F.col("i").alias("id"), F.col("own").alias("label"), F.coalesce(s, F.lit(0.0)).alias("s"))
@@ -76,11 +80,18 @@ def _score(d: np.ndarray, labels: np.ndarray) -> float:
     return float(np.mean(s))
 
 
-def theme_clusters(vectors: DataFrame, low: int = 2, high: int = 16) -> DataFrame:
-    """k, silhouette, chosen for Ward cuts of a theme-sized table (dozens to a few thousand rows, one group).
+def centroids(vectors: DataFrame, most: int) -> DataFrame:
+    """id, v: at most ``most`` cluster centres of all rows, by bisecting k-means."""
+    from pyspark.ml.clustering import BisectingKMeans
+    from pyspark.ml.functions import array_to_vector
 
-    For corpora beyond that, cluster first by BisectingKMeans and hand the centroids here.
-    """
+    model = BisectingKMeans(k=most, seed=1, maxIter=8).fit(vectors.select(array_to_vector("v").alias("features")))
+    rows = [(k, [float(x) for x in c]) for k, c in enumerate(model.clusterCenters())]  # most rows
+    return vectors.sparkSession.createDataFrame(rows, "id long, v array<double>")
+
+
+def theme_clusters(vectors: DataFrame, low: int = 2, high: int = 16, most: int = 256) -> DataFrame:
+    """k, silhouette, chosen for Ward cuts of all rows; beyond ``most`` rows, of the centres that bisecting k-means gives them."""
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
         x = np.array(group.sort_values("id")["v"].tolist(), float)
@@ -90,7 +101,8 @@ def theme_clusters(vectors: DataFrame, low: int = 2, high: int = 16) -> DataFram
         best = int(np.argmax(scores)) if scores else -1
         return pd.DataFrame({"k": ks, "silhouette": scores, "chosen": [int(i == best) for i in range(len(ks))]})
 
-    return vectors.withColumn("one_group", F.lit(0)).groupBy("one_group").applyInPandas(run, "k int, silhouette double, chosen int")
+    few = vectors if vectors.limit(most + 1).count() <= most else centroids(vectors, most)
+    return few.withColumn("one_group", F.lit(0)).groupBy("one_group").applyInPandas(run, "k int, silhouette double, chosen int")
 
 
 def word_vectors(docs: DataFrame, size: int = 32) -> DataFrame:
@@ -99,6 +111,6 @@ def word_vectors(docs: DataFrame, size: int = 32) -> DataFrame:
     from pyspark.ml.feature import RegexTokenizer, StopWordsRemover, Word2Vec
     from pyspark.ml.functions import vector_to_array
 
-    steps = [RegexTokenizer(inputCol="text", outputCol="words", pattern=r"\W+"), StopWordsRemover(inputCol="words", outputCol="kept"), Word2Vec(vectorSize=size, minCount=5, seed=1, numPartitions=1, inputCol="kept", outputCol="vector")]
+    steps = [RegexTokenizer(inputCol="text", outputCol="words", pattern=r"\W+"), StopWordsRemover(inputCol="words", outputCol="kept"), Word2Vec(vectorSize=size, minCount=5, seed=1, inputCol="kept", outputCol="vector")]
     model = Pipeline(stages=steps).fit(docs)
     return model.transform(docs).select("id", vector_to_array("vector").alias("v"))

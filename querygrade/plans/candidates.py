@@ -44,8 +44,12 @@ TEMPLATES = [
     Template("WITH c AS (SELECT geom, id FROM sites) SELECT c.id FROM c WHERE ST_Within(c.geom, ST_Buffer(ST_Point(1, 2), {size}, 'quad_segs=8'))", 1, ["sites"], ["c.geom", "c.id", "sites.geom", "sites.id"], ["st_within", "st_buffer", "st_point"]),
     Template("SELECT id FROM sites WHERE ST_Within(geom, (SELECT geom FROM zones WHERE name = '{name}'))", 1, ["sites", "zones"], ["geom", "sites.id", "zones.name"], ["st_within"], None),
     Template("SELECT s.id FROM public.sites s, zones z WHERE s.geom && z.geom AND z.name::text = '{name}' AND ST_Buffer(ST_Point(1, 2), {size}::integer, 'quad_segs=8') IS NOT NULL", functions=["st_buffer", "st_point"]),
-    Template("DELETE FROM sites WHERE id = {size}", 1, [], [], [], None),
+    Template("DELETE FROM sites WHERE id = {size}", 1, ["sites"], ["sites.id"], [], None),
     Template("", 0, [], [], [], None),
+    Template("SELECT x.id FROM sites x WHERE EXISTS (SELECT 1 FROM zones x WHERE x.name = '{name}')", 1, ["sites", "zones"], ["sites.id", "zones.name"], [], None),
+    Template("WITH sites AS (SELECT id FROM sites) SELECT s.id FROM sites s WHERE s.id = {size}", 1, ["sites"], ["sites.id"], [], None),
+    Template("DELETE FRM sites WHERE id = {size}", 0, [], [], [], None),
+    Template("INSERT INTO zones (name, geom) SELECT s.id, ST_Buffer(s.geom::geometry, {size}, 'x') FROM sites s", 1, ["sites", "zones"], ["sites.geom", "sites.id", "zones.geom", "zones.name"], ["st_buffer"]),
     Template('SELECT "s".id /* key */ FROM sites AS "s" -- all\nORDER BY ST_Buffer(s.geom::geometry, {size}, \'x\') <-> ST_Point(1, 2) LIMIT 3', 1, ["sites"], ["sites.geom", "sites.id"], ["st_buffer", "st_point"]),
     Template("SELECT s.id FROM sites s UNION ALL SELECT z.name FROM zones z WHERE ST_Area(z.geom) > {size}", 1, ["sites", "zones"], ["sites.id", "zones.geom", "zones.name"], ["st_area"], None),
     Template(_JOIN.replace("zones z ON", "zones z ON o.k = z.k AND").replace("FROM sites s", "FROM sites s CROSS JOIN owners o") + "ST_Buffer(ST_Point(1, 2), {size}, true) IS NOT NULL", tables=["owners", "sites", "zones"], fields=["owners.k", *_ALL, "zones.k"], functions=["st_within", "st_buffer", "st_point"], types=["geometry", "integer", "boolean"]),

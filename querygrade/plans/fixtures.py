@@ -28,10 +28,10 @@ def roster(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def questions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Questions of three families, each explicit (0) and underspecified (1)."""
-    base = table(spark, sf_dir, "part").where("p_partkey % 4 = 0")
+    base = table(spark, sf_dir, "part")
     key, size = F.col("p_partkey"), F.col("p_size")
     return base.select(
-        key.alias("qid"), F.explode(F.array(F.lit(0), F.lit(1))).alias("variant"), _pick(FAMILIES, F.floor(key / 4) % 3).alias("family"), _pick(SUBTASKS, size % 4).alias("subtask"),
+        key.alias("qid"), F.explode(F.array(F.lit(0), F.lit(1))).alias("variant"), _pick(FAMILIES, key % 3).alias("family"), _pick(SUBTASKS, size % 4).alias("subtask"),
         F.regexp_extract("p_brand", "([0-9]+)", 1).cast("int").alias("func_id"), _pick(KINDS, size % 4).alias("result_kind"), F.chr(65 + size % 4).alias("truth"), size.alias("size"), F.col("p_name").alias("name"),
     )
 
@@ -63,9 +63,9 @@ _KEY = "model_id || '-' || qid || '-' || variant || '-' || run"
 CTES = f"""
 roster AS (SELECT n_nationkey AS model_id, n_name AS model_name, n_regionkey AS category, r_name AS category_name FROM nation JOIN region ON n_regionkey = r_regionkey),
 questions AS (
-  SELECT p_partkey AS qid, variant, {_sql_case(FAMILIES, "(p_partkey // 4) % 3")} AS family, {_sql_case(SUBTASKS, "p_size % 4")} AS subtask,
+  SELECT p_partkey AS qid, variant, {_sql_case(FAMILIES, "p_partkey % 3")} AS family, {_sql_case(SUBTASKS, "p_size % 4")} AS subtask,
          CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INTEGER) AS func_id, {_sql_case(KINDS, "p_size % 4")} AS result_kind, chr(65 + p_size % 4) AS truth, p_size AS size, p_name AS name
-  FROM part, (VALUES (0), (1)) v(variant) WHERE p_partkey % 4 = 0),
+  FROM part, (VALUES (0), (1)) v(variant)),
 graded AS (
   SELECT *, CAST({u("'q' || qid")} % 1000 + {u("'r' || " + _KEY)} % 400 - 200 + 150 * variant < 250 + 20 * model_id AS INTEGER) AS correct
   FROM roster, questions, (VALUES (1), (2), (3), (4), (5)) r(run)),

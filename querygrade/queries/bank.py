@@ -62,11 +62,11 @@ def distractor_check(spark, sf):
     return options.join(bad, "qid", "left").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("v"), F.lit(0)).cast("long").alias("violations"))
 
 
-@query("perturbed_signatures", "SELECT * FROM (VALUES ('order', 'integer,geometry,text'), ('type', 'text,integer,text'), ('count', 'geometry,integer')) v(kind, sig)")
+@query("perturbed_signatures", f"WITH {_DOCS} SELECT func_id, kind, sig FROM docs, (VALUES ('order', 'integer,geometry,text'), ('type', 'text,integer,text'), ('count', 'geometry,integer')) v(kind, sig)")
 def perturbed_signatures(spark, sf):
-    one = b.function_docs(table(spark, sf, "part")).orderBy("func_id").limit(1)
+    docs = b.function_docs(table(spark, sf, "part"))
     rows = F.array(*[F.struct(F.lit(k).alias("kind"), F.array_join(b.perturb_signature(F.col("sig"), k), ",").alias("sig")) for k in ("order", "type", "count")])
-    return one.select(F.inline(rows))
+    return docs.select("func_id", F.inline(rows))
 
 
 @query("underspecified_text", with_ctes("SELECT qid, 'Write a statement like ' || name || ' that returns a ' || result_kind || ' geometry of type POLYGON with SRID 4326' AS nl_explicit, 'Write a statement like ' || name || ' that returns a ' || result_kind || ' shape' AS nl_under FROM questions WHERE variant = 0"))
@@ -98,20 +98,19 @@ def review_kappa(spark, sf):
     return rounded(b.kappa(_reviews(spark, sf)), "kappa")
 
 
-def _themes(spark, sf, below: int | None = 33):
-    v = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v"), "label")
-    return v.where(F.col("id") < below) if below else v  # the paper's 14 + 19 themes
+def _themes(spark, sf):
+    return table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v"), "label")
 
 
 _V = "v AS (SELECT vec_id AS id, list_transform(embedding, lambda x: x::DOUBLE) AS e, label FROM embeddings)"
 
 
-@query("theme_distance", f"WITH {_V} SELECT a.id AS i, b.id AS j, round(list_distance(a.e, b.e), 6) AS d FROM v a JOIN v b ON a.id < b.id WHERE b.id < 33")
+@query("theme_distance", f"WITH {_V} SELECT a.id AS i, b.id AS j, round(list_distance(a.e, b.e), 6) AS d FROM v a JOIN v b ON a.id < b.id")
 def theme_distance(spark, sf):
     return rounded(t.pairwise_distance(_themes(spark, sf).select("id", "v")), "d")
 
 
-@query("theme_silhouette", f"WITH {_V}, d AS (SELECT a.id AS i, a.label AS own, b.label, avg(list_distance(a.e, b.e)) AS m FROM v a JOIN v b ON a.id <> b.id WHERE a.id < 33 AND b.id < 33 GROUP BY 1, 2, 3), ab AS (SELECT i, own, min(m) FILTER (WHERE label = own) AS a, min(m) FILTER (WHERE label <> own) AS b FROM d GROUP BY 1, 2) SELECT own AS label, count(*) AS n, round(avg(CASE WHEN a IS NULL OR b IS NULL THEN 0 ELSE (b - a) / greatest(a, b) END), 6) AS mean_s FROM ab GROUP BY 1")
+@query("theme_silhouette", f"WITH {_V}, d AS (SELECT a.id AS i, a.label AS own, b.label, avg(list_distance(a.e, b.e)) AS m FROM v a JOIN v b ON a.id <> b.id GROUP BY 1, 2, 3), ab AS (SELECT i, own, min(m) FILTER (WHERE label = own) AS a, min(m) FILTER (WHERE label <> own) AS b FROM d GROUP BY 1, 2) SELECT own AS label, count(*) AS n, round(avg(CASE WHEN a IS NULL OR b IS NULL THEN 0 ELSE (b - a) / greatest(a, b) END), 6) AS mean_s FROM ab GROUP BY 1")
 def theme_silhouette(spark, sf):
     v = _themes(spark, sf)
     s = t.silhouette(t.pairwise_distance(v.select("id", "v")), v.select("id", "label"))
@@ -120,8 +119,7 @@ def theme_silhouette(spark, sf):
 
 @query("theme_clusters")
 def theme_clusters(spark, sf):
-    planted = _themes(spark, sf, 96).select("id", F.transform("v", lambda x, i: F.when(i == F.col("id") % 8, x + 3.0).otherwise(x)).alias("v"))
-    return t.theme_clusters(planted)
+    return t.theme_clusters(_themes(spark, sf).select("id", "v"))
 
 
 @query("word_vectors")
@@ -136,11 +134,11 @@ def prompts(spark, sf):
     return questions(spark, sf).where("variant = 0 AND family = 'syntax'").select("qid", b.render_prompt("syntax", F.col("name")).alias("prompt"))
 
 
-@query("retrieval_strategy", f"WITH {_DOCS}, q AS (SELECT p_partkey AS qid, unnest(list_distinct(list_filter(string_split_regex(lower(p_name || ' ' || p_type), '[^a-z0-9]+'), lambda x: x <> ''))) AS token FROM part WHERE p_partkey % 4 = 0), w AS (SELECT CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INTEGER) AS func_id, unnest(list_filter(string_split_regex(lower(p_type || ' ' || p_name), '[^a-z0-9]+'), lambda x: x <> '')) AS token FROM part WHERE p_partkey % 7 = 1), d AS (SELECT DISTINCT func_id, token FROM w), h AS (SELECT qid, func_id, count(*) AS hits FROM q JOIN d USING (token) GROUP BY 1, 2), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY hits DESC, func_id) AS rank FROM h) SELECT qid, CAST(rank AS INTEGER) AS rank, func_id FROM r WHERE rank <= 3")
+@query("retrieval_strategy", f"WITH {_DOCS}, q AS (SELECT p_partkey AS qid, unnest(list_distinct(list_filter(string_split_regex(lower(p_name || ' ' || p_type), '[^a-z0-9]+'), lambda x: x <> ''))) AS token FROM part), w AS (SELECT CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INTEGER) AS func_id, unnest(list_filter(string_split_regex(lower(p_type || ' ' || p_name), '[^a-z0-9]+'), lambda x: x <> '')) AS token FROM part), d AS (SELECT DISTINCT func_id, token FROM w), h AS (SELECT qid, func_id, count(*) AS hits FROM q JOIN d USING (token) GROUP BY 1, 2), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY hits DESC, func_id) AS rank FROM h) SELECT qid, CAST(rank AS INTEGER) AS rank, func_id FROM r WHERE rank <= 3")
 def retrieval_strategy(spark, sf):
     part = table(spark, sf, "part")
-    asked = part.where("p_partkey % 4 = 0").select(F.col("p_partkey").alias("qid"), F.concat_ws(" ", "p_name", "p_type").alias("text"))
-    docs = part.where("p_partkey % 7 = 1").groupBy(F.regexp_extract("p_brand", "([0-9]+)", 1).cast("int").alias("func_id")).agg(F.concat_ws(" ", F.collect_list(F.concat_ws(" ", "p_type", "p_name"))).alias("text"))
+    asked = part.select(F.col("p_partkey").alias("qid"), F.concat_ws(" ", "p_name", "p_type").alias("text"))
+    docs = part.groupBy(F.regexp_extract("p_brand", "([0-9]+)", 1).cast("int").alias("func_id")).agg(F.concat_ws(" ", F.collect_list(F.concat_ws(" ", "p_type", "p_name"))).alias("text"))
     return b.retrieve_functions(asked, docs)
 
 

@@ -8,24 +8,36 @@ from querygrade.operators import measures as m
 from querygrade.operators import ranking as r
 from querygrade.plans.fixtures import SUBTASKS, attempts, with_ctes
 from querygrade.queries import query, rounded
+from querygrade.sources.tables import written
 
 MEASURES = ("epr", "sa", "acc", "p5", "robust")
 
 
 def metric_table(spark, sf):
-    """model_id and one column for each measure: concept_*, syntax_*, schema_*."""
+    """model_id and one column for each measure: concept_*, syntax_*, schema_*.
+
+    The log is built and aggregated once, by question and then by contestant; the few hundred sums are written, and all
+    that ranks contestants reads these.
+    """
     log = attempts(spark, sf)
-    concept = m.concept_table(log.where("family = 'concept'"), ["model_id"], SUBTASKS).drop("average")
-    out = concept.withColumnsRenamed({s: f"concept_{s}" for s in SUBTASKS})
-    sql = log.where("family <> 'concept'")
-    rates = m.pass_rates(sql, ["model_id", "family"]).drop("gap")
-    acc = m.accuracy(sql, ["model_id", "family"], name="acc")
-    p5 = m.pass_at(sql, ["model_id", "family"], ["qid", "variant"], (5,))
-    robust = m.robustness(sql, ["model_id", "family"]).select("model_id", "family", F.col("underspecified").alias("robust"))
-    wide = rates.join(acc, ["model_id", "family"]).join(p5, ["model_id", "family"]).join(robust, ["model_id", "family"])
-    for family in ("syntax", "schema"):
-        out = out.join(wide.where(F.col("family") == family).select("model_id", *[F.col(x).alias(f"{family}_{x}") for x in MEASURES]), "model_id")
-    return out
+    right = (F.col("answer") == F.col("truth")).cast("long")
+    total = {"n": F.count(F.lit(1)), "epr": F.sum("exec_state"), "sa": F.sum("syntax_state"), "acc": F.sum("correct"), "p5": F.max("correct"), "hit": F.sum(F.coalesce(right, F.lit(0)))}
+    by = ["model_id", "family", "subtask", "variant"]
+    asked = log.groupBy(*by, "qid").agg(*[c.alias(k) for k, c in total.items()])
+    sums = written(asked.groupBy(*by).agg(F.count(F.lit(1)).alias("asked"), *[F.sum(k).alias(k) for k in total]), "fact-sums")
+
+    def ratio(value, of, *cond):
+        met = F.lit(True)
+        for c in cond:
+            met = met & c
+        return F.sum(F.when(met, F.col(value)).cast("double")) / F.sum(F.when(met, F.col(of)).cast("double"))
+
+    family, variant = F.col("family"), F.col("variant")
+    out = [ratio("hit", "n", family == "concept", F.col("subtask") == s).alias(f"concept_{s}") for s in SUBTASKS]
+    for name in ("syntax", "schema"):
+        out += [ratio(k, "n", family == name).alias(f"{name}_{k}") for k in ("epr", "sa", "acc")]
+        out += [ratio("p5", "asked", family == name).alias(f"{name}_p5"), ratio("acc", "n", family == name, variant == 1).alias(f"{name}_robust")]
+    return sums.groupBy("model_id").agg(*out)
 
 
 METRICS = [f"concept_{s}" for s in SUBTASKS] + [f"{f}_{x}" for f in ("syntax", "schema") for x in MEASURES]

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from querygrade.operators.joins import as_of, interval_join
+from querygrade.plans.fixtures import attempts, with_ctes
 from querygrade.queries import query, rounded
-from querygrade.sources.tables import table, views
+from querygrade.sources.tables import csv_round_trip, read_answers, shared_folder, table, views, write_answers
 
 
 def _t(spark, sf, *names):
@@ -19,6 +22,19 @@ def scan_parquet(spark, sf):
     return table(spark, sf, "lineitem").where("l_quantity > 30").groupBy("l_returnflag", "l_linestatus").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("scan_jsonl_roundtrip", with_ctes("SELECT CAST(model_id AS BIGINT) AS model_id, CAST(qid AS BIGINT) AS qid, CAST(variant AS INTEGER) AS variant, CAST(run AS INTEGER) AS run, answer FROM attempts WHERE family = 'concept'"))
+def scan_jsonl_roundtrip(spark, sf):
+    path = f"{shared_folder(spark)}/answers-{uuid.uuid4().hex}"
+    write_answers(attempts(spark, sf).where("family = 'concept'").select("model_id", "qid", "variant", "run", "answer"), path)
+    return read_answers(spark, path)[0]
+
+
+@query("scan_csv_roundtrip", "SELECT c_custkey, c_name, c_nationkey, c_acctbal, nullif(c_mktsegment, 'BUILDING') AS segment FROM customer")
+def scan_csv_roundtrip(spark, sf):
+    rows = table(spark, sf, "customer").select("c_custkey", "c_name", "c_nationkey", "c_acctbal", F.nullif(F.col("c_mktsegment"), F.lit("BUILDING")).alias("segment"))
+    return csv_round_trip(rows, "customers")
+
+
 @query("project_filter", "SELECT o_orderkey, round(o_totalprice * 1.1, 4) AS gross FROM orders WHERE o_orderstatus IN ('F', 'P') AND o_totalprice BETWEEN 1000 AND 50000")
 def project_filter(spark, sf):
     o = table(spark, sf, "orders").where(F.col("o_orderstatus").isin("F", "P") & F.col("o_totalprice").between(1000, 50000))

@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
+import tempfile
+import uuid
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,6 +29,38 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_local: str | None = None
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The session's shared folder; a temporary one of this process only on ``local[n]`` without one (tests)."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if root:
+        return root.rstrip("/")
+    if not (spark.conf.get("spark.master", None) or "local").startswith("local") or "cluster" in (spark.conf.get("spark.master", None) or ""):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    global _local
+    if _local is None:
+        _local = tempfile.mkdtemp(prefix="shared_")
+        atexit.register(shutil.rmtree, _local, True)
+    return f"file://{_local}"
+
+
+def written(df: DataFrame, label: str) -> DataFrame:
+    """A table of the shared folder in place of a plan that is read more than once."""
+    path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def csv_round_trip(df: DataFrame, label: str) -> DataFrame:
+    """``df`` written as CSV and read again with its schema; empty strings and nulls stay apart."""
+    path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+    options = {"header": "true", "escape": '"', "nullValue": "\\N", "emptyValue": "", "multiLine": "true"}
+    df.write.options(**options).csv(path)
+    return df.sparkSession.read.options(**options).schema(df.schema).csv(path)
+
+
 def views(spark: SparkSession, sf_dir: str, *names: str) -> None:
     """Temporary views of tables for SQL text."""
     for name in names or TABLES:

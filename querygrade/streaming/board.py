@@ -2,28 +2,12 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_local: str | None = None
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The session's shared folder; a temporary one of this process only where the session names none (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root.rstrip("/")
-    global _local
-    if _local is None:
-        _local = tempfile.mkdtemp(prefix="streams_")
-        atexit.register(shutil.rmtree, _local, True)
-    return f"file://{_local}"
-
+from querygrade.sources.tables import shared_folder
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1000) -> DataFrame:
     """Run-log events as a file stream with event time and a family."""

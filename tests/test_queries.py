@@ -32,7 +32,28 @@ def test_twin(spark, name):
 
 
 def test_planted_themes_give_eight(spark):
-    assert [r.k for r in QUERIES["theme_clusters"](spark, SF).where("chosen = 1").collect()] == [8]
+    from pyspark.sql import functions as F
+
+    from querygrade.operators.themes import theme_clusters
+
+    rows = spark.read.parquet(f"{SF}/embeddings.parquet").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x, i: x.cast("double") + F.when(i == F.col("vec_id") % 8, 3.0).otherwise(0.0)).alias("v"))
+    for few in (rows.where("id < 96"), rows):  # all rows at once, and by centres
+        assert [r.k for r in theme_clusters(few).where("chosen = 1").collect()] == [8]
+
+
+def test_nearest_with_few_and_far_points(spark):
+    from querygrade.operators.spatial_join import nearest
+
+    left = spark.createDataFrame([(1, 0.0, 0.0), (2, 9000.0, 1.0), (3, -5.0, 2.0)], "id long, x double, y double")
+    right = spark.createDataFrame([(10, 0.0, 5000.0), (11, 1.0, 1.0)], "rid long, x2 double, y2 double")
+    got = {(r.id, r.rank): r.rid for r in nearest(left, right, "id", "rid", 3, 1.0).collect()}
+    assert got == {(1, 1): 11, (1, 2): 10, (2, 1): 11, (2, 2): 10, (3, 1): 11, (3, 2): 10}
+    assert nearest(left, right.limit(0), "id", "rid", 3, 1.0).count() == 0
+
+
+def test_ranking_scans_the_facts_once(spark):
+    plan = QUERIES["overall_rank"](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert "part.parquet" not in plan and "fact-sums" in plan
 
 
 def test_answers_round_trip(spark, tmp_path):

@@ -23,9 +23,28 @@ def test_states(text, state):
 def test_deep_nesting_and_long_texts_end():
     assert scan("select " + "(" * 5000 + "1" + ")" * 5000)["syntax_state"] == 0
     assert scan("select " + "+".join(["1"] * 20000))["syntax_state"] == 1
-    assert scan("select 1 " + " " * 300_000)["syntax_state"] == 0
+    assert scan("select 1 " + " " * 300_000)["syntax_state"] == 1
 
 
 def test_names_resolve_through_aliases_and_ctes():
     got = scan("WITH c AS (SELECT z.g FROM public.zones AS z) SELECT c.g, s.id FROM c JOIN sites s ON s.id = 1")
     assert got["tables"] == ["zones", "sites"] and set(got["fields"]) == {"zones.g", "c.g", "sites.id"}
+
+
+@pytest.mark.parametrize("text,tables,fields", [
+    ("SELECT x.a FROM t1 x WHERE EXISTS (SELECT 1 FROM t2 x WHERE x.b = 1)", {"t1", "t2"}, {"t1.a", "t2.b"}),
+    ("SELECT q.c FROM (WITH sites AS (SELECT 1 AS c) SELECT c FROM sites) q JOIN sites s ON s.d = q.c", {"sites"}, {"q.c", "c", "sites.d"}),
+    ("SELECT x.a FROM t1 x UNION ALL SELECT x.a FROM t2 x", {"t1", "t2"}, {"t1.a", "t2.a"}),
+    ("WITH RECURSIVE r AS (SELECT 1 AS n UNION ALL SELECT n FROM r) SELECT r.n FROM r", set(), {"n", "r.n"}),
+    ("SELECT s.id FROM sites s ORDER BY s.k", {"sites"}, {"sites.id", "sites.k"}),
+    ("UPDATE t1 AS u SET a = u.b + 1 FROM t2 WHERE t2.k = u.k RETURNING u.a", {"t1", "t2"}, {"a", "t1.b", "t2.k", "t1.k", "t1.a"}),
+    ("INSERT INTO t SELECT ST_Area(g) FROM u", {"t", "u"}, {"g"}),
+])
+def test_names_hold_in_their_scope(text, tables, fields):
+    got = scan(text)
+    assert got["syntax_state"] == 1 and set(got["tables"]) == tables and set(got["fields"]) == fields
+
+
+@pytest.mark.parametrize("text", ["DELETE FRM sites", "INSERT INTO t", "UPDATE t SET", "UPDATE t a = 1", "DELETE FROM t WHERE", "INSERT INTO t (a, b) VALUES (1, 2", "DELETE FROM t x y"])
+def test_faulty_statements_of_other_kinds(text):
+    assert scan(text)["syntax_state"] == 0
