@@ -67,21 +67,55 @@ def misuse_kind(reference: Column, got: Column) -> Column:
     return F.when(got.isNull() | (reference == got), "none").when(F.size(reference) != F.size(got), "count").when(F.array_sort(reference) == F.array_sort(got), "order").otherwise("type")
 
 
-def scored(log: DataFrame, catalog: dict[str, list[str]], reference: dict) -> DataFrame:
-    """``log(..., sql)`` with state, structure and thr, fhr, fnr, ama, misuse of every attempt."""
+def argument_types(types: Column, tables: Column, kinds: dict[str, str]) -> Column:
+    """Argument types with columns typed by the catalogue (``table.field`` to type); ambiguous and foreign columns are unknown."""
+    catalog: dict[str, list[str]] = {}
+    for name in kinds:
+        catalog.setdefault(name.split(".")[0], []).append(name.split(".")[1])
+    of = F.create_map(*[F.lit(x) for pair in kinds.items() for x in pair])
+
+    def one(t: Column) -> Column:
+        name = F.get(resolve_fields(F.array(F.substring(t, 8, 10_000)), tables, catalog), F.lit(0))
+        return F.when(~t.startswith("column:"), t).otherwise(F.coalesce(F.try_element_at(of, name), F.lit("unknown")))
+
+    return F.transform(types, one)
+
+
+def structured(log: DataFrame, catalog: dict[str, list[str]]) -> DataFrame:
+    """``log(..., sql)`` with syntax state and structure, fields resolved by the catalogue."""
     structures = scan_statements(log).drop("sql")
-    ref = {k: F.array(*map(F.lit, reference[k])) for k in ("tables", "fields", "types")}
-    core = F.lit(reference["core"])
     out = log.withColumn("md5", F.md5(F.col("sql").cast("binary"))).join(structures, "md5")
-    out = out.withColumn("fields", resolve_fields(F.col("fields"), F.col("tables"), catalog)).withColumn("core", core_call(F.col("calls"), core))
-    types = F.col("core.types")
-    return out.withColumns({
-        "thr": hit_rate(ref["tables"], F.col("tables")), "fhr": hit_rate(ref["fields"], F.col("fields")),
-        "fnr": F.array_contains("functions", core).cast("int"), "ama": argument_match(ref["types"], types), "misuse": misuse_kind(ref["types"], types),
+    return out.withColumn("fields", resolve_fields(F.col("fields"), F.col("tables"), catalog))
+
+
+def _measured(out: DataFrame, core: Column, tables: Column, fields: Column, types: Column, kinds: dict[str, str] | None) -> DataFrame:
+    out = out.withColumn("core", core_call(F.col("calls"), core))
+    got = F.col("core.types") if kinds is None else argument_types(F.col("core.types"), F.col("tables"), kinds)
+    return out.withColumn("got_types", got).withColumns({
+        "thr": hit_rate(tables, F.col("tables")), "fhr": hit_rate(fields, F.col("fields")),
+        "fnr": F.array_contains("functions", core).cast("int"), "ama": argument_match(types, F.col("got_types")), "misuse": misuse_kind(types, F.col("got_types")),
     })
 
 
+def scored(log: DataFrame, catalog: dict[str, list[str]], reference: dict) -> DataFrame:
+    """``log(..., sql)`` with state, structure and thr, fhr, fnr, ama, misuse of every attempt against one reference."""
+    ref = {k: F.array(*map(F.lit, reference[k])) for k in ("tables", "fields", "types")}
+    return _measured(structured(log, catalog), F.lit(reference["core"]), ref["tables"], ref["fields"], ref["types"], None)
+
+
+def scored_by_question(log: DataFrame, references: DataFrame, kinds: dict[str, str]) -> DataFrame:
+    """As ``scored``, each attempt against its own question's row of ``references(qid, ref_tables, ref_fields, ref_core, ref_types)``.
+
+    ``kinds`` gives the type of every ``table.field`` of the catalogue, so bare columns are typed arguments.
+    """
+    catalog: dict[str, list[str]] = {}
+    for name in kinds:
+        catalog.setdefault(name.split(".")[0], []).append(name.split(".")[1])
+    met = structured(log, catalog).join(references, "qid")
+    return _measured(met, F.col("ref_core"), F.col("ref_tables"), F.col("ref_fields"), F.col("ref_types"), kinds)
+
+
 def invented_functions(structures: DataFrame, known: DataFrame) -> DataFrame:
     """func, n: called names that the catalogue ``known(func)`` lacks."""
     called = structures.select(F.explode("functions").alias("func"))
-    return called.groupBy("func").agg(F.count(F.lit(1)).alias("n")).join(F.broadcast(known), "func", "left_anti")
+    return called.groupBy("func").agg(F.count(F.lit(1)).alias("n")).join(known, "func", "left_anti")

@@ -101,6 +101,26 @@ def bind_functions(docs: DataFrame, databases: DataFrame, low: int = 4, high: in
     return drawn.unionByName(repaired)
 
 
+def annotate_questions(examples: DataFrame) -> DataFrame:
+    """``examples(..., sql)`` with the first function of each statement and its argument types, by the structure scan."""
+    from querygrade.operators.alignment import scan_statements
+
+    first = scan_statements(examples).select("md5", F.get("calls", F.lit(0)).alias("call"))
+    met = examples.withColumn("md5", F.md5(F.col("sql").cast("binary"))).join(first, "md5", "left")
+    return met.select(*examples.columns, F.col("call.name").alias("func"), F.col("call.types").alias("types"))
+
+
+def seed_examples(bank: DataFrame, n: int) -> DataFrame:
+    """n questions of each family in hash order, as seeds for generated ones."""
+    w = Window.partitionBy("family").orderBy(unit_of("seed", F.col("qid")), "qid")
+    return bank.withColumn("r", F.row_number().over(w)).where(F.col("r") <= n).drop("r")
+
+
+def distinct_questions(bank: DataFrame) -> DataFrame:
+    """qid, n: the least question of each family and normalised text (letters and digits, lower case), and how many share it."""
+    return bank.groupBy("family", F.regexp_replace(F.lower("name"), "[^a-z0-9]", "").alias("key")).agg(F.min("qid").alias("qid"), F.count(F.lit(1)).alias("n")).select("qid", "n")
+
+
 def validate_choices(options: DataFrame) -> DataFrame:
     """qid, rule of every violation: distinct options, exactly one of them right, at its key."""
     rules = {

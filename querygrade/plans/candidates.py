@@ -81,9 +81,38 @@ def facts() -> list[tuple]:
     return out
 
 
+KINDS = {"sites.id": "integer", "sites.geom": "geometry", "zones.name": "text", "zones.geom": "geometry"}
+#: References by question: even ones ask for a buffer over both tables, odd ones for containment of sites.
+BY_QUESTION = [REFERENCE, {"tables": ["sites"], "fields": ["sites.geom"], "core": "st_within", "types": ["geometry", "geometry"]}]
+#: Types of the containment call where they are not two geometries: foreign tables, common tables, ambiguous names and subqueries are unknown.
+WITHIN = {5: ["unknown", "geometry"], 8: ["unknown", "geometry"], 9: ["unknown", "unknown"]}
+
+
+def references(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """qid, ref_tables, ref_fields, ref_core, ref_types of every question."""
+    from querygrade.sources.tables import table
+
+    odd = F.col("p_partkey") % 2 == 1
+    arrays = {k: F.when(odd, F.array(*map(F.lit, BY_QUESTION[1][k]))).otherwise(F.array(*map(F.lit, BY_QUESTION[0][k]))) for k in ("tables", "fields", "types")}
+    core = F.when(odd, BY_QUESTION[1]["core"]).otherwise(BY_QUESTION[0]["core"])
+    return table(spark, sf_dir, "part").select(F.col("p_partkey").alias("qid"), *[c.alias(f"ref_{k}") for k, c in arrays.items()], core.alias("ref_core"))
+
+
+def facts_by_question() -> str:
+    """SQL rows (template, odd, thr, fhr, fnr, ama) from the lists above."""
+    rows = []
+    for k, t in enumerate(TEMPLATES):
+        for odd, ref in enumerate(BY_QUESTION):
+            hit = lambda got, want: len(set(got) & set(want)) / len(got) if got else 0.0
+            got = t.types if not odd else WITHIN.get(k, ["geometry", "geometry"]) if "st_within" in t.functions else None
+            ama = sum(a == b for a, b in zip(got or [], ref["types"], strict=False)) / len(ref["types"])
+            rows.append((k, odd, hit(t.tables, ref["tables"]), hit(t.fields, ref["fields"]), int(ref["core"] in t.functions), ama))
+    return ", ".join(map(repr, rows))
+
+
 def _sql_rows() -> str:
     return ", ".join("(" + ", ".join(f"'{x}'" if isinstance(x, str) else repr(x) for x in row) + ")" for row in facts())
 
 
 CTES = f"""facts AS (SELECT * FROM (VALUES {_sql_rows()}) f(template, state, tables, fields, functions, thr, fhr, fnr, ama, misuse)),
-candidates AS (SELECT a.model_id, a.family, f.* FROM attempts a JOIN facts f ON f.template = {u("'c' || model_id || '-' || qid || '-' || variant || '-' || run")} % {len(TEMPLATES)} WHERE a.family <> 'concept')"""
+candidates AS (SELECT a.model_id, a.qid, a.family, f.* FROM attempts a JOIN facts f ON f.template = {u("'c' || model_id || '-' || qid || '-' || variant || '-' || run")} % {len(TEMPLATES)} WHERE a.family <> 'concept')"""

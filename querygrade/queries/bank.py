@@ -142,6 +142,21 @@ def retrieval_strategy(spark, sf):
     return b.retrieve_functions(asked, docs)
 
 
+@query("annotated_examples", "SELECT CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INTEGER) AS func_id, CAST(row_number() OVER (PARTITION BY p_brand ORDER BY p_partkey) - 1 AS INTEGER) AS j, 'st_f' || CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INTEGER) AS func, 'integer' AS types FROM part")
+def annotated_examples(spark, sf):
+    return b.annotate_questions(b.function_examples(b.function_docs(table(spark, sf, "part"))).withColumnRenamed("query", "sql")).select("func_id", "j", "func", F.array_join("types", ",").alias("types"))
+
+
+@query("seed_examples", with_ctes(f"WITH s AS (SELECT qid, family, row_number() OVER (PARTITION BY family ORDER BY {u(chr(39) + 'seed' + chr(39) + ' || qid')}, qid) AS r FROM questions WHERE variant = 0) SELECT qid, family FROM s WHERE r <= 8"))
+def seed_examples(spark, sf):
+    return b.seed_examples(questions(spark, sf).where("variant = 0"), 8).select("qid", "family")
+
+
+@query("distinct_questions", with_ctes("SELECT min(qid) AS qid, count(*) AS n FROM questions WHERE variant = 0 GROUP BY regexp_replace(lower(name), '[^a-z0-9]', '', 'g'), family"))
+def distinct_questions(spark, sf):
+    return b.distinct_questions(questions(spark, sf).where("variant = 0"))
+
+
 @query("spark_function_docs")
 def spark_function_docs(spark, sf):
     return b.spark_function_docs(spark)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from querygrade.operators import measures as m
@@ -167,6 +168,14 @@ def accuracy_interval(spark, sf):
     return rounded(attempts(spark, sf).groupBy("model_id").agg(low.alias("low"), high.alias("high")), "low", "high")
 
 
+@query("scale_trend", with_ctes("WITH h AS (SELECT model_id, category, avg(correct) AS a FROM attempts WHERE family <> 'concept' GROUP BY 1, 2), k AS (SELECT *, row_number() OVER (PARTITION BY category ORDER BY model_id) AS size FROM h) SELECT category, count(*) AS n, round(corr(size, a), 6) AS trend FROM k GROUP BY 1"))
+def scale_trend(spark, sf):
+    """Accuracy against the order of size inside a family of contestants."""
+    each = m.accuracy(_sql_attempts(spark, sf), ["model_id"], name="a").join(roster(spark, sf).select("model_id", "category"), "model_id")
+    sized = each.withColumn("size", F.row_number().over(Window.partitionBy("category").orderBy("model_id")))
+    return rounded(sized.groupBy("category").agg(F.count(F.lit(1)).alias("n"), F.corr("size", "a").alias("trend")), "trend")
+
+
 @query("bootstrap_difference")
 def bootstrap_difference(spark, sf):
     return m.bootstrap_difference(_sql_attempts(spark, sf), 24, 12)

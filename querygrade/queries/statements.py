@@ -9,7 +9,7 @@ from querygrade.operators import alignment as a
 from querygrade.operators import measures as m
 from querygrade.operators.sandbox import execute_candidates
 from querygrade.operators.values import value_verdict
-from querygrade.plans.candidates import CATALOG, CTES, REFERENCE, TEMPLATES, candidates
+from querygrade.plans.candidates import CATALOG, CTES, KINDS, REFERENCE, TEMPLATES, candidates, facts_by_question, references
 from querygrade.plans.fixtures import with_ctes
 from querygrade.queries import query, rounded
 from querygrade.sources.tables import table
@@ -67,6 +67,28 @@ def alignment_denominators(spark, sf):
     return rounded(_scored(spark, sf).groupBy("model_id").agg(*rates), "precision", "recall", "f1")
 
 
+@query("alignment_per_question", _c(f", own AS (SELECT * FROM (VALUES {facts_by_question()}) o(template, odd, thr2, fhr2, fnr2, ama2)) SELECT model_id, round(avg(thr2), 6) AS thr, round(avg(fhr2), 6) AS fhr, round(avg(fnr2), 6) AS fnr, round(avg(ama2), 6) AS ama FROM candidates c JOIN own o ON o.template = c.template AND o.odd = c.qid % 2 GROUP BY 1"))
+def alignment_per_question(spark, sf):
+    each = a.scored_by_question(candidates(spark, sf), references(spark, sf), KINDS)
+    return rounded(each.groupBy("model_id").agg(*[F.avg(c).alias(c) for c in ("thr", "fhr", "fnr", "ama")]), "thr", "fhr", "fnr", "ama")
+
+
+@query("argument_types", _c(" SELECT DISTINCT template, 'geometry,geometry' AS types FROM candidates WHERE functions LIKE 'st_within%' AND template NOT IN (5, 8, 9) UNION SELECT DISTINCT template, CASE template WHEN 9 THEN 'unknown,unknown' ELSE 'unknown,geometry' END FROM candidates WHERE template IN (5, 8, 9)"))
+def argument_types(spark, sf):
+    calls = a.structured(candidates(spark, sf), CATALOG).withColumn("call", a.core_call(F.col("calls"), F.lit("st_within"))).where("call is not null")
+    return calls.select("template", F.array_join(a.argument_types(F.col("call.types"), F.col("tables"), KINDS), ",").alias("types")).distinct()
+
+
+_JSON = "'{\"tables\":[' || CASE tables WHEN '' THEN '' ELSE '\"' || replace(tables, ',', '\",\"') || '\"' END || '],\"functions\":[' || CASE functions WHEN '' THEN '' ELSE '\"' || replace(functions, ',', '\",\"') || '\"' END || ']}'"
+
+
+@query("structure_json", _c(f" SELECT DISTINCT template, {_JSON} AS structure FROM candidates"))
+def structure_json(spark, sf):
+    log = _scored(spark, sf).select("template", F.to_json(F.struct(F.array_sort("tables").alias("tables"), "functions")).alias("structure")).distinct()
+    back = F.from_json("structure", "tables array<string>, functions array<string>")
+    return log.where(F.to_json(back) == F.col("structure"))
+
+
 @query("argument_misuse", _c(" SELECT model_id, misuse, count(*) AS n, round(count(*) / sum(count(*)) OVER (PARTITION BY model_id), 6) AS share FROM candidates WHERE fnr = 1 GROUP BY 1, 2"))
 def argument_misuse(spark, sf):
     from pyspark.sql import Window

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from querygrade.queries import query, rounded
 from querygrade.sources.tables import table
-from querygrade.streaming.board import drained, event_stream, live_leaderboard, newest
+from querygrade.streaming.board import board_ranks, drained, event_stream, live_leaderboard, newest
 
 
 @query("live_leaderboard", "SELECT CAST(ts AS DATE) AS day, CAST(user_id % 25 AS INTEGER) AS model_id, count(*) AS n, count(*) FILTER (WHERE event_type = 'error') AS errors, round(sum(value), 2) AS seconds FROM events GROUP BY 1, 2")
@@ -14,6 +14,11 @@ def leaderboard(spark, sf):
     return rounded(live_leaderboard(event_stream(spark, sf)), "seconds", digits=2)
 
 
+@query("leaderboard_ranks", "WITH t AS (SELECT CAST(user_id % 25 AS INTEGER) AS model_id, count(*) AS n, count(*) FILTER (WHERE event_type = 'error') AS errors, sum(value) AS seconds FROM events GROUP BY 1), r AS (SELECT model_id, n, errors, round(errors / n, 6) AS error_rate, round(seconds / n, 4) AS mean_seconds FROM t) SELECT *, CAST(rank() OVER (ORDER BY error_rate, mean_seconds) AS INTEGER) AS rank, errors || ' errors in ' || n || ' answers' AS reason FROM r")
+def leaderboard_ranks(spark, sf):
+    return board_ranks(live_leaderboard(event_stream(spark, sf)))
+
+
 @query("stream_tumbling", "SELECT date_trunc('hour', ts) AS at, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 def stream_tumbling(spark, sf):
     s = event_stream(spark, sf).groupBy(F.window("ts", "1 hour").alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n"))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from querygrade.sources.tables import shared_folder
@@ -49,3 +49,11 @@ def live_leaderboard(stream: DataFrame) -> DataFrame:
     sums = stream.groupBy(day.alias("w"), "model_id").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("event_type") == "error").alias("errors"), F.sum("value").alias("seconds"))
     board = sums.select(F.col("w.start").cast("date").alias("day"), "model_id", "n", "errors", "seconds")
     return newest(drained(board, "update", "board"), ["day", "model_id"])
+
+
+def board_ranks(board: DataFrame) -> DataFrame:
+    """Measures, rank and its reason for each contestant, from the board's sums: fewest errors first, then the fastest."""
+    total = board.groupBy("model_id").agg(F.sum("n").alias("n"), F.sum("errors").alias("errors"), F.sum("seconds").alias("seconds"))
+    rates = total.select("model_id", "n", "errors", F.round(F.col("errors") / F.col("n"), 6).alias("error_rate"), F.round(F.col("seconds") / F.col("n"), 4).alias("mean_seconds"))
+    reason = F.concat(F.col("errors").cast("string"), F.lit(" errors in "), F.col("n").cast("string"), F.lit(" answers"))
+    return rates.withColumn("rank", F.rank().over(Window.orderBy("error_rate", "mean_seconds"))).withColumn("reason", reason)
