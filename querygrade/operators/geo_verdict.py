@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from querygrade.functions.geometry_udfs import verdict_of
+from querygrade.sources.tables import spread
 
 
 def geo_verdict(pairs: DataFrame, rule: str = "full") -> DataFrame:
@@ -15,4 +16,4 @@ def geo_verdict(pairs: DataFrame, rule: str = "full") -> DataFrame:
     against a value, and invalid texts, do not.
     """
     known = F.when(F.col("ref").isNull() & F.col("got").isNull(), 1).when(F.col("ref").isNull() | F.col("got").isNull(), 0)
-    return pairs.withColumn("verdict", F.coalesce(known, verdict_of(rule)("ref", "got")))
+    return spread(pairs).withColumn("verdict", F.coalesce(known, verdict_of(rule)("ref", "got")))

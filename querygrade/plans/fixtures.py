@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from querygrade.functions.units import sql_unit as u
 from querygrade.functions.units import unit_of
-from querygrade.sources.tables import table
+from querygrade.sources.tables import spread, table
 
 RUNS = 5
 FAMILIES = ("concept", "syntax", "schema")
@@ -28,7 +28,8 @@ def roster(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def questions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Questions of three families, each explicit (0) and underspecified (1)."""
-    base = table(spark, sf_dir, "part")
+    # each row becomes 250 attempts
+    base = spread(table(spark, sf_dir, "part").select("p_partkey", "p_size", "p_brand", "p_name"))
     key, size = F.col("p_partkey"), F.col("p_size")
     return base.select(
         key.alias("qid"), F.explode(F.array(F.lit(0), F.lit(1))).alias("variant"), _pick(FAMILIES, key % 3).alias("family"), _pick(SUBTASKS, size % 4).alias("subtask"),

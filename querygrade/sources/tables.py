@@ -46,6 +46,11 @@ def shared_folder(spark: SparkSession) -> str:
     return f"file://{_local}"
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """Narrow rows that much work follows for, dealt over as many tasks as the session's shuffles have, however few files hold them."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+
 def written(df: DataFrame, label: str) -> DataFrame:
     """A table of the shared folder in place of a plan that is read more than once."""
     path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
