@@ -1,16 +1,17 @@
 """Language-model scores by Brown class-based bigrams.
 
 P(word | previous word) = P(class | previous class) * P(word | class).  The ``clustered`` most frequent words
-are assigned to classes by the exchange algorithm (each word moves to the class that raises the likelihood of
-the class bigrams most, until no word moves).  The next words up to ``placed`` get the class that their left
-neighbours make likeliest; all others, unknown words among them, belong to a class of their written form.
-Transitions are smoothed with class frequencies.  Words of form classes give up an absolute discount, which is
-the probability of the unknown word there; other classes have known members only.
-
-All counts are taken over every training document.  Word counts stay a distributed table: only the ``head``
-most frequent words are broadcast, and tokens beyond them meet their counts in a join, pre-aggregated for each
-document.  What is collected is bounded by the parameters: head words, clustered^2 bigrams, placed*classes
-contexts, (classes+forms)^2 transitions.
+seed the classes by exact exchange (each word moves to the class that raises the likelihood of the class bigrams
+most, until no word moves).  Every other word seen at least ``least`` times is then exchanged in parallel: its
+counts beside the classes of seeds and forms are a row of a distributed table, and in each sweep all words move
+at once against the broadcast matrix of classes and contexts, their own counts taken out.  So the clustered
+vocabulary grows with the corpus.  Rarer words, and unknown ones, belong to a class of their written form, which
+gives up a discount as the probability of the unknown word there.  Transitions are smoothed with class frequencies.
+
+All counts are taken over every training document.  Words, counts and classes stay a distributed table: only the
+``head`` most frequent words are broadcast, and tokens beyond them meet counts and classes in a join, grouped by
+document.  What is collected is bounded by the parameters: head words, clustered^2 bigrams, and matrices of
+(classes+forms)^2 cells.
 
 Defined cases: null text is empty; an empty text is its end token; repeated rows are learned from and scored each;
 without training rows every token is unknown and the score is that of the uniform fallback; an empty table
@@ -28,9 +29,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc32_of_id, stored, table, texts_as_bytes
+from .common import BoundedCache, crc32_of_id, stored, table, texts_as_bytes
 
-CLASSES, CLUSTERED, PLACED, HEAD = 48, 1024, 1 << 16, 196_608
+CLASSES, CLUSTERED, LEAST, HEAD, SWEEPS = 48, 1024, 2, 196_608, 3
 PULL = 2.0  # weight of class frequencies in transitions
 # fixed values: letters that tell written forms apart
 FORM_MARKS = ("äöüß", "éèêçàâîôûùœ", "ñóíáú¿¡")
@@ -80,38 +81,6 @@ def word_counts(texts: DataFrame) -> DataFrame:
     return texts.mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
 
-def _pair_counts(texts: DataFrame, ids: dict[bytes, int], width: int, left_of, right_of) -> np.ndarray:
-    """(len(left), len(right)) counts of neighbouring tokens; ids -1 are left out."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = shared.value
-        held, codes = Counter(), []
-
-        def settle():
-            if codes:
-                pairs, n = np.unique(np.concatenate(codes), return_counts=True)
-                held.update(dict(zip(pairs.tolist(), n.tolist(), strict=True)))
-                codes.clear()
-
-        size = 0
-        for batch in batches:
-            for text in texts_as_bytes(batch.column(0)):
-                seq = np.fromiter((known.get(w, -1) for w in [b"", *tokens(text), b""]), np.int64)
-                a, b = left_of(seq[:-1]), right_of(seq[1:])
-                fine = (a >= 0) & (b >= 0)
-                codes.append(a[fine] * width + b[fine])
-                size += len(seq)
-                if size > 2_000_000:
-                    settle()
-                    size = 0
-        settle()
-        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int64()), pa.array(list(held.values()), pa.int64())], names=["pair", "n"])
-
-    shared = texts.sparkSession.sparkContext.broadcast(ids)
-    got = texts.mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
-    return got.column("pair").to_numpy(), got.column("n").to_numpy()
-
-
 def _xlogx(x: np.ndarray) -> np.ndarray:
     return np.where(x > 0, x * np.log(np.maximum(x, 1)), 0.0)
 
@@ -161,170 +130,357 @@ def exchange_clusters(bigrams: np.ndarray, classes: int, sweeps: int = 12) -> np
     return of
 
 
-class ClassModel:
-    """Learned classes, counts and probabilities; ``score`` applies them to every document."""
-
-    def __init__(self, train: DataFrame, classes: int = CLASSES, clustered: int = CLUSTERED, placed: int = PLACED, head: int = HEAD):
-        texts = train.select(F.col("text").cast("string").alias("text"))
-        self.spark, self.classes = train.sparkSession, classes
-        self.counts = stored(word_counts(texts), "word-counts")
-        total = self.counts.agg(F.sum("c"), F.count(F.lit(1))).first()
-        self.n, self.v = int(total[0] or 0), int(total[1])
-        listed = self.counts.orderBy(F.desc("c"), "word").limit(head).toArrow()  # head rows
-        top = list(zip(listed.column("word").to_pylist(), listed.column("c").to_pylist(), strict=True))
-        del listed
-        ends = sum(c for w, c in top if not w) if any(not w for w, _ in top) else int(self.counts.where(F.length("word") == 0).agg(F.sum("c")).first()[0] or 0)
-        words = [(w, c) for w, c in top if w]
-        self.known = {w: c for w, c in words} | ({b"": ends} if ends else {})
-        ids = {b"": 0} | {w: k for k, (w, _) in enumerate(words[: clustered - 1], 1)}
-        pair, n = _pair_counts(texts, ids, len(ids), lambda x: x, lambda x: x)
-        bigrams = np.zeros(len(ids) * len(ids))
-        bigrams[pair] = n
-        of = exchange_clusters(bigrams.reshape(len(ids), len(ids)), classes)
-        self.class_of = {w: int(of[k]) for w, k in ids.items()}
-        self._place(texts, words[clustered - 1 : placed], ids, of, bigrams.reshape(len(ids), len(ids)))
-        self._transitions(texts)
-        self._forms()
-
-    def _place(self, texts, more, ids, of, bigrams) -> None:
-        """Classes of the next words from the classes before them."""
-        if not more:
-            return
-        first = len(ids)
-        wide = ids | {w: first + k for k, (w, _) in enumerate(more)}
-        classes = self.classes
-        lookup = np.concatenate([of, np.full(len(more), -1), [-1]])
-        pair, n = _pair_counts(texts, wide, len(more), lambda x: lookup[x], lambda x: np.where(x >= first, x - first, -1))
-        seen = np.zeros((classes, len(more)))
-        seen[pair // len(more), pair % len(more)] = n
-        member = np.zeros((len(ids), classes))
-        member[np.arange(len(ids)), of] = 1
-        between = member.T @ bigrams @ member + 0.5
-        between[:, 0] = 1e-9
-        likely = np.log(between / between.sum(axis=1, keepdims=True)) - 0.5 * np.log(between.sum(axis=0) / between.sum())
-        best = (seen.T @ likely).argmax(axis=1)
-        touched = seen.sum(axis=0) > 0
-        self.class_of |= {w: int(best[k]) for k, (w, _) in enumerate(more) if touched[k] and best[k] > 0}
+def seed_pairs(texts: DataFrame, ids: dict[bytes, int]) -> np.ndarray:
+    """Square matrix of neighbouring seed words; other words and pairs with them are left out."""
 
-    def classify(self, word: bytes) -> int:
-        got = self.class_of.get(word)
-        return self.classes + form_of(word) if got is None else got
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = shared.value
+        held, codes = Counter(), []
 
-    def _transitions(self, texts: DataFrame) -> None:
-        size = self.classes + FORMS
-        shared = self.spark.sparkContext.broadcast((self.class_of, self.classes))
+        def settle():
+            if codes:
+                pairs, n = np.unique(np.concatenate(codes), return_counts=True)
+                held.update(dict(zip(pairs.tolist(), n.tolist(), strict=True)))
+                codes.clear()
 
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            placed, base = shared.value
-            seen = np.zeros(size * size, np.int64)
-            forms: dict[bytes, int] = {}
-            for batch in batches:
-                for text in texts_as_bytes(batch.column(0)):
-                    seq = np.array(_sequence(tokens(text), placed, base, forms), np.int64)
-                    pair, times = np.unique(seq[:-1] * size + seq[1:], return_counts=True)
-                    seen[pair] += times
-            at = np.flatnonzero(seen)
-            yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(seen[at])], names=["pair", "n"])
+        size = 0
+        for batch in batches:
+            for text in texts_as_bytes(batch.column(0)):
+                seq = np.fromiter((known.get(w, -1) for w in [b"", *tokens(text), b""]), np.int64)
+                a, b = seq[:-1], seq[1:]
+                fine = (a >= 0) & (b >= 0)
+                codes.append(a[fine] * width + b[fine])
+                size += len(seq)
+                if size > 2_000_000:
+                    settle()
+                    size = 0
+        settle()
+        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int64()), pa.array(list(held.values()), pa.int64())], names=["pair", "n"])
+
+    width = len(ids)
+    shared = texts.sparkSession.sparkContext.broadcast(ids)
+    got = texts.mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()  # at most width^2 rows
+    out = np.zeros(width * width)
+    out[got.column("pair").to_numpy()] = got.column("n").to_numpy()
+    return out.reshape(width, width)
 
-        got = texts.mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()
-        pairs = np.zeros(size * size)
-        pairs[got.column("pair").to_numpy()] = got.column("n").to_numpy()
-        pairs = pairs.reshape(size, size)
-        self.class_tokens = pairs.sum(axis=0)
-        share = (self.class_tokens + 0.5) / (self.class_tokens.sum() + 0.5 * size)
-        self.step = np.log10((pairs + PULL * share[None, :]) / (pairs.sum(axis=1, keepdims=True) + PULL))
 
-    def _forms(self) -> None:
-        """Types and once- and twice-seen types of the form classes, and so their discounts."""
-        shared = self.spark.sparkContext.broadcast(frozenset(self.class_of))
+def contexts(texts: DataFrame, seeds: dict[bytes, int], classes: int) -> DataFrame:
+    """word, c, x: how often each word stands after (ctx) and before (classes + FORMS + ctx) a class of seeds or forms."""
+    width = classes + FORMS
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seed_class = shared.value
+        ids: dict[bytes, int] = {}
+        names: list[bytes] = []
+        near: list[int] = []  # context class of each local id
+
+        def number(w: bytes) -> int:
+            got = ids.get(w)
+            if got is None:
+                got = ids[w] = len(names)
+                names.append(w)
+                near.append(seed_class[w] if w in seed_class else classes + form_of(w))
+            return got
+
+        def settle(parts):
+            seq = np.concatenate([*parts, np.zeros(1, np.int64)])
+            of = np.array(near, np.int64)[seq]
+            at = np.flatnonzero(seq)
+            code = np.concatenate([seq[at] * 2 * width + of[at - 1], seq[at] * 2 * width + width + of[at + 1]])
+            code, n = np.unique(code, return_counts=True)
+            held = pa.array(names, pa.binary())
+            for a in range(0, len(code), 50_000):
+                part = code[a : a + 50_000]
+                yield pa.RecordBatch.from_arrays([held.take(pa.array(part // (2 * width))), pa.array(part % (2 * width), pa.int32()), pa.array(n[a : a + 50_000], pa.int64())], names=["word", "ctx", "n"])
+
+        number(b"")
+        parts, size = [], 0
+        for batch in batches:
+            for text in texts_as_bytes(batch.column(0)):
+                words = tokens(text)
+                parts.append(np.fromiter((number(w) for w in [b"", *words]), np.int64, len(words) + 1))
+                size += len(words) + 1
+                if size > 2_000_000:
+                    yield from settle(parts)
+                    parts, size = [], 0
+                    if len(names) > 300_000:
+                        ids.clear(), names.clear(), near.clear()
+                        number(b"")
+        if parts:
+            yield from settle(parts)
+
+    shared = texts.sparkSession.sparkContext.broadcast(seeds)
+    # a task adds at most 2 * width rows for a word between two settlements, so no word makes a heavy key
+    flat = texts.mapInArrow(run, "word binary, ctx int, n long").repartition("word").groupBy("word", "ctx").agg(F.sum("n").alias("n"))
+    return flat.groupBy("word").agg(F.sum(F.when(F.col("ctx") < width, F.col("n")).otherwise(0)).alias("c"), F.collect_list(F.struct("ctx", "n")).alias("x"))
+
+
+class Step:
+    """Counts of the classes beside each context at the start of a sweep, with the gains of small counts worked out."""
+
+    SMALL = 8
+
+    def __init__(self, held: np.ndarray):
+        self.held = held
+        self.total = held[:, : held.shape[1] // 2].sum(axis=1)
+        up = np.arange(1, self.SMALL + 1)[:, None, None]
+        self.quick = _xlogx(held.T + up) - _xlogx(held.T)  # count - 1, context, class
+
+    def gains(self, ctx: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """(entries, classes) growth of the likelihood's sum over cells."""
+        out = self.quick[np.minimum(n, self.SMALL).astype(np.int64) - 1, ctx]
+        big = np.flatnonzero(n > self.SMALL)
+        if len(big):
+            cells = self.held.T[ctx[big]]
+            out[big] = _xlogx(cells + n[big, None]) - _xlogx(cells)
+        return out
+
+
+def moved(ctx: np.ndarray, n: np.ndarray, starts: np.ndarray, c: np.ndarray, now: np.ndarray, step: Step) -> np.ndarray:
+    """Exchange step for a block of words: each goes to the class that raises the likelihood most.
+
+    A word is taken out of its own class (``now``, -1: in none yet) before the classes are compared; ties leave it
+    where it is.
+    """
+    held, total = step.held, step.total
+    gain = np.add.reduceat(step.gains(ctx, n), starts, axis=0)
+    gain -= 2 * (_xlogx(total + c[:, None]) - _xlogx(total))
+    inside = np.flatnonzero(now >= 0)
+    if len(inside):
+        word = np.repeat(np.arange(len(c)), np.diff([*starts, len(ctx)]))
+        own = held[now[word], ctx]
+        kept = np.add.reduceat(_xlogx(own) - _xlogx(own - n), starts) - 2 * (_xlogx(total[now]) - _xlogx(total[now] - c))
+        gain[inside, now[inside]] = kept[inside] + 1e-9
+    gain[:, 0] = -np.inf  # the text boundary stays alone
+    return gain.argmax(axis=1)
+
+
+def assign(batch: pa.RecordBatch, history: list[Step], seeds: dict[bytes, int], least: int):
+    """(class or -1 of each word of a batch, class-context cells, counts): the steps of ``history`` in order."""
+    words, c = batch.column(0).to_pylist(), batch.column(1).to_numpy()
+    x = batch.column(2)
+    edge = x.offsets.to_numpy() - x.offsets[0].as_py()
+    flat = x.flatten()
+    ctx, n = flat.field(0).to_numpy().astype(np.int64), flat.field(1).to_numpy().astype(float)
+    fixed = np.fromiter((seeds.get(w, -1) for w in words), np.int64, len(words))
+    now = np.where(c >= least, fixed, -1)
+    free = (fixed < 0) & (c >= least)
+    for a in range(0, len(words), 4096):
+        b = min(a + 4096, len(words))
+        part = slice(edge[a], edge[b])
+        block = np.full(b - a, -1)
+        for step in history:
+            block = moved(ctx[part], n[part], edge[a:b] - edge[a], c[a:b], block, step)
+            block = np.where(free[a:b], block, -1)
+        now[a:b] = np.where(free[a:b], block, now[a:b])
+    return words, c, now, ctx, n, np.repeat(now, np.diff(edge))
+
+
+def likelihood(held: np.ndarray) -> float:
+    """Log likelihood of the contexts given the classes, but for a constant."""
+    return float(_xlogx(held).sum() - 2 * _xlogx(held[:, : held.shape[1] // 2].sum(axis=1)).sum())
+
+
+class ClassModel:
+    """Learned classes, counts and probabilities; ``score`` applies them to every document.
+
+    ``learn``: condition on rows of ``docs`` to learn from (default: all).  ``least``: count from which a word is clustered.
+    """
+
+    def __init__(self, docs: DataFrame, learn: Column | None = None, classes: int = CLASSES, clustered: int = CLUSTERED, least: int = LEAST, head: int = HEAD, sweeps: int = SWEEPS):
+        if not 2 <= classes <= 240:
+            raise ValueError("classes must lie between 2 and 240")
+        self.spark, self.classes, self.least = docs.sparkSession, classes, least
+        learn = F.lit(True) if learn is None else F.coalesce(learn, F.lit(False))
+        texts = docs.where(learn).select(F.col("text").cast("string").alias("text"))
+        counts = stored(word_counts(texts), "word-counts")
+        total = counts.agg(F.sum("c"), F.count(F.lit(1)), F.sum(F.when(F.length("word") == 0, F.col("c")))).first()
+        self.n, self.v, self.ends = int(total[0] or 0), int(total[1]), int(total[2] or 0)
+        top = [bytes(r.word) for r in counts.where((F.length("word") > 0) & (F.col("c") >= least)).orderBy(F.desc("c"), "word").limit(clustered - 1).collect()]  # seeds only
+        ids = {b"": 0} | {w: k for k, w in enumerate(top, 1)}
+        of = exchange_clusters(seed_pairs(texts, ids), classes)
+        seeds = {w: int(of[k]) for w, k in ids.items()}
+        self._spread(stored(contexts(texts, seeds, classes), "lm-contexts"), seeds, sweeps)
+        self._emissions(head)
+        self.coded = self.encode(docs, learn)
+        self._transitions()
+
+    def _spread(self, found: DataFrame, seeds: dict[bytes, int], sweeps: int) -> None:
+        """Exchange of all words beyond the seeds.  A step is a function of a word's contexts and the small matrices of
+        the steps before it, so each pass repeats the steps so far and nothing is stored between passes."""
+        classes, least, width = self.classes, self.least, self.classes + FORMS
+
+        def summed(history: list[np.ndarray]) -> np.ndarray:
+            def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+                steps = [Step(h) for h in history]
+                held = np.zeros(classes * 2 * width)
+                for batch in batches:
+                    if batch.num_rows:
+                        _, _, _, ctx, n, k = assign(batch, steps, seeds, least)
+                        fine = k >= 0
+                        held += np.bincount(k[fine] * 2 * width + ctx[fine], weights=n[fine], minlength=len(held))
+                at = np.flatnonzero(held)
+                yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(held[at].astype(np.int64))], names=["cell", "n"])
+
+            got = found.mapInArrow(run, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()  # at most classes * 2 * width rows
+            out = np.zeros(classes * 2 * width)
+            out[got.column("cell").to_numpy()] = got.column("n").to_numpy()
+            return out.reshape(classes, 2 * width)
+
+        history = [summed([])]
+        self.gains: list[float] = []
+        for step in range(sweeps):
+            held = summed(history)
+            self.gains.append(likelihood(held))
+            if step + 1 == sweeps or step and self.gains[-1] <= self.gains[-2] * (1 - 1e-4 if self.gains[-2] < 0 else 1 + 1e-4):
+                break
+            history.append(held)
+        if len(self.gains) > 1 and self.gains[-1] < self.gains[-2]:
+            history.pop()  # the last step did not help
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            placed, held = shared.value, np.zeros((FORMS, 3), np.int64)
+            steps = [Step(h) for h in history]
             for batch in batches:
-                for word, c in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                    if word not in placed:
-                        held[form_of(word)] += (1, c == 1, c == 2)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(FORMS)), *(pa.array(held[:, k]) for k in range(3))], names=["form", "v", "n1", "n2"])
-
-        types = np.zeros((FORMS, 3))
-        for r in self.counts.mapInArrow(run, "form long, v long, n1 long, n2 long").groupBy("form").agg(F.sum("v"), F.sum("n1"), F.sum("n2")).collect():  # FORMS rows
-            types[r[0]] = r[1:]
-        cut = np.where(types[:, 1] > 0, types[:, 1] / np.maximum(1, types[:, 1] + 2 * types[:, 2]), 0.5)
+                if batch.num_rows:
+                    words, c, now, *_ = assign(batch, steps, seeds, least)
+                    k = [got if got >= 0 else classes + form_of(w) for w, got in zip(words, now.tolist(), strict=True)]
+                    forms = pa.array([form_of(w) for w in words], pa.int32())
+                    yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(k, pa.int32()), forms], names=["word", "c", "k", "form"])
+
+        self.words = stored(found.mapInArrow(run, "word binary, c long, k int, form int"), "lm-classes")
+
+    def _emissions(self, head: int) -> None:
+        """Tokens of each class, discounts of the form classes, and the head words that are broadcast.
+
+        Words of form classes are the rare ones.  Of the tokens that meet such a class later, the share of unknown
+        words is estimated by n1 / (n1 + 2 n2), n1 and n2 the words of that form seen once and twice."""
+        size = self.classes + FORMS
+        self.class_tokens = np.zeros(size)
+        self.class_tokens[0] = self.ends
+        types = np.zeros(FORMS)
+        for r in self.words.groupBy("k").agg(F.sum("c").alias("c"), F.count(F.lit(1)).alias("v")).collect():  # one row a class
+            self.class_tokens[r.k] += r.c
+            if r.k >= self.classes:
+                types[r.k - self.classes] = r.v
+        once = np.zeros((FORMS, 2))
+        for r in self.words.groupBy("form").agg(F.count_if(F.col("c") == 1), F.count_if(F.col("c") == 2)).collect():  # FORMS rows
+            once[r[0]] = r[1:]
+        cut = np.where(once[:, 0] > 0, once[:, 0] / np.maximum(1, once[:, 0] + 2 * once[:, 1]), 0.5)
         self.discount = np.clip(cut, 0.05, 0.95)
-        own = self.class_tokens[self.classes :]
-        self.form_tokens = own
+        self.form_tokens = np.maximum(1, self.class_tokens[self.classes :])
         # log10 of the unknown word in each form class
-        self.unknown = np.log10(np.where(types[:, 0] > 0, self.discount * types[:, 0] / np.maximum(1, own), 1.0))
+        self.unknown = np.log10(np.where(types > 0, self.discount * types / self.form_tokens, 1.0))
+        listed = self.words.orderBy(F.desc("c"), "word").limit(head).select("word", "c", "k").toArrow()  # head rows
+        c, k = listed.column("c").to_numpy().astype(float), listed.column("k").to_numpy()
+        less = np.concatenate([np.zeros(self.classes), self.discount])
+        self.head = {w: i for i, w in enumerate(listed.column("word").to_pylist())}
+        self.head_facts = (np.log10(c + 1) - math.log10(self.n + self.v + 1), np.log10((c - less[k]) / self.class_tokens[k]), k.astype(np.uint8))
 
-    def score(self, docs: DataFrame) -> DataFrame:
-        """doc_id, n_tokens, n_known, base_score, score."""
-        shared = self.spark.sparkContext.broadcast((self.known, self.class_of, self.classes, self.step, self.class_tokens, self.discount, self.n, self.v))
+    def classify(self, word: bytes) -> int:
+        """Class of a word: from the head, else from the table of all words, else by its form."""
+        if word in self.head:
+            return int(self.head_facts[2][self.head[word]])
+        got = self.words.where(F.col("word") == F.lit(bytearray(word))).select("k").head()
+        return self.classes + form_of(word) if got is None else got.k
+
+    def encode(self, docs: DataFrame, learn: Column | None = None) -> DataFrame:
+        """doc_id, learn, n_tokens, n_known, base_score, own (emissions), seq: a byte for the class of each token but the end."""
+        shared = self.spark.sparkContext.broadcast((self.head, *self.head_facts))
+        rare, ends, denominator = 255, self.ends, math.log10(self.n + self.v + 1)
+        end = math.log10(ends + 1) - denominator
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             from pyspark import TaskContext
 
-            known, placed, classes, step, of_class, discount, n, v = shared.value
-            forms: dict[bytes, int] = {}
-            facts: dict[bytes, tuple[float, float]] = {}
-            denominator = math.log10(n + v + 1)
+            head, base, own, of = shared.value
+            forms = BoundedCache(form_of, 300_000)
             row = TaskContext.get().partitionId() << 40
-            for w, c in known.items():
-                k = placed.get(w)
-                if k is None:
-                    f = form_of(w)
-                    own = (c - discount[f]) / of_class[classes + f]
-                else:
-                    own = c / of_class[k]
-                facts[w] = (math.log10(c + 1) - denominator, math.log10(own))
             for batch in batches:
                 out = []
-                for text in texts_as_bytes(batch.column(1)):
+                for text in texts_as_bytes(batch.column(2)):
                     words = tokens(text)
-                    got = [facts.get(w) for w in words]
-                    got.append(facts.get(b""))
-                    seq = np.array(_sequence(words, placed, classes, forms), np.int64)
-                    inside = [g for g in got if g is not None]
-                    rest = Counter(w for w, g in zip(words, got, strict=False) if g is None)
-                    base, own = sum(g[0] for g in inside), sum(g[1] for g in inside)
-                    if got[-1] is None:  # no training text: the end token is unknown too
-                        base -= denominator
+                    at = np.fromiter((head.get(w, -1) for w in words), np.int64, len(words))
+                    met = at[at >= 0]
+                    seq = np.full(len(words), rare, np.uint8)
+                    seq[at >= 0] = of[met]
+                    rest: dict[bytes, list[int]] = {}
+                    for i in np.flatnonzero(at < 0).tolist():
+                        rest.setdefault(words[i], []).append(i)
                     row += 1
-                    out.append((row, len(words) + 1, len(inside), base, own + float(step[seq[:-1], seq[1:]].sum()), [{"word": w, "form": classes_form(w, forms, classes), "k": k} for w, k in rest.items()]))
-                types = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.struct([("word", pa.binary()), ("form", pa.int32()), ("k", pa.int64())])))
-                cols = list(zip(*out, strict=True)) if out else [[]] * 6
-                yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(cols, types, strict=True))], names=["doc_id", "row", "n_tokens", "n_known", "base_score", "score", "rest"])
+                    out.append((row, len(words) + 1, len(met) + (ends > 0), float(base[met].sum()) + end, float(own[met].sum()), seq.tobytes(), [{"word": w, "form": forms[w], "places": i} for w, i in rest.items()]))
+                types = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.list_(pa.struct([("word", pa.binary()), ("form", pa.int32()), ("places", pa.list_(pa.int32()))])))
+                cols = list(zip(*out, strict=True)) if out else [[]] * len(types)
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, t) for c, t in zip(cols, types, strict=True))], names=["doc_id", "learn", "row", "n_tokens", "n_known", "base_score", "own", "seq", "rest"])
+
+        shape = "doc_id long, learn boolean, row long, n_tokens long, n_known long, base_score double, own double, seq binary, rest array<struct<word:binary,form:int,places:array<int>>>"
+        rows = docs.select(F.col("doc_id").cast("long"), (F.lit(False) if learn is None else learn).alias("learn"), F.col("text").cast("string"))
+        whole = stored(rows.mapInArrow(run, shape), "lm-heads")
+        rest = whole.select("row", F.explode("rest").alias("r")).select("row", "r.word", "r.form", "r.places")
+        met = rest.join(self.words.select("word", "c", "k"), "word", "left").withColumn("t", F.size("places"))
+        c, form = F.coalesce("c", F.lit(0)), F.col("form") + 1
+        less, of_form, unknown = (F.element_at(F.array(*map(F.lit, map(float, values))), form) for values in (self.discount, self.form_tokens, self.unknown))
+        of_class = F.element_at(F.array(*map(F.lit, map(float, np.maximum(1, self.class_tokens)))), F.coalesce("k", F.lit(0)) + 1)
+        own = F.when(c == 0, unknown).when(F.col("k") >= self.classes, F.log10((F.greatest(c, F.lit(1)) - less) / of_form)).otherwise(F.log10(c / of_class))
+        met = met.select("row", "t", "places", c.alias("c"), F.coalesce("k", self.classes + F.col("form")).cast("int").alias("k"), own.alias("o"), (F.log10(c + 1.0) - denominator).alias("b"))
+        sums = met.groupBy("row").agg(F.sum(F.col("t") * F.col("b")).alias("b"), F.sum(F.col("t") * F.col("o")).alias("o"), F.sum(F.when(F.col("c") > 0, F.col("t")).otherwise(0)).alias("m"), F.collect_list(F.struct("places", "k")).alias("tail"))
+        zero = F.lit(0.0)
+        both = whole.join(sums, "row", "left").select("doc_id", "learn", "n_tokens", (F.col("n_known") + F.coalesce("m", F.lit(0))).alias("n_known"), (F.col("base_score") + F.coalesce("b", zero)).alias("base_score"), (F.col("own") + F.coalesce("o", zero)).alias("own"), "seq", "tail")
+
+        def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                out = []
+                for seq, tail in zip(batch.column(6).to_pylist(), batch.column(7).to_pylist(), strict=True):
+                    held = bytearray(seq)
+                    for part in tail or ():
+                        for i in part["places"]:
+                            held[i] = part["k"]
+                    out.append(bytes(held))
+                yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(out, pa.binary())], names=batch.schema.names[:7])
+
+        return stored(both.mapInArrow(fill, "doc_id long, learn boolean, n_tokens long, n_known long, base_score double, own double, seq binary"), "lm-sequences")
 
-        shape = "doc_id long, row long, n_tokens long, n_known long, base_score double, score double, rest array<struct<word:binary,form:int,k:long>>"
-        whole = stored(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, shape), "lm-heads")
-        rest = whole.select("row", F.explode("rest").alias("r")).select("row", "r.word", "r.form", "r.k")
-        met = rest.join(self.counts, "word", "left").withColumn("c", F.coalesce("c", F.lit(0)))
-        pick = [F.element_at(F.array(*map(F.lit, map(float, values))), F.col("form") + 1) for values in (self.discount, np.maximum(1, self.form_tokens), self.unknown)]
-        own = F.when(F.col("c") > 0, F.log10((F.greatest(F.col("c"), F.lit(1)) - pick[0]) / pick[1])).otherwise(pick[2])
-        base = F.log10(F.col("c") + 1.0) - F.lit(math.log10(self.n + self.v + 1))
-        sums = met.groupBy("row").agg(F.sum(F.col("k") * base).alias("b"), F.sum(F.col("k") * own).alias("s"), F.sum(F.when(F.col("c") > 0, F.col("k")).otherwise(0)).alias("known"))
-        out = whole.drop("rest").join(sums, "row", "left")
-        return out.select("doc_id", "n_tokens", (F.col("n_known") + F.coalesce("known", F.lit(0))).alias("n_known"), (F.col("base_score") + F.coalesce("b", F.lit(0.0))).alias("base_score"), (F.col("score") + F.coalesce("s", F.lit(0.0))).alias("score"))
+    def _transitions(self) -> None:
+        size = self.classes + FORMS
 
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            seen = np.zeros(size * size, np.int64)
+            for batch in batches:
+                for seq in batch.column(0).to_pylist():
+                    code = _bounded(seq)
+                    seen += np.bincount(code[:-1] * size + code[1:], minlength=size * size)
+            at = np.flatnonzero(seen)
+            yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(seen[at])], names=["pair", "n"])
+
+        got = self.coded.where("learn").select("seq").mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()  # at most size^2 rows
+        pairs = np.zeros(size * size)
+        pairs[got.column("pair").to_numpy()] = got.column("n").to_numpy()
+        pairs = pairs.reshape(size, size)
+        tokens_in = pairs.sum(axis=0)
+        share = (tokens_in + 0.5) / (tokens_in.sum() + 0.5 * size)
+        self.step = np.log10((pairs + PULL * share[None, :]) / (pairs.sum(axis=1, keepdims=True) + PULL))
+
+    def score(self, docs: DataFrame | None = None) -> DataFrame:
+        """doc_id, n_tokens, n_known, base_score, score of ``docs`` (default: the rows the model was made with)."""
+        step = self.step
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                sums = []
+                for seq in batch.column(5).to_pylist():
+                    code = _bounded(seq)
+                    sums.append(float(step[code[:-1], code[1:]].sum()))
+                score = np.array(sums, float) + batch.column(4).to_numpy()
+                yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(score, pa.float64())], names=["doc_id", "n_tokens", "n_known", "base_score", "score"])
 
-def classes_form(word: bytes, forms: dict[bytes, int], classes: int) -> int:
-    got = forms.get(word)
-    return form_of(word) if got is None else got - classes
+        coded = self.coded if docs is None else self.encode(docs)
+        rows = coded.select("doc_id", "n_tokens", "n_known", "base_score", "own", "seq")
+        return rows.mapInArrow(run, "doc_id long, n_tokens long, n_known long, base_score double, score double")
 
 
-def _sequence(words: list[bytes], placed: dict[bytes, int], classes: int, forms: dict[bytes, int]) -> list[int]:
+def _bounded(seq: bytes) -> np.ndarray:
     """Classes of a text's tokens between its boundaries (class 0)."""
-    out = [0]
-    for w in words:
-        k = placed.get(w)
-        if k is None:
-            k = forms.get(w)
-            if k is None:
-                if len(forms) > 300_000:
-                    forms.clear()
-                k = forms[w] = classes + form_of(w)
-        out.append(k)
-    out.append(0)
-    return out
+    return np.frombuffer(b"\0" + seq + b"\0", np.uint8).astype(np.int64)
 
 
 def held_out() -> Column:
@@ -333,6 +489,6 @@ def held_out() -> Column:
 
 def op6_class_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    model = ClassModel(docs.where(~F.coalesce(held_out(), F.lit(False))))
-    out = model.score(docs)
+    model = ClassModel(docs, ~F.coalesce(held_out(), F.lit(False)))
+    out = model.score()
     return out.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), "n_tokens", "n_known", F.lit(model.n).cast("long").alias("train_tokens"), "base_score", "score")

@@ -5,7 +5,7 @@ from collections import Counter
 import numpy as np
 import pytest
 
-from querygrade.llm.class_lm import ClassModel, exchange_clusters, op6_class_lm
+from querygrade.llm.class_lm import ClassModel, Step, exchange_clusters, likelihood, moved, op6_class_lm
 
 
 def brute(rows):
@@ -44,7 +44,7 @@ def test_base_and_model_on_held_out_rows(spark):
 
 def test_probabilities_sum_to_one(spark):
     docs = spark.createDataFrame([(k, "a b c a b " * (k % 4) + "x1 zz.") for k in range(12)], "doc_id long, text string")
-    model = ClassModel(docs, classes=4, clustered=3, placed=4, head=4)
+    model = ClassModel(docs, classes=4, clustered=3, head=4)
     # after a text's first word: all known words, the end, and the unknown word of every form class
     words = [w for w in "a b c x1 zz.".split()] + ["qq", "q9", "+", "é", "ü", "ñ", "я", "q.", "q,"]
     probe = spark.createDataFrame([(0, "")] + [(k, w) for k, w in enumerate(words, 1)], "doc_id long, text string")
@@ -62,3 +62,32 @@ def test_edge_cases(spark):
     none = ClassModel(df.limit(0)).score(df).collect()
     assert len(none) == 5 and all(r.n_known == 0 and r.score <= 0 for r in none)
     assert ClassModel(df).score(df.limit(0)).count() == 0
+
+
+def test_every_repeated_word_is_exchanged(spark):
+    """Words far beyond the seeds get the class that a plain comparison of likelihoods gives them; rare ones a form class."""
+    rng = np.random.default_rng(4)
+    pool = [[f"n{k}" for k in range(30)], [f"v{k}" for k in range(30)]]
+    text = [" ".join(str(rng.choice(pool[k % 2])) for k in range(40)) for _ in range(120)]
+    docs = spark.createDataFrame(list(enumerate([*text, "once9 only"])), "doc_id long, text string")
+    model = ClassModel(docs, classes=3, clustered=7)
+    got = {bytes(r.word).decode(): (r.c, r.k) for r in model.words.collect()}
+    want = Counter(w for t in [*text, "once9 only"] for w in t.split())
+    assert {w: c for w, (c, _) in got.items()} == dict(want)
+    assert {got["once9"][1], got["only"][1]} == {3 + 4, 3 + 8}
+    assert len({got[w][1] for w in pool[0]}) == 1 and len({got[w][1] for w in pool[1]}) == 1 and got["n0"][1] != got["v0"][1]
+    assert model.gains == sorted(model.gains)
+
+
+def test_step_gains_match_the_likelihood():
+    rng = np.random.default_rng(5)
+    held = rng.poisson(20.0, (4, 10)).astype(float)
+    held[:, 5:] = held[:, :5][:, ::-1]  # equal sums on both sides
+    ctx, n, starts = np.array([0, 3, 5, 9]), np.array([1.0, 12.0, 10.0, 3.0]), np.array([0])
+    c = np.array([13.0])
+    best = []
+    for k in range(1, 4):
+        more = held.copy()
+        more[k, ctx] += n
+        best.append(likelihood(more))
+    assert moved(ctx, n, starts, c, np.array([-1]), Step(held))[0] == 1 + int(np.argmax(best))
