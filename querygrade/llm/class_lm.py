@@ -189,10 +189,14 @@ def contexts(texts: DataFrame, seeds: dict[bytes, int], classes: int) -> DataFra
             at = np.flatnonzero(seq)
             code = np.concatenate([seq[at] * 2 * width + of[at - 1], seq[at] * 2 * width + width + of[at + 1]])
             code, n = np.unique(code, return_counts=True)
+            word, first = np.unique(code // (2 * width), return_index=True)
+            edge = np.append(first, len(code))
             held = pa.array(names, pa.binary())
-            for a in range(0, len(code), 50_000):
-                part = code[a : a + 50_000]
-                yield pa.RecordBatch.from_arrays([held.take(pa.array(part // (2 * width))), pa.array(part % (2 * width), pa.int32()), pa.array(n[a : a + 50_000], pa.int64())], names=["word", "ctx", "n"])
+            for a in range(0, len(word), 10_000):
+                b = min(a + 10_000, len(word))
+                part = slice(edge[a], edge[b])
+                x = pa.StructArray.from_arrays([pa.array(code[part] % (2 * width), pa.int32()), pa.array(n[part], pa.int64())], names=["ctx", "n"])
+                yield pa.RecordBatch.from_arrays([held.take(pa.array(word[a:b])), pa.ListArray.from_arrays(pa.array(edge[a : b + 1] - edge[a], pa.int32()), x)], names=["word", "x"])
 
         number(b"")
         parts, size = [], 0
@@ -211,8 +215,9 @@ def contexts(texts: DataFrame, seeds: dict[bytes, int], classes: int) -> DataFra
             yield from settle(parts)
 
     shared = texts.sparkSession.sparkContext.broadcast(seeds)
-    # a task adds at most 2 * width rows for a word between two settlements, so no word makes a heavy key
-    flat = texts.mapInArrow(run, "word binary, ctx int, n long").repartition("word").groupBy("word", "ctx").agg(F.sum("n").alias("n"))
+    # a task adds one row of at most 2 * width cells for a word between two settlements, so no word makes a heavy key
+    dealt = texts.mapInArrow(run, "word binary, x array<struct<ctx:int,n:long>>").repartition("word")
+    flat = dealt.select("word", F.inline("x")).groupBy("word", "ctx").agg(F.sum("n").alias("n"))
     return flat.groupBy("word").agg(F.sum(F.when(F.col("ctx") < width, F.col("n")).otherwise(0)).alias("c"), F.collect_list(F.struct("ctx", "n")).alias("x"))
 
 
@@ -256,25 +261,22 @@ def moved(ctx: np.ndarray, n: np.ndarray, starts: np.ndarray, c: np.ndarray, now
     return gain.argmax(axis=1)
 
 
-def assign(batch: pa.RecordBatch, history: list[Step], seeds: dict[bytes, int], least: int):
-    """(class or -1 of each word of a batch, class-context cells, counts): the steps of ``history`` in order."""
-    words, c = batch.column(0).to_pylist(), batch.column(1).to_numpy()
+def assign(batch: pa.RecordBatch, steps: list[Step], seeds: dict[bytes, int]):
+    """(class or -1 of each word of a batch, contexts and counts of its cells, class of each cell) after ``steps`` in order."""
+    c = batch.column(1).to_numpy()
     x = batch.column(2)
     edge = x.offsets.to_numpy() - x.offsets[0].as_py()
     flat = x.flatten()
     ctx, n = flat.field(0).to_numpy().astype(np.int64), flat.field(1).to_numpy().astype(float)
-    fixed = np.fromiter((seeds.get(w, -1) for w in words), np.int64, len(words))
-    now = np.where(c >= least, fixed, -1)
-    free = (fixed < 0) & (c >= least)
-    for a in range(0, len(words), 4096):
-        b = min(a + 4096, len(words))
-        part = slice(edge[a], edge[b])
+    now = np.fromiter((seeds.get(w, -1) for w in batch.column(0).to_pylist()), np.int64, len(c))
+    for a in range(0, len(c), 4096):
+        b = min(a + 4096, len(c))
+        part, fixed = slice(edge[a], edge[b]), now[a:b] >= 0
         block = np.full(b - a, -1)
-        for step in history:
+        for step in steps:
             block = moved(ctx[part], n[part], edge[a:b] - edge[a], c[a:b], block, step)
-            block = np.where(free[a:b], block, -1)
-        now[a:b] = np.where(free[a:b], block, now[a:b])
-    return words, c, now, ctx, n, np.repeat(now, np.diff(edge))
+        now[a:b] = np.where(fixed, now[a:b], block)
+    return now, ctx, n, np.repeat(now, np.diff(edge))
 
 
 def likelihood(held: np.ndarray) -> float:
@@ -309,7 +311,8 @@ class ClassModel:
     def _spread(self, found: DataFrame, seeds: dict[bytes, int], sweeps: int) -> None:
         """Exchange of all words beyond the seeds.  A step is a function of a word's contexts and the small matrices of
         the steps before it, so each pass repeats the steps so far and nothing is stored between passes."""
-        classes, least, width = self.classes, self.least, self.classes + FORMS
+        classes, width = self.classes, self.classes + FORMS
+        often, rare = found.where(F.col("c") >= self.least), found.where(F.col("c") < self.least)
 
         def summed(history: list[np.ndarray]) -> np.ndarray:
             def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -317,13 +320,13 @@ class ClassModel:
                 held = np.zeros(classes * 2 * width)
                 for batch in batches:
                     if batch.num_rows:
-                        _, _, _, ctx, n, k = assign(batch, steps, seeds, least)
+                        _, ctx, n, k = assign(batch, steps, seeds)
                         fine = k >= 0
                         held += np.bincount(k[fine] * 2 * width + ctx[fine], weights=n[fine], minlength=len(held))
                 at = np.flatnonzero(held)
                 yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(held[at].astype(np.int64))], names=["cell", "n"])
 
-            got = found.mapInArrow(run, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()  # at most classes * 2 * width rows
+            got = often.mapInArrow(run, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()  # at most classes * 2 * width rows
             out = np.zeros(classes * 2 * width)
             out[got.column("cell").to_numpy()] = got.column("n").to_numpy()
             return out.reshape(classes, 2 * width)
@@ -343,12 +346,19 @@ class ClassModel:
             steps = [Step(h) for h in history]
             for batch in batches:
                 if batch.num_rows:
-                    words, c, now, *_ = assign(batch, steps, seeds, least)
-                    k = [got if got >= 0 else classes + form_of(w) for w, got in zip(words, now.tolist(), strict=True)]
-                    forms = pa.array([form_of(w) for w in words], pa.int32())
-                    yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(k, pa.int32()), forms], names=["word", "c", "k", "form"])
+                    now = assign(batch, steps, seeds)[0]
+                    yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(now, pa.int32()), formed(batch)], names=["word", "c", "k", "form"])
 
-        self.words = stored(found.mapInArrow(run, "word binary, c long, k int, form int"), "lm-classes")
+        def plain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                form = formed(batch)
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(form.to_numpy() + classes, pa.int32()), form], names=["word", "c", "k", "form"])
+
+        def formed(batch: pa.RecordBatch) -> pa.Array:
+            return pa.array([form_of(w) for w in batch.column(0).to_pylist()], pa.int32())
+
+        shape = "word binary, c long, k int, form int"
+        self.words = stored(often.mapInArrow(run, shape).unionByName(rare.select("word", "c").mapInArrow(plain, shape)), "lm-classes")
 
     def _emissions(self, head: int) -> None:
         """Tokens of each class, discounts of the form classes, and the head words that are broadcast.
@@ -397,45 +407,52 @@ class ClassModel:
             forms = BoundedCache(form_of, 300_000)
             row = TaskContext.get().partitionId() << 40
             for batch in batches:
-                out = []
+                out, edge = [], [0]
+                tail_words, tail_forms, tail_at = [], [], []
                 for text in texts_as_bytes(batch.column(2)):
                     words = tokens(text)
                     at = np.fromiter((head.get(w, -1) for w in words), np.int64, len(words))
-                    met = at[at >= 0]
+                    there = at >= 0
+                    met = at[there]
                     seq = np.full(len(words), rare, np.uint8)
-                    seq[at >= 0] = of[met]
-                    rest: dict[bytes, list[int]] = {}
-                    for i in np.flatnonzero(at < 0).tolist():
-                        rest.setdefault(words[i], []).append(i)
+                    seq[there] = of[met]
+                    places = np.flatnonzero(~there)
+                    rest = [words[i] for i in places.tolist()]
+                    tail_words += rest
+                    tail_forms += [forms[w] for w in rest]
+                    tail_at.append(places)
+                    edge.append(len(tail_words))
                     row += 1
-                    out.append((row, len(words) + 1, len(met) + (ends > 0), float(base[met].sum()) + end, float(own[met].sum()), seq.tobytes(), [{"word": w, "form": forms[w], "places": i} for w, i in rest.items()]))
-                types = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.list_(pa.struct([("word", pa.binary()), ("form", pa.int32()), ("places", pa.list_(pa.int32()))])))
+                    out.append((row, len(words) + 1, len(met) + (ends > 0), float(base[met].sum()) + end, float(own[met].sum()), seq.tobytes()))
+                types = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary())
                 cols = list(zip(*out, strict=True)) if out else [[]] * len(types)
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, t) for c, t in zip(cols, types, strict=True))], names=["doc_id", "learn", "row", "n_tokens", "n_known", "base_score", "own", "seq", "rest"])
+                places = np.concatenate(tail_at) if tail_at else np.zeros(0, np.int64)
+                tails = pa.StructArray.from_arrays([pa.array(tail_words, pa.binary()), pa.array(tail_forms, pa.int32()), pa.array(places, pa.int32())], names=["word", "form", "place"])
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, t) for c, t in zip(cols, types, strict=True)), pa.ListArray.from_arrays(pa.array(edge, pa.int32()), tails)], names=["doc_id", "learn", "row", "n_tokens", "n_known", "base_score", "own", "seq", "rest"])
 
-        shape = "doc_id long, learn boolean, row long, n_tokens long, n_known long, base_score double, own double, seq binary, rest array<struct<word:binary,form:int,places:array<int>>>"
+        shape = "doc_id long, learn boolean, row long, n_tokens long, n_known long, base_score double, own double, seq binary, rest array<struct<word:binary,form:int,place:int>>"
         rows = docs.select(F.col("doc_id").cast("long"), (F.lit(False) if learn is None else learn).alias("learn"), F.col("text").cast("string"))
         whole = stored(rows.mapInArrow(run, shape), "lm-heads")
-        rest = whole.select("row", F.explode("rest").alias("r")).select("row", "r.word", "r.form", "r.places")
-        met = rest.join(self.words.select("word", "c", "k"), "word", "left").withColumn("t", F.size("places"))
+        rest = whole.select("row", F.inline("rest"))
+        met = rest.join(self.words.select("word", "c", "k"), "word", "left")
         c, form = F.coalesce("c", F.lit(0)), F.col("form") + 1
         less, of_form, unknown = (F.element_at(F.array(*map(F.lit, map(float, values))), form) for values in (self.discount, self.form_tokens, self.unknown))
         of_class = F.element_at(F.array(*map(F.lit, map(float, np.maximum(1, self.class_tokens)))), F.coalesce("k", F.lit(0)) + 1)
         own = F.when(c == 0, unknown).when(F.col("k") >= self.classes, F.log10((F.greatest(c, F.lit(1)) - less) / of_form)).otherwise(F.log10(c / of_class))
-        met = met.select("row", "t", "places", c.alias("c"), F.coalesce("k", self.classes + F.col("form")).cast("int").alias("k"), own.alias("o"), (F.log10(c + 1.0) - denominator).alias("b"))
-        sums = met.groupBy("row").agg(F.sum(F.col("t") * F.col("b")).alias("b"), F.sum(F.col("t") * F.col("o")).alias("o"), F.sum(F.when(F.col("c") > 0, F.col("t")).otherwise(0)).alias("m"), F.collect_list(F.struct("places", "k")).alias("tail"))
+        met = met.select("row", "place", c.alias("c"), F.coalesce("k", self.classes + F.col("form")).cast("int").alias("k"), own.alias("o"), (F.log10(c + 1.0) - denominator).alias("b"))
+        sums = met.groupBy("row").agg(F.sum("b").alias("b"), F.sum("o").alias("o"), F.count_if(F.col("c") > 0).alias("m"), F.collect_list(F.struct("place", "k")).alias("tail"))
         zero = F.lit(0.0)
-        both = whole.join(sums, "row", "left").select("doc_id", "learn", "n_tokens", (F.col("n_known") + F.coalesce("m", F.lit(0))).alias("n_known"), (F.col("base_score") + F.coalesce("b", zero)).alias("base_score"), (F.col("own") + F.coalesce("o", zero)).alias("own"), "seq", "tail")
+        both = whole.join(sums, "row", "left").select("doc_id", "learn", "n_tokens", (F.col("n_known") + F.coalesce("m", F.lit(0))).alias("n_known"), (F.col("base_score") + F.coalesce("b", zero)).alias("base_score"), (F.col("own") + F.coalesce("o", zero)).alias("own"), "seq", F.coalesce("tail", F.array()).alias("tail"))
 
         def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                out = []
-                for seq, tail in zip(batch.column(6).to_pylist(), batch.column(7).to_pylist(), strict=True):
-                    held = bytearray(seq)
-                    for part in tail or ():
-                        for i in part["places"]:
-                            held[i] = part["k"]
-                    out.append(bytes(held))
+                seqs, tails = batch.column(6).to_pylist(), batch.column(7)
+                starts = np.cumsum([0, *map(len, seqs)])
+                held = np.frombuffer(b"".join(seqs), np.uint8).copy()
+                flat = tails.flatten()
+                held[np.repeat(starts[:-1], np.diff(tails.offsets.to_numpy())) + flat.field(0).to_numpy()] = flat.field(1).to_numpy()
+                whole = held.tobytes()
+                out = [whole[a:b] for a, b in zip(starts[:-1].tolist(), starts[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(out, pa.binary())], names=batch.schema.names[:7])
 
         return stored(both.mapInArrow(fill, "doc_id long, learn boolean, n_tokens long, n_known long, base_score double, own double, seq binary"), "lm-sequences")
