@@ -185,3 +185,31 @@ def retrieve_functions(questions: DataFrame, docs: DataFrame, k: int = 3) -> Dat
     shared = asked.join(words, "token").groupBy("qid", "func_id").agg(F.count(F.lit(1)).alias("hits"))
     w = Window.partitionBy("qid").orderBy(F.desc("hits"), "func_id")
     return shared.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("qid", "rank", "func_id")
+
+
+#: Rules of the prompt-based contestant, in order: pattern of the prompt, statement frame (``%s``: the name asked for).
+PROMPT_RULES = [(r"\bboolean\b", "SELECT ST_Intersects(a.geom, b.geom) FROM sites a JOIN zones b ON true -- %s"), (r"\bnumber\b", "SELECT ST_Area(geom) FROM zones -- %s"), (r"\btext\b", "SELECT ST_AsText(geom) FROM sites -- %s"), (r"", "SELECT geom FROM sites -- %s")]
+
+
+def prompt_rule_strategy(asked: DataFrame, rules: list[tuple[str, str]] = PROMPT_RULES) -> DataFrame:
+    """qid, rule, sql for ``asked(qid, prompt, name)``: the first rule whose pattern the prompt holds fills its frame.
+
+    No matching rule or a null prompt gives null ``rule`` and ``sql``, a missing answer."""
+    rule, sql = F.lit(None).cast("int"), F.lit(None).cast("string")
+    for k in range(len(rules) - 1, -1, -1):
+        pattern, frame = rules[k]
+        hit = F.col("prompt").rlike(pattern)
+        rule = F.when(hit, F.lit(k)).otherwise(rule)
+        sql = F.when(hit, F.format_string(frame, F.coalesce("name", F.lit("")))).otherwise(sql)
+    return asked.select("qid", rule.alias("rule"), sql.alias("sql"))
+
+
+def insertion_rows(offered: DataFrame, samples: DataFrame) -> DataFrame:
+    """Distinct offered rows that differ from every sample row; nulls are equal, columns are those of ``offered``."""
+    cols = offered.columns
+    shown = samples.select(*cols).distinct().alias("s")
+    same = [F.col(f"o.`{c}`").eqNullSafe(F.col(f"s.`{c}`")) for c in cols]
+    on = same[0]
+    for more in same[1:]:
+        on = on & more
+    return offered.distinct().alias("o").join(shown, on, "left_anti")

@@ -114,3 +114,11 @@ def word_vectors(docs: DataFrame, size: int = 32) -> DataFrame:
     steps = [RegexTokenizer(inputCol="text", outputCol="words", pattern=r"\W+"), StopWordsRemover(inputCol="words", outputCol="kept"), Word2Vec(vectorSize=size, minCount=5, seed=1, inputCol="kept", outputCol="vector")]
     model = Pipeline(stages=steps).fit(docs)
     return model.transform(docs).select("id", vector_to_array("vector").alias("v"))
+
+
+def name_clusters(labels: DataFrame, names: DataFrame) -> DataFrame:
+    """``labels(id, cluster)`` with the name that ``names(cluster, name)`` gives; unnamed clusters are called by number.
+
+    A cluster named more than once takes its least name."""
+    one = names.where("name is not null").groupBy("cluster").agg(F.min("name").alias("name"))
+    return labels.join(one, "cluster", "left").withColumn("name", F.coalesce("name", F.concat(F.lit("cluster "), F.col("cluster").cast("string"))))

@@ -160,3 +160,23 @@ def distinct_questions(spark, sf):
 @query("spark_function_docs")
 def spark_function_docs(spark, sf):
     return b.spark_function_docs(spark)
+
+
+@query("prompt_rule_strategy", with_ctes("SELECT CAST(rule AS INTEGER) AS rule, count(*) AS n, min(qid) AS first_qid FROM (SELECT qid, CASE result_kind WHEN 'boolean' THEN 0 WHEN 'number' THEN 1 WHEN 'text' THEN 2 ELSE 3 END AS rule FROM questions WHERE variant = 0) GROUP BY 1"))
+def prompt_rule_strategy(spark, sf):
+    q = questions(spark, sf).where("variant = 0").select("qid", "name", b.underspecify(b.syntax_prompt(F.lit("it"), F.col("result_kind"))).alias("prompt"))
+    return b.prompt_rule_strategy(q).where("sql is not null").groupBy("rule").agg(F.count(F.lit(1)).alias("n"), F.min("qid").alias("first_qid"))
+
+
+@query("insertion_rows", "SELECT DISTINCT o_custkey AS custkey, o_orderstatus AS status FROM orders EXCEPT SELECT c_custkey, 'F' FROM customer")
+def insertion_rows(spark, sf):
+    offered = table(spark, sf, "orders").select(F.col("o_custkey").alias("custkey"), F.col("o_orderstatus").alias("status"))
+    return b.insertion_rows(offered, table(spark, sf, "customer").select(F.col("c_custkey").alias("custkey"), F.lit("F").alias("status")))
+
+
+@query("name_clusters", "SELECT coalesce(r_name, 'cluster ' || (n_regionkey + c_custkey % 2)) AS name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey LEFT JOIN region ON r_regionkey = n_regionkey + c_custkey % 2 GROUP BY 1")
+def name_clusters(spark, sf):
+    homes = table(spark, sf, "customer").join(table(spark, sf, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    labels = homes.select(F.col("c_custkey").alias("id"), (F.col("n_regionkey") + F.col("c_custkey") % 2).alias("cluster"))
+    names = table(spark, sf, "region").select(F.col("r_regionkey").alias("cluster"), F.col("r_name").alias("name"))
+    return t.name_clusters(labels, names).groupBy("name").agg(F.count(F.lit(1)).alias("n"))
