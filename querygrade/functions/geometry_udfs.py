@@ -151,7 +151,59 @@ def convex_hull_agg(points: pd.Series) -> str:
     return g.to_ewkt(g.Shape("POLYGON", (tuple(tuple(map(float, p)) for p in hull),)))
 
 
-NAMES = {"ST_Area": st_area, "ST_Length": st_length, "ST_Perimeter": st_perimeter, "ST_Centroid": st_centroid, "ST_NPoints": st_npoints, "ST_SRID": st_srid, "ST_Transform": st_transform, "ST_Contains": st_contains, "ST_AsEWKB": st_asewkb, "ST_EqualsSnapped": equals_snapped, "ST_AsEWKT": canonical_ewkt}
+def _numbers(a: pd.Series, b: pd.Series, measure) -> pd.Series:
+    """Numbers of pairs; null for a null, an invalid or an unmeasured geometry, and for two SRIDs."""
+    out = []
+    for x, y in zip(map(_shape, a), map(_shape, b), strict=True):
+        try:
+            out.append(None if x is None or y is None else measure(x, y))
+        except (g.SridMismatch, g.Invalid):
+            out.append(None)
+    return pd.Series(out, dtype="Float64")
+
+
+def _test(measure):
+    """Arrow predicate of two geometries; null where either is null, invalid or of another SRID."""
+
+    @pandas_udf(T.BooleanType())
+    def holds(a: pd.Series, b: pd.Series) -> pd.Series:
+        return _numbers(a, b, lambda x, y: float(measure(x, y))).astype("boolean")
+
+    return holds
+
+
+@pandas_udf(T.DoubleType())
+def st_distance(a: pd.Series, b: pd.Series) -> pd.Series:
+    return _numbers(a, b, g.distance)
+
+
+@pandas_udf(T.DoubleType())
+def st_azimuth(a: pd.Series, b: pd.Series) -> pd.Series:
+    return _numbers(a, b, lambda x, y: g.azimuth(x, y) if x.kind == y.kind == "POINT" and x.coords and y.coords else None)
+
+
+@pandas_udf(T.BooleanType())
+def st_dwithin(a: pd.Series, b: pd.Series, d: pd.Series) -> pd.Series:
+    return _numbers(a, b, g.distance).le(d.astype("Float64"))
+
+
+@pandas_udf(T.StringType())
+def st_geometrytype(text: pd.Series) -> pd.Series:
+    return _each(text, lambda s: f"ST_{s.kind}")
+
+
+@pandas_udf(T.BooleanType())
+def st_isvalid_text(text: pd.Series) -> pd.Series:
+    """Can the text or the bytes be read as a geometry (rings closed, counts right); null stays null."""
+    return pd.Series([None if v is None else _shape(v) is not None for v in text], dtype="boolean")
+
+
+st_intersects, st_disjoint, st_touches = _test(g.intersects), _test(lambda a, b: not g.intersects(a, b)), _test(g.touches)
+bbox_overlaps, bbox_within, bbox_contains = _test(g.bbox_overlaps), _test(g.bbox_within), _test(lambda a, b: g.bbox_within(b, a))
+bbox_same = _test(lambda a, b: g.envelope(a) is not None and g.envelope(a) == g.envelope(b))
+
+NAMES = {"ST_Distance": st_distance, "ST_Azimuth": st_azimuth, "ST_DWithin": st_dwithin, "ST_GeometryType": st_geometrytype, "ST_Readable": st_isvalid_text, "ST_Intersects": st_intersects, "ST_Disjoint": st_disjoint, "ST_Touches": st_touches, "ST_BBoxOverlaps": bbox_overlaps, "ST_BBoxWithin": bbox_within, "ST_BBoxContains": bbox_contains, "ST_BBoxSame": bbox_same}
+NAMES |= {"ST_Area": st_area, "ST_Length": st_length, "ST_Perimeter": st_perimeter, "ST_Centroid": st_centroid, "ST_NPoints": st_npoints, "ST_SRID": st_srid, "ST_Transform": st_transform, "ST_Contains": st_contains, "ST_AsEWKB": st_asewkb, "ST_EqualsSnapped": equals_snapped, "ST_AsEWKT": canonical_ewkt}
 
 
 def register(spark: SparkSession) -> None:

@@ -135,3 +135,19 @@ def udtf_dump_points(spark, sf):
     register(spark)
     zones(spark, sf).withColumn("g", _zone_text()).createOrReplaceTempView("zone_shapes")
     return spark.sql("SELECT n_nationkey, count(*) AS n, sum(p.x) AS sum_x FROM zone_shapes, LATERAL dump_points(g) p GROUP BY n_nationkey")
+
+
+@query("zone_relations", f"WITH {_ZONES}, p AS (SELECT a.n_nationkey AS a, b.n_nationkey AS b, greatest(abs(a.x1 - b.x1) - 72, 0) AS dx, greatest(abs(a.y1 - b.y1) - 34, 0) AS dy FROM z a JOIN z b USING (n_regionkey)) SELECT a, b, dx = 0 AND dy = 0 AS meets, NOT (dx = 0 AND dy = 0) AS apart, a <> b AND dx = 0 AND dy = 0 AS touches, round(sqrt(dx * dx + dy * dy), 6) AS distance FROM p")
+def zone_relations(spark, sf):
+    z = zones(spark, sf).withColumn("g", _zone_text())
+    a, b = (z.select("n_regionkey", F.col("n_nationkey").alias(k), F.col("g").alias(f"g{k}")) for k in "ab")
+    return rounded(a.join(b, "n_regionkey").select("a", "b", u.st_intersects("ga", "gb").alias("meets"), u.st_disjoint("ga", "gb").alias("apart"), u.st_touches("ga", "gb").alias("touches"), u.st_distance("ga", "gb").alias("distance")), "distance")
+
+
+@query("site_home_distance", f"WITH {_SITES}, {_ZONES}, d AS (SELECT n_nationkey, greatest(x1 - x, x - x2, 0) AS dx, greatest(y1 - y, y - y2, 0) AS dy FROM s JOIN customer USING (c_custkey) JOIN z ON c_nationkey = n_nationkey) SELECT n_nationkey, count(*) AS n, count(*) FILTER (WHERE dx * dx + dy * dy <= 900) AS near, round(max(sqrt(dx * dx + dy * dy)), 4) AS farthest FROM d GROUP BY 1")
+def site_home_distance(spark, sf):
+    home = table(spark, sf, "customer").select("c_custkey", F.col("c_nationkey").alias("n_nationkey"))
+    p = sites(spark, sf, "customer", "c_custkey").join(home, "c_custkey").join(zones(spark, sf).select("n_nationkey", _zone_text().alias("g")), "n_nationkey")
+    point = F.concat(F.lit("POINT("), F.col("x").cast("string"), F.lit(" "), F.col("y").cast("string"), F.lit(")"))
+    d = p.select("n_nationkey", u.st_distance(point, "g").alias("d"), u.st_dwithin(point, "g", F.lit(30.0)).alias("near"))
+    return rounded(d.groupBy("n_nationkey").agg(F.count(F.lit(1)).alias("n"), F.count_if("near").alias("near"), F.max("d").alias("farthest")), "farthest", digits=4)

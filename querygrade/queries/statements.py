@@ -7,9 +7,9 @@ from pyspark.sql import functions as F
 from querygrade.functions.units import norm_value
 from querygrade.operators import alignment as a
 from querygrade.operators import measures as m
-from querygrade.operators.sandbox import execute_candidates
+from querygrade.operators.sandbox import execute_candidates, execute_cells, freeze_answers, graded
 from querygrade.operators.values import value_verdict
-from querygrade.plans.candidates import CATALOG, CTES, KINDS, REFERENCE, TEMPLATES, candidates, facts_by_question, references
+from querygrade.plans.candidates import CATALOG, CTES, KINDS, REFERENCE, candidates, facts_by_question, references
 from querygrade.plans.fixtures import with_ctes
 from querygrade.queries import query, rounded
 from querygrade.sources.tables import table
@@ -170,6 +170,57 @@ def exec_error_classes(spark, sf):
     return done.select("qid", classify_error(F.col("error"), F.col("sqlstate")).alias("class"))
 
 
-@query("template_count", f"SELECT {len(TEMPLATES)} AS n")
-def template_count(spark, sf):
-    return spark.range(1).select(F.lit(len(TEMPLATES)).alias("n"))
+#: References whose whole results are compared; the last is as long as its table.
+ANSWERED = {
+    "a1": "SELECT count(*) AS n FROM orders WHERE o_orderstatus = 'F'",
+    "a2": "SELECT n_name, n_nationkey FROM nation WHERE n_regionkey = 1 ORDER BY n_name",
+    "a3": "SELECT max(p_size) AS s FROM part",
+    "a4": "SELECT o_orderkey::text AS k FROM orders ORDER BY o_orderkey",
+    "a5": "SELECT n_name FROM nation WHERE n_nationkey < 0",
+    "a6": "SELECT count(*) AS n FROM nation a JOIN nation b ON a.n_nationkey = b.n_nationkey WHERE concat('POINT(', a.n_nationkey, ' 1)') && 'POLYGON((0 0, 9 0, 9 9, 0 9, 0 0))'",
+}
+#: (attempt, question, statement): the same in other words, right only if the data say so, wrong, failing.
+ATTEMPTS = [
+    ("t1", "a1", "SELECT sum(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) AS n FROM orders"),
+    ("t2", "a2", "SELECT upper(n_name) AS name, n_nationkey FROM nation WHERE n_regionkey = 1 ORDER BY 1"),
+    ("t3", "a2", "SELECT n_name, n_nationkey FROM nation WHERE n_regionkey = 1 ORDER BY n_name DESC"),
+    ("t4", "a2", "SELECT n_name FROM nation WHERE n_regionkey = 1 ORDER BY n_name"),
+    ("t5", "a3", "SELECT max(p_size) AS s FROM part WHERE p_partkey % 2 = 0"),
+    ("t6", "a4", "SELECT o_orderkey AS k FROM orders ORDER BY 1"),
+    ("t7", "a4", "SELECT o_orderkey AS k FROM orders WHERE o_orderkey > 1 ORDER BY 1"),
+    ("t8", "a3", "SELECT p_size / 0 FROM part"),
+    ("t9", "a6", "SELECT count(*) AS n FROM nation WHERE ST_DWithin(concat('POINT(', n_nationkey, ' 1)'), 'POLYGON((0 0, 9 0, 9 9, 0 9, 0 0))', 0.5)"),
+]
+
+
+def _executed(spark, sf, statements):
+    return execute_cells(spark, statements, {n: f"{sf}/{n}.parquet" for n in ("orders", "nation", "part")})
+
+
+@query(
+    "exec_cells",
+    "SELECT 'a1' AS qid, 0 AS col, CAST(0 AS BIGINT) AS row, CAST(count(*) AS VARCHAR) AS value FROM orders WHERE o_orderstatus = 'F' UNION ALL SELECT 'a2', 0, row_number() OVER (ORDER BY n_name) - 1, n_name FROM nation WHERE n_regionkey = 1 "
+    "UNION ALL SELECT 'a2', 1, row_number() OVER (ORDER BY n_name) - 1, CAST(n_nationkey AS VARCHAR) FROM nation WHERE n_regionkey = 1 UNION ALL SELECT 'a3', 0, 0, CAST(max(p_size) AS VARCHAR) FROM part "
+    "UNION ALL SELECT 'a4', 0, row_number() OVER (ORDER BY o_orderkey) - 1, CAST(o_orderkey AS VARCHAR) FROM orders UNION ALL SELECT 'a6', 0, 0, CAST(count(*) AS VARCHAR) FROM nation WHERE n_nationkey <= 9",
+)
+def exec_cells(spark, sf):
+    return freeze_answers(*_executed(spark, sf, ANSWERED))[0].select("qid", "col", "row", "value")
+
+
+@query("unusable_references", "SELECT 'a5' AS qid, 'gives no row' AS rule WHERE (SELECT count(*) FROM nation WHERE n_nationkey < 0) = 0 UNION ALL SELECT 'bad1', 'does not run' UNION ALL SELECT 'bad4', 'does not run'")
+def unusable_references(spark, sf):
+    return freeze_answers(*_executed(spark, sf, ANSWERED | {k: REFERENCES[k] for k in ("bad1", "bad4")}))[1]
+
+
+@query(
+    "exec_accuracy",
+    "SELECT qid, count(*) AS n, CAST(sum(state) AS BIGINT) AS ran, CAST(sum(ok) AS BIGINT) AS n_correct FROM (SELECT 'a1' AS qid, 1 AS state, CAST(count(*) FILTER (WHERE o_orderstatus = 'F') = sum(CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END) AS INTEGER) AS ok FROM orders "
+    "UNION ALL SELECT 'a2', 1, 1 UNION ALL SELECT 'a2', 1, CAST(count(*) = 1 AS INTEGER) FROM nation WHERE n_regionkey = 1 UNION ALL SELECT 'a2', 1, 0 "
+    "UNION ALL SELECT 'a3', 1, CAST(max(p_size) = max(p_size) FILTER (WHERE p_partkey % 2 = 0) AS INTEGER) FROM part UNION ALL SELECT 'a4', 1, 1 UNION ALL SELECT 'a4', 1, CAST(count(*) FILTER (WHERE o_orderkey <= 1) = 0 AS INTEGER) FROM orders "
+    "UNION ALL SELECT 'a3', 0, 0 UNION ALL SELECT 'a6', 1, CAST(count(*) FILTER (WHERE n_nationkey <= 9) = count(*) FILTER (WHERE n_nationkey <= 9.5) AS INTEGER) FROM nation) GROUP BY 1",
+)
+def exec_accuracy(spark, sf):
+    frozen, _ = freeze_answers(*_executed(spark, sf, ANSWERED))
+    attempts = spark.createDataFrame([t[:2] for t in ATTEMPTS], "attempt string, qid string")
+    each = graded(frozen, attempts, *_executed(spark, sf, {t[0]: t[2] for t in ATTEMPTS}))
+    return each.groupBy("qid").agg(F.count(F.lit(1)).alias("n"), F.sum("state").alias("ran"), F.sum("ok").cast("long").alias("n_correct"))

@@ -48,3 +48,18 @@ def test_names_hold_in_their_scope(text, tables, fields):
 @pytest.mark.parametrize("text", ["DELETE FRM sites", "INSERT INTO t", "UPDATE t SET", "UPDATE t a = 1", "DELETE FROM t WHERE", "INSERT INTO t (a, b) VALUES (1, 2", "DELETE FROM t x y"])
 def test_faulty_statements_of_other_kinds(text):
     assert scan(text)["syntax_state"] == 0
+
+
+def test_spatial_operators_become_functions():
+    from querygrade.functions.dialect import to_spark_sql
+
+    cases = {
+        "SELECT a.id FROM a JOIN b ON a.geom && b.geom": "SELECT a.id FROM a JOIN b ON ST_BBoxOverlaps(a.geom, b.geom)",
+        "SELECT (g <-> h)::float8 FROM t ORDER BY g <-> h": "SELECT CAST(ST_Distance(g, h) AS double) FROM t ORDER BY ST_Distance(g, h)",
+        "SELECT x::int::text FROM t WHERE name ~ 'a&&b' AND (g ~= h::geometry) IS NOT NULL": "SELECT CAST(CAST(x AS int) AS string) FROM t WHERE regexp_like(name, 'a&&b') AND ST_BBoxSame(g, h) IS NOT NULL",
+        "SELECT array_agg(a::text ORDER BY b::int), c ~ d, e @ f FROM t -- a && b": "SELECT array_agg(CAST(a AS string) ORDER BY CAST(b AS int)), ST_BBoxContains(c, d), ST_BBoxWithin(e, f) FROM t -- a && b",
+        "SELECT CAST((a && b) AS int) IS NULL": "SELECT CAST(ST_BBoxOverlaps(a, b) AS int) IS NULL",
+    }
+    for text, wanted in cases.items():
+        assert to_spark_sql(text) == wanted
+        assert to_spark_sql(wanted) == wanted
