@@ -43,8 +43,14 @@ def newest(table: DataFrame, keys: list[str]) -> DataFrame:
     return table.groupBy(*keys).agg(F.max_by(F.struct(*rest), "trigger").alias("x")).select(*keys, "x.*")
 
 
-def live_leaderboard(stream: DataFrame) -> DataFrame:
-    """Mergeable sums by contestant and day, kept up to date; means and ranks follow from them at reading."""
+def live_leaderboard(stream: DataFrame, late: str | None = None) -> DataFrame:
+    """Mergeable sums by contestant and day, kept up to date; means and ranks follow from them at reading.
+
+    With ``late`` a day's state is dropped once events that much after its end have been read, and rows later still
+    are left out; without it every row counts and the state holds all days.
+    """
+    if late is not None:
+        stream = stream.withWatermark("ts", late)
     day = F.window("ts", "1 day")
     sums = stream.groupBy(day.alias("w"), "model_id").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("event_type") == "error").alias("errors"), F.sum("value").alias("seconds"))
     board = sums.select(F.col("w.start").cast("date").alias("day"), "model_id", "n", "errors", "seconds")

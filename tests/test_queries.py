@@ -10,7 +10,7 @@ from querygrade.sources.tables import TABLES, read_answers, write_answers
 
 SF = "/root/testdata/sf0.001"
 QUERIES, SQL = load()
-QUICK = "pass_at_n stability robustness overall_rank alignment_schema argument_misuse geo_pairs_verdict site_in_zone site_knn error_profile running_means join_asof join_interval stream_session live_leaderboard exec_results exec_cells unusable_references exec_accuracy exec_error_classes zone_relations site_home_distance theme_silhouette binding_coverage distractor_check prompt_rule_strategy insertion_rows name_clusters".split()
+QUICK = "pass_at_n stability robustness overall_rank alignment_schema argument_misuse geo_pairs_verdict site_in_zone site_knn error_profile running_means join_asof join_interval stream_session live_leaderboard leaderboard_watermarked exec_results exec_cells unusable_references exec_accuracy exec_error_classes zone_relations site_home_distance theme_silhouette binding_coverage distractor_check prompt_rule_strategy insertion_rows name_clusters".split()
 
 
 def plain(v):
@@ -72,3 +72,18 @@ def test_every_query_has_a_twin_or_a_reason(spark):
 def test_plans_keep_python_after_the_text_filter(spark):
     plan = QUERIES["pass_at_n"](spark, SF)._jdf.queryExecution().toString()
     assert "Python" not in plan.split("Physical Plan")[-1] and "CartesianProduct" not in plan
+
+
+def test_watermark_leaves_out_rows_of_closed_days(spark, tmp_path):
+    from querygrade.streaming.board import live_leaderboard
+
+    shape = "user_id long, ts timestamp, event_type string, value double, model_id int"
+    for day in ("2024-01-01", "2024-01-20", "2024-01-21", "2024-01-02"):  # a file a trigger, by time of writing
+        spark.sql(f"SELECT 1L AS user_id, TIMESTAMP'{day} 10:00:00' AS ts, 'click' AS event_type, 1.0D AS value, 1 AS model_id").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+
+    def days(late):
+        stream = spark.readStream.schema(shape).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+        return sorted(str(r.day)[8:] for r in live_leaderboard(stream, late).collect())
+
+    assert days(None) == ["01", "02", "20", "21"]
+    assert days("2 days") == ["01", "20", "21"]
