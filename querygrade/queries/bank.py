@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from querygrade.functions.units import sql_unit as u
 from querygrade.functions.units import unit_of
 from querygrade.operators import bank as b
+from querygrade.operators import schema_bank as s
 from querygrade.operators import themes as t
 from querygrade.plans.fixtures import questions, with_ctes
 from querygrade.queries import query, rounded
@@ -81,6 +82,37 @@ def binding_coverage(spark, sf):
     return b.bind_functions(docs, table(spark, sf, "nation").select(F.col("n_nationkey").alias("db"))).groupBy("db").agg(F.count(F.lit(1)).alias("n_func"))
 
 
+_BOUND = f"{_DOCS}, d AS (SELECT n_nationkey AS db, 4 + {u(chr(39) + 'size' + chr(39) + ' || n_nationkey')} % 4 AS n FROM nation), r AS (SELECT db, func_id, n, row_number() OVER (PARTITION BY db ORDER BY {u(chr(39) + 'bind' + chr(39) + ' || db || ' + chr(39) + '-' + chr(39) + ' || func_id')}, func_id) AS k FROM d, docs), drawn AS (SELECT db, func_id FROM r WHERE k <= n), fix AS (SELECT func_id, db, row_number() OVER (PARTITION BY func_id ORDER BY {u(chr(39) + 'repair' + chr(39) + ' || db || ' + chr(39) + '-' + chr(39) + ' || func_id')}, db) AS k FROM docs, d WHERE func_id NOT IN (SELECT func_id FROM drawn)), bound AS (SELECT db, func_id FROM drawn UNION ALL SELECT db, func_id FROM fix WHERE k = 1)"
+_TABLES = f"tabs AS (SELECT n_nationkey AS db, t, 't' || n_nationkey || '_' || t AS name FROM nation, (VALUES (0), (1), (2), (3)) v(t) WHERE t < 2 + {u(chr(39) + 'tables' + chr(39) + ' || n_nationkey')} % 3)"
+_FIELDS = f"cat AS (SELECT db, name AS \"table\", ordinal, field, spark_type, is_geo FROM tabs, (VALUES (0, 'id', 'bigint', false), (1, 'name', 'string', false), (2, 'geom', 'geometry', true), (3, 'v1', 'double', false), (4, 'v2', 'double', false), (5, 'v3', 'double', false)) f(ordinal, field, spark_type, is_geo) WHERE ordinal <= 3 + {u(chr(39) + 'fields' + chr(39) + ' || db || ' + chr(39) + '-' + chr(39) + ' || t')} % 3)"
+
+
+def _theme_databases(spark, sf):
+    return s.generate_databases(table(spark, sf, "nation").select(F.col("n_nationkey").alias("db")))
+
+
+@query("theme_databases", f"WITH {_TABLES}, {_FIELDS} SELECT * FROM cat")
+def theme_databases(spark, sf):
+    return _theme_databases(spark, sf)
+
+
+@query("theme_database_violations", f"WITH {_TABLES}, {_FIELDS} SELECT 'field names are plain' AS rule, count(*) FILTER (WHERE NOT regexp_matches(field, '^[a-z_][a-z0-9_]*$')) AS n FROM cat UNION ALL SELECT 'types are known', count(*) FILTER (WHERE spark_type NOT IN ('bigint', 'string', 'double', 'geometry')) FROM cat UNION ALL SELECT 'a geometry field in each database', count(*) FROM (SELECT db FROM cat GROUP BY 1 HAVING NOT bool_or(is_geo)) UNION ALL SELECT 'fields differ', count(*) FROM (SELECT db FROM cat GROUP BY db, \"table\", field HAVING count(*) > 1)")
+def theme_database_violations(spark, sf):
+    return b.validate_catalog(_theme_databases(spark, sf))
+
+
+@query("theme_descriptions", "SELECT n_nationkey AS db, 'Database about ' || lower(trim(n_name)) AS descr FROM nation")
+def theme_descriptions(spark, sf):
+    return s.described(table(spark, sf, "nation").select(F.col("n_nationkey").alias("db"), F.col("n_name").alias("theme"))).select("db", "descr")
+
+
+@query("schema_questions", f"WITH {_BOUND}, {_TABLES}, {_FIELDS}, one AS (SELECT db, \"table\", \"table\" || '(' || string_agg(field || ' ' || spark_type, ', ' ORDER BY ordinal) || ')' AS text FROM cat GROUP BY 1, 2), x AS (SELECT db, list(\"table\" ORDER BY \"table\") AS tables, string_agg(text, '; ' ORDER BY \"table\") AS schema FROM one GROUP BY 1), q AS (SELECT b.db, func_id, lead(func_id) OVER (PARTITION BY b.db ORDER BY func_id) AS helper, tables, schema FROM bound b JOIN x ON x.db = b.db), h AS (SELECT *, tables[1 + {u(chr(39) + 'home' + chr(39) + ' || db || ' + chr(39) + '-' + chr(39) + ' || func_id')} % len(tables)] AS home, 'Apply st_f' || func_id || CASE WHEN helper IS NULL THEN '' ELSE ' and st_f' || helper END || ' to ' AS task FROM q) SELECT db, func_id, helper, home, task || home || '.geom and give name' AS nl_explicit, task || 'the shape and give the title' AS nl_under, schema FROM h")
+def schema_questions(spark, sf):
+    docs = b.function_docs(table(spark, sf, "part"))
+    bindings = b.bind_functions(docs, table(spark, sf, "nation").select(F.col("n_nationkey").alias("db")))
+    return s.schema_questions(_theme_databases(spark, sf), bindings)
+
+
 _REVIEWS = f"r AS (SELECT doc_id, quality AS a, 1 - toxic AS b, {u(chr(39) + 'adj' + chr(39) + ' || doc_id')} % 2 AS c FROM labels)"
 
 

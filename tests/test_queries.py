@@ -10,7 +10,7 @@ from querygrade.sources.tables import TABLES, read_answers, write_answers
 
 SF = "/root/testdata/sf0.001"
 QUERIES, SQL = load()
-QUICK = "pass_at_n stability robustness overall_rank alignment_schema argument_misuse geo_pairs_verdict site_in_zone site_knn error_profile running_means join_asof join_interval stream_session live_leaderboard leaderboard_watermarked exec_results exec_cells unusable_references exec_accuracy exec_error_classes zone_relations site_home_distance theme_silhouette binding_coverage distractor_check prompt_rule_strategy insertion_rows name_clusters".split()
+QUICK = "pass_at_n stability robustness overall_rank alignment_schema argument_misuse geo_pairs_verdict site_in_zone site_knn error_profile running_means join_asof join_interval stream_session live_leaderboard leaderboard_watermarked exec_results exec_cells unusable_references exec_accuracy exec_error_classes zone_relations site_home_distance theme_silhouette binding_coverage distractor_check theme_databases theme_database_violations theme_descriptions schema_questions prompt_rule_strategy insertion_rows name_clusters".split()
 
 
 def plain(v):
