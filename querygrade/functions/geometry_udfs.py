@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import types as T
@@ -202,7 +204,41 @@ st_intersects, st_disjoint, st_touches = _test(g.intersects), _test(lambda a, b:
 bbox_overlaps, bbox_within, bbox_contains = _test(g.bbox_overlaps), _test(g.bbox_within), _test(lambda a, b: g.bbox_within(b, a))
 bbox_same = _test(lambda a, b: g.envelope(a) is not None and g.envelope(a) == g.envelope(b))
 
-NAMES = {"ST_Distance": st_distance, "ST_Azimuth": st_azimuth, "ST_DWithin": st_dwithin, "ST_GeometryType": st_geometrytype, "ST_Readable": st_isvalid_text, "ST_Intersects": st_intersects, "ST_Disjoint": st_disjoint, "ST_Touches": st_touches, "ST_BBoxOverlaps": bbox_overlaps, "ST_BBoxWithin": bbox_within, "ST_BBoxContains": bbox_contains, "ST_BBoxSame": bbox_same}
+@pandas_udf(T.StructType([T.StructField(n, T.DoubleType()) for n in ("x1", "y1", "x2", "y2")]))
+def envelope_of(text: pd.Series) -> pd.DataFrame:
+    boxes = [None if s is None else g.envelope(s) for s in map(_shape, text)]
+    return pd.DataFrame([b or (None,) * 4 for b in boxes], columns=["x1", "y1", "x2", "y2"], dtype="Float64")
+
+
+@pandas_udf(T.StructType([T.StructField("dim", T.IntegerType()), *(T.StructField(n, T.DoubleType()) for n in ("w", "wx", "wy"))]))
+def moment_of(text: pd.Series) -> pd.DataFrame:
+    """Dimension, weight (area, length or number of points) and weighted centroid of a geometry."""
+    out = []
+    for s in map(_shape, text):
+        at = None if s is None else g.centroid(s)
+        if at is None:
+            out.append((None, None, None, None))
+            continue
+        sizes = (len(g.dump_points(s)), g.length(s), g.area(s))
+        dim = 2 if sizes[2] else 1 if sizes[1] else 0
+        out.append((dim, sizes[dim], sizes[dim] * at[0], sizes[dim] * at[1]))
+    return pd.DataFrame(out, columns=["dim", "w", "wx", "wy"], dtype="Float64").astype({"dim": "Int32"})
+
+
+@pandas_udf(T.StringType())
+def st_setsrid(text: pd.Series, srid: pd.Series) -> pd.Series:
+    """The same coordinates under another SRID."""
+    shapes = map(_shape, text)
+    return pd.Series([None if s is None or pd.isna(k) else g.to_ewkt(replace(s, srid=int(k))) for s, k in zip(shapes, srid, strict=True)], dtype=object)
+
+
+@pandas_udf(T.BooleanType())
+def st_issimple(text: pd.Series) -> pd.Series:
+    """Do lines neither cross nor touch themselves but at their ends; points differ; areas count as simple."""
+    return _each(text, g.is_simple).astype("boolean")
+
+
+NAMES = {"ST_SetSRID": st_setsrid, "ST_IsSimple": st_issimple, "ST_Distance": st_distance, "ST_Azimuth": st_azimuth, "ST_DWithin": st_dwithin, "ST_GeometryType": st_geometrytype, "ST_Readable": st_isvalid_text, "ST_Intersects": st_intersects, "ST_Disjoint": st_disjoint, "ST_Touches": st_touches, "ST_BBoxOverlaps": bbox_overlaps, "ST_BBoxWithin": bbox_within, "ST_BBoxContains": bbox_contains, "ST_BBoxSame": bbox_same}
 NAMES |= {"ST_Area": st_area, "ST_Length": st_length, "ST_Perimeter": st_perimeter, "ST_Centroid": st_centroid, "ST_NPoints": st_npoints, "ST_SRID": st_srid, "ST_Transform": st_transform, "ST_Contains": st_contains, "ST_AsEWKB": st_asewkb, "ST_EqualsSnapped": equals_snapped, "ST_AsEWKT": canonical_ewkt}
 
 

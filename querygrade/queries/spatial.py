@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from querygrade.functions import geometry_udfs as u
+from querygrade.operators.geo_aggregates import centroids, extents, hulls
 from querygrade.operators.geo_verdict import geo_verdict
 from querygrade.operators.spatial_join import nearest, points_in_boxes, within_distance
 from querygrade.queries import query, rounded
@@ -124,8 +125,17 @@ def zone_extent(spark, sf):
 
 @query("zone_hull")
 def zone_hull(spark, sf):
-    corners = zones(spark, sf).withColumn("g", _zone_text())
-    return corners.groupBy("n_regionkey").agg(u.convex_hull_agg("g").alias("hull"))
+    return hulls(zones(spark, sf).withColumn("g", _zone_text()), ["n_regionkey"], "g")
+
+
+@query("zone_extent_of_shapes", f"WITH {_ZONES} SELECT n_regionkey, CAST(min(x1) AS DOUBLE) AS x1, CAST(min(y1) AS DOUBLE) AS y1, CAST(max(x2) AS DOUBLE) AS x2, CAST(max(y2) AS DOUBLE) AS y2 FROM z GROUP BY 1")
+def zone_extent_of_shapes(spark, sf):
+    return extents(zones(spark, sf).withColumn("g", _zone_text()), ["n_regionkey"], "g")
+
+
+@query("zone_centroid", f"WITH {_ZONES} SELECT n_regionkey, round(avg(x1 + 36), 6) AS x, round(avg(y1 + 17), 6) AS y FROM z GROUP BY 1")
+def zone_centroid(spark, sf):
+    return rounded(centroids(zones(spark, sf).withColumn("g", _zone_text()), ["n_regionkey"], "g"), "x", "y")
 
 
 @query("udtf_dump_points", f"WITH {_ZONES} SELECT n_nationkey, CAST(5 AS BIGINT) AS n, CAST(2 * x1 + 2 * x2 + x1 AS DOUBLE) AS sum_x FROM z")

@@ -10,7 +10,7 @@ from querygrade.sources.tables import TABLES, read_answers, write_answers
 
 SF = "/root/testdata/sf0.001"
 QUERIES, SQL = load()
-QUICK = "pass_at_n stability robustness overall_rank alignment_schema argument_misuse geo_pairs_verdict site_in_zone site_knn error_profile running_means join_asof join_interval stream_session live_leaderboard leaderboard_watermarked exec_results exec_cells unusable_references exec_accuracy exec_error_classes zone_relations site_home_distance theme_silhouette binding_coverage distractor_check theme_databases theme_database_violations theme_descriptions schema_questions prompt_rule_strategy insertion_rows name_clusters".split()
+QUICK = "pass_at_n stability robustness overall_rank alignment_schema argument_misuse geo_pairs_verdict site_in_zone site_knn error_profile running_means join_asof join_interval stream_session live_leaderboard leaderboard_watermarked exec_results exec_cells unusable_references exec_accuracy exec_error_classes zone_extent_of_shapes zone_centroid zone_relations site_home_distance theme_silhouette binding_coverage distractor_check theme_databases theme_database_violations theme_descriptions schema_questions prompt_rule_strategy insertion_rows name_clusters".split()
 
 
 def plain(v):
@@ -87,3 +87,20 @@ def test_watermark_leaves_out_rows_of_closed_days(spark, tmp_path):
 
     assert days(None) == ["01", "02", "20", "21"]
     assert days("2 days") == ["01", "20", "21"]
+
+
+def test_hulls_of_parts_equal_the_hull_of_all(spark):
+    from querygrade.functions import geometry as g
+    from querygrade.operators.geo_aggregates import centroids, hulls
+
+    points = [(k % 3, (k * 37) % 101, (k * 53) % 97) for k in range(3000)]
+    df = spark.createDataFrame([(k, f"POINT({x} {y})") for k, x, y in points] + [(0, None), (1, "POINT("), (7, None)], "k int, g string").repartition(7)
+    got = {r.k: r.hull for r in hulls(df, ["k"], "g", held_groups=2, held_points=16).collect()}
+    for k in range(3):
+        ring = g.convex_hull([(float(x), float(y)) for kk, x, y in points if kk == k])
+        assert sorted(set(g.dump_points(g.parse_text(got[k])))) == sorted(set(ring))
+    assert "EMPTY" in got[7]
+    mixed = spark.createDataFrame([(1, "POLYGON((0 0,2 0,2 2,0 2,0 0))"), (1, "POLYGON((4 0,5 0,5 2,4 2,4 0))"), (1, "POINT(90 90)"), (2, "POINT(1 2)"), (2, "POINT(3 4)"), (3, None)], "k int, g string")
+    at = {r.k: (r.x, r.y) for r in centroids(mixed, ["k"], "g").collect()}
+    assert at[1] == pytest.approx(((4 * 1 + 2 * 4.5) / 6, 1.0)) and at[2] == (2.0, 3.0) and at[3] == (None, None)
+    assert hulls(df.where("k > 100"), ["k"], "g").count() == 0
