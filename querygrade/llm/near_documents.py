@@ -9,7 +9,8 @@ lengths in between do both.
 
 Similarity is computed from the shingle sets, and no pair that met is left out of that but for two bounds that hold for
 every similar pair: the sizes of the sets, and the differing bits of their parity sketches (a shingle turns
-one of ``PARITY`` bits, so sets that differ in d shingles differ in d bits at most).  Fingerprints only order
+one of ``PARITY`` bits, so sets that differ in d shingles differ in d bits at most; sets of more than ``PARITY`` shingles fill
+that sketch, so theirs has a bit for each shingle where all pairs of a bucket are compared).  Fingerprints only order
 the work: first each member of a bucket meets the first one within ``radius`` bits (bit-sliced,
 ``bit_slices``), a row for each member at most; then the pairs of members that are still in different groups follow, at whatever
 distance of their fingerprints.
@@ -60,12 +61,17 @@ def meeting_keys(hashes: np.ndarray, similarity: float) -> list[tuple[int, int]]
     return out
 
 
-def parity_sketch(hashes: np.ndarray) -> bytes:
+def parity_sketch(hashes: np.ndarray, bits: int = PARITY) -> bytes:
     """Bit k is set where an odd number of the hashes fall on k (by high bits, as bins take the low ones)."""
-    odd = np.bincount((hashes >> np.uint64(40)).astype(np.int64) % PARITY, minlength=PARITY) & 1
+    odd = np.bincount((hashes >> np.uint64(40)).astype(np.int64) % bits, minlength=bits) & 1
     return np.packbits(odd.astype(np.uint8)).tobytes()
 
 
+def wide_sketch(hashes: np.ndarray) -> bytes | None:
+    """The parity sketch with a bit for each hash or more (a power of two); None where ``PARITY`` bits are as many."""
+    return parity_sketch(hashes, 1 << (len(hashes) - 1).bit_length()) if len(hashes) > PARITY else None
+
+
 def _sketches(width: int, similarity: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -74,17 +80,24 @@ def _sketches(width: int, similarity: float):
                 hashes = np.unique(shingle_hashes(text, width)) if doc is not None else ()
                 if len(hashes):
                     keys = [{"slot": a, "part": b} for a, b in meeting_keys(hashes, similarity)]
-                    out.append((doc, majority_bits(hashes), len(hashes), parity_sketch(hashes), keys, xxhash.xxh128_digest(hashes.tobytes())))
-            cols = list(zip(*out, strict=True)) if out else [[]] * 6
+                    out.append((doc, majority_bits(hashes), len(hashes), parity_sketch(hashes), keys, xxhash.xxh128_digest(hashes.tobytes()), wide_sketch(hashes)))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 7
             prints = pa.array(np.array(cols[1], np.uint64).view(np.int64))
             keys = pa.array(cols[4], pa.list_(pa.struct([("slot", pa.int32()), ("part", pa.int64())])))
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), prints, pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.binary()), keys, pa.array(cols[5], pa.binary())], names=["doc_id", "print", "size", "parity", "keys", "whole"])
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), prints, pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.binary()), keys, pa.array(cols[5], pa.binary()), pa.array(cols[6], pa.binary())], names=["doc_id", "print", "size", "parity", "keys", "whole", "wide"])
 
     return run
 
 
-def may_be_similar(sizes: np.ndarray, parity: np.ndarray, a: np.ndarray, b: np.ndarray, similarity: float) -> np.ndarray:
-    """Whether the sets at positions a and b can be similar enough; false only where they cannot."""
+def _folded(sketches: np.ndarray, bits: int) -> np.ndarray:
+    """Wide sketches as rows of ``bits`` bits; longer ones are folded, which leaves a bit the parity of all that fall on it."""
+    return np.stack([np.bitwise_xor.reduce(np.frombuffer(x, np.uint64).reshape(-1, bits // 64), axis=0) for x in sketches])
+
+
+def may_be_similar(sizes: np.ndarray, parity: np.ndarray, a: np.ndarray, b: np.ndarray, similarity: float, wide: np.ndarray | None = None) -> np.ndarray:
+    """Whether the sets at positions a and b can be similar enough; false only where they cannot.
+
+    ``wide`` holds wide sketches (None for sets without one)."""
     x, y = sizes[a], sizes[b]
     out = np.minimum(x, y) + 1e-6 >= similarity * np.maximum(x, y)
     most = (x + y) * ((1 - similarity) / (1 + similarity)) + 1e-6  # shingles in one of the two sets only
@@ -92,6 +105,18 @@ def may_be_similar(sizes: np.ndarray, parity: np.ndarray, a: np.ndarray, b: np.n
     for k in range(0, len(at), 1 << 16):
         some = at[k : k + (1 << 16)]
         out[some] = np.bitwise_count(parity[a[some]] ^ parity[b[some]]).sum(axis=1, dtype=np.int64) <= most[some]
+    if wide is None:
+        return out
+    at = np.flatnonzero(out)
+    held = np.array([0 if x is None else 8 * len(x) for x in wide], np.int64)
+    bits = np.minimum(held[a[at]], held[b[at]])
+    for n in np.unique(bits[bits > 0]).tolist():
+        of_n = at[bits == n]
+        for k in range(0, len(of_n), 4096):
+            some = of_n[k : k + 4096]
+            docs, place = np.unique(np.concatenate([a[some], b[some]]), return_inverse=True)
+            rows, (i, j) = _folded(wide[docs], n), np.split(place, 2)
+            out[some] = np.bitwise_count(rows[i] ^ rows[j]).sum(axis=1, dtype=np.int64) <= most[some]
     return out
 
 
@@ -143,14 +168,14 @@ def _block_pairs(side: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Ite
 
 
 #: Columns of a row in a block of a bucket.
-BLOCK = ["slot", "part", "block", "side", "doc_id", "print", "root", "size", "parity"]
+BLOCK = ["slot", "part", "block", "side", "doc_id", "print", "root", "size", "parity", "wide"]
 
 
 def _pairs(radius: int, similarity: float, across: bool):
     """Sorted BLOCK rows to pairs of documents: least links of each block, or (across) the pairs of different roots."""
 
     def of(rows: list[np.ndarray]):
-        slot, part, block, side, doc, prints, root, size, parity = rows
+        slot, part, block, side, doc, prints, root, size, parity, wide = rows
         new = np.concatenate([[True], (slot[1:] != slot[:-1]) | (part[1:] != part[:-1]) | (block[1:] != block[:-1])])
         starts = np.flatnonzero(new)
         members = np.diff(np.concatenate([starts, [len(slot)]]))
@@ -158,7 +183,7 @@ def _pairs(radius: int, similarity: float, across: bool):
             for left, right in _block_pairs(side, starts, members):
                 apart = root[left] != root[right]
                 left, right = left[apart], right[apart]
-                fine = may_be_similar(size, parity, left, right, similarity)
+                fine = may_be_similar(size, parity, left, right, similarity, wide)
                 yield doc[left[fine]], doc[right[fine]]
             return
         values = prints.view(np.uint64)
@@ -180,6 +205,7 @@ def _pairs(radius: int, similarity: float, across: bool):
         for batch in batches:
             now = [batch.column(i).to_numpy() for i in range(8)]
             now.append(np.frombuffer(b"".join(batch.column(8).to_pylist()), np.uint64).reshape(-1, PARITY // 64))
+            now.append(np.array([*batch.column(9).to_pylist(), None], object)[:-1])
             held = now if held is None else [np.concatenate([a, b]) for a, b in zip(held, now, strict=True)]
             if not len(held[0]):
                 continue
@@ -208,14 +234,14 @@ def _chunked(rows: DataFrame, buckets: DataFrame, hot: int) -> DataFrame:
     leads = (F.col("chunks") > 1) & (F.col("doc_id") == F.col("leader"))
     one = F.when(F.col("chunks") > 1, F.pmod(F.xxhash64("doc_id"), F.col("chunks"))).otherwise(F.lit(0).cast("long"))
     every = F.when(leads, F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).otherwise(F.array(one))
-    return met.withColumn("block", F.explode(every)).withColumn("side", F.lit(0))
+    return met.withColumn("block", F.explode(every)).withColumns({"side": F.lit(0), "wide": F.lit(None).cast("binary")})
 
 
-def _blocked(rows: DataFrame, hot: int, similarity: float) -> DataFrame:
-    """BLOCK rows of the buckets that hold several roots: every two members whose sizes may be similar share a block."""
+def _blocked(rows: DataFrame, wide: DataFrame, hot: int, similarity: float) -> DataFrame:
+    """BLOCK rows of the buckets that hold several roots, with wide sketches: every two members whose sizes may be similar share a block."""
     mixed = rows.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("slot", "part", "n")
     mixed = stored(mixed, "near-mixed")
-    rows = rows.join(mixed, ["slot", "part"])
+    rows = rows.join(mixed, ["slot", "part"]).join(wide, "doc_id", "left")
     whole = rows.where(F.col("n") <= hot).withColumns({"block": F.lit(0).cast("long"), "side": F.lit(0)})
     # sets whose sizes are in the ratio are of one class or of neighbouring ones
     classed = rows.where(F.col("n") > hot).withColumn("class", F.floor(F.log("size") / F.lit(math.log(1.01 / similarity))).cast("int"))
@@ -261,8 +287,8 @@ def _similar(docs: DataFrame, pairs: DataFrame, width: int, similarity: float) -
 def near_groups(docs: DataFrame, width: int = WIDTH, similarity: float = SIMILARITY, radius: int = RADIUS, hot: int = HOT) -> DataFrame:
     """node, root: documents that are in groups of two or more, with the smallest id of their group."""
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    shape = "doc_id long, print long, size long, parity binary, keys array<struct<slot:int,part:long>>, whole binary"
-    rest = ["print", "size", "parity", "keys"]
+    shape = "doc_id long, print long, size long, parity binary, keys array<struct<slot:int,part:long>>, whole binary, wide binary"
+    rest = ["print", "size", "parity", "keys", "wide"]
     every = texts.mapInArrow(_sketches(width, similarity), shape)
     sketches = stored(every.groupBy("doc_id").agg(F.min(F.struct("whole", *rest)).alias("s")).select("doc_id", "s.*"), "sketches")
     firsts = sketches.groupBy("whole").agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("n"))
@@ -286,7 +312,8 @@ def near_groups(docs: DataFrame, width: int = WIDTH, similarity: float = SIMILAR
         least = rooted.join(buckets.where(F.col("n") > hot).select("slot", "part"), ["slot", "part"]).groupBy("slot", "part", "root")
         rows = stored(least.agg(F.min(F.struct("doc_id", "print", "size", "parity")).alias("s")).select("slot", "part", "root", "s.*"), "near-least")
         buckets = stored(rows.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("leader")).where("n > 1"), "near-buckets")
-    more = _similar(docs, _candidates(_blocked(rooted, hot, similarity), radius, similarity, True), width, similarity)
+    wide = alone.where("wide is not null").select("doc_id", "wide")
+    more = _similar(docs, _candidates(_blocked(rooted, wide, hot, similarity), radius, similarity, True), width, similarity)
     return components(links.unionByName(stored(more, "near-links")).unionByName(equal))
 
 
