@@ -44,6 +44,18 @@ def test_silhouette_of_blocks_equals_that_of_distances(spark, block_bytes):
     assert got == want and len(got) > 60
 
 
+def test_word_vectors_are_learnt_in_parallel(spark, monkeypatch):
+    from pyspark.ml import feature
+
+    from querygrade.operators.themes import word_vectors
+
+    seen, fit = [], feature.Word2Vec.fit
+    monkeypatch.setattr(feature.Word2Vec, "fit", lambda self, *args: (seen.append(self.getNumPartitions()), fit(self, *args))[1])
+    docs = spark.createDataFrame([(k, "alpha beta the gamma" if k else "") for k in range(40)], "id long, text string")
+    got = {r.id: r.v for r in word_vectors(docs, 4).collect()}
+    assert seen == [spark.sparkContext.defaultParallelism] and sorted(got) == list(range(40)) and got[0] == [0.0] * 4 and any(got[1])
+
+
 def test_silhouette_of_thousands_of_rows_is_quick(spark):
     df = spark.range(12000).select("id", F.transform(F.sequence(F.lit(0), F.lit(63)), lambda k: F.sin((F.col("id") + 1) * (k + 1.7))).alias("v"), (F.col("id") % 10).cast("int").alias("label"))
     began = time.time()
