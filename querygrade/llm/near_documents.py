@@ -237,11 +237,12 @@ def _chunked(rows: DataFrame, buckets: DataFrame, hot: int) -> DataFrame:
     return met.withColumn("block", F.explode(every)).withColumns({"side": F.lit(0), "wide": F.lit(None).cast("binary")})
 
 
-def _blocked(rows: DataFrame, wide: DataFrame, hot: int, similarity: float) -> DataFrame:
+def _blocked(rows: DataFrame, wide: DataFrame | None, hot: int, similarity: float) -> DataFrame:
     """BLOCK rows of the buckets that hold several roots, with wide sketches: every two members whose sizes may be similar share a block."""
     mixed = rows.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("slot", "part", "n")
     mixed = stored(mixed, "near-mixed")
-    rows = rows.join(mixed, ["slot", "part"]).join(wide, "doc_id", "left")
+    rows = rows.join(mixed, ["slot", "part"])
+    rows = rows.join(wide, "doc_id", "left") if wide is not None else rows.withColumn("wide", F.lit(None).cast("binary"))
     whole = rows.where(F.col("n") <= hot).withColumns({"block": F.lit(0).cast("long"), "side": F.lit(0)})
     # sets whose sizes are in the ratio are of one class or of neighbouring ones
     classed = rows.where(F.col("n") > hot).withColumn("class", F.floor(F.log("size") / F.lit(math.log(1.01 / similarity))).cast("int"))
@@ -313,7 +314,7 @@ def near_groups(docs: DataFrame, width: int = WIDTH, similarity: float = SIMILAR
         rows = stored(least.agg(F.min(F.struct("doc_id", "print", "size", "parity")).alias("s")).select("slot", "part", "root", "s.*"), "near-least")
         buckets = stored(rows.groupBy("slot", "part").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("leader")).where("n > 1"), "near-buckets")
     wide = alone.where("wide is not null").select("doc_id", "wide")
-    more = _similar(docs, _candidates(_blocked(rooted, wide, hot, similarity), radius, similarity, True), width, similarity)
+    more = _similar(docs, _candidates(_blocked(rooted, None if wide.isEmpty() else wide, hot, similarity), radius, similarity, True), width, similarity)
     return components(links.unionByName(stored(more, "near-links")).unionByName(equal))
 
 
