@@ -21,21 +21,24 @@ gives no rows; extra columns are ignored.
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, crc32_of_id, stored, table, texts_as_bytes
+from .common import crc32_of_id, stored, table
 
 CLASSES, CLUSTERED, LEAST, HEAD, SWEEPS = 48, 1024, 2, 196_608, 3
 PULL = 2.0  # weight of class frequencies in transitions
 # fixed values: letters that tell written forms apart
-FORM_MARKS = ("äöüß", "éèêçàâîôûùœ", "ñóíáú¿¡")
+FORM_MARKS = tuple(map(frozenset, ("äöüß", "éèêçàâîôûùœ", "ñóíáú¿¡")))
 FORMS = 9
+BLOCK = 1 << 24  # bytes of text that are cut into tokens at once
+DEALT = 1 << 20  # training tokens whose words' contexts meet in one task
+CELL = 10  # low bits of a packed cell hold its context, the others its count
 
 
 def form_of(word: bytes) -> int:
@@ -43,7 +46,7 @@ def form_of(word: bytes) -> int:
     text = word.decode("utf-8", "replace")
     if not text.isascii():
         for k, marks in enumerate(FORM_MARKS):
-            if any(ch in marks for ch in text):
+            if not marks.isdisjoint(text):
                 return k
         return 3
     if any(ch.isdigit() for ch in text):
@@ -53,30 +56,92 @@ def form_of(word: bytes) -> int:
     return 6 if text[-1] == "." else 7 if text[-1] == "," else 8
 
 
-def tokens(text: bytes | None) -> list[bytes]:
-    return text.lower().split() if text else []
+def _binary(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Bytes of a binary column without nulls, one value after another, and the values' edges there."""
+    column = column.cast(pa.binary())
+    _, edge, data = column.buffers()
+    edge = np.frombuffer(edge, np.int32)[column.offset : column.offset + len(column) + 1] if len(column) else np.zeros(1, np.int32)
+    data = np.frombuffer(data, np.uint8)[edge[0] : edge[-1]] if data is not None else np.zeros(0, np.uint8)
+    return data, edge - edge[0]
+
+
+def _packed(data: np.ndarray, edge: np.ndarray) -> pa.Array:
+    """Binary column whose values are the items of ``data`` between two edges."""
+    edge = (edge * data.itemsize).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(edge) - 1, [None, pa.py_buffer(edge), pa.py_buffer(np.ascontiguousarray(data))])
+
+
+_PAIRS = np.zeros(1 << 16, np.uint8)  # two bytes of a marked letter: 1 + its group
+for _k, _marks in enumerate(FORM_MARKS):
+    _PAIRS[[int.from_bytes(ch.encode(), "big") for ch in _marks]] = 1 + _k
+
+
+def forms(words: pa.Array) -> np.ndarray:
+    """``form_of`` each word of a binary column."""
+    data, edge = _binary(words)
+    out = np.full(len(words), 5)
+
+    def holding(found: np.ndarray) -> np.ndarray:
+        upto = np.concatenate([[0], np.cumsum(found)])
+        return upto[edge[1:]] > upto[edge[:-1]]
+
+    some = np.flatnonzero(np.diff(edge))
+    first, last = data[edge[some]] | 32, data[edge[some + 1] - 1]
+    out[some] = np.where((first < ord("a")) | (first > ord("z")), 5, np.where(last == ord("."), 6, np.where(last == ord(","), 7, 8)))
+    out[holding((data >= ord("0")) & (data <= ord("9")))] = 4
+    out[holding(data >= 128)] = len(FORM_MARKS)
+    pair = np.zeros(len(data), np.int64)  # a marked letter takes two bytes of UTF-8
+    pair[:-1] = data[:-1].astype(np.int64) << 8 | data[1:]
+    pair[edge[some + 1] - 1] = 0  # last bytes begin no letter
+    group = _PAIRS[pair]
+    for k in reversed(range(len(FORM_MARKS))):
+        out[holding(group == k + 1)] = k
+    return out
+
+
+def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches joined until they hold ``BLOCK`` bytes."""
+    held, size = [], 0
+    for batch in batches:
+        held.append(batch)
+        size += batch.nbytes
+        if size >= BLOCK:
+            yield pa.concat_batches(held)
+            held, size = [], 0
+    if held:
+        yield pa.concat_batches(held)
+
+
+def cut(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.Array]:
+    """Lower-cased tokens of a string column: their numbers among the distinct words, the texts' edges there, these words."""
+    parts = pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(texts, "")))
+    coded = parts.flatten().dictionary_encode()
+    at, edge = coded.indices.to_numpy(), parts.offsets.to_numpy()
+    edge = edge - edge[0]
+    empty = pc.index(coded.dictionary, "").as_py()
+    if empty >= 0:  # beside space at a text's ends
+        kept = at != empty
+        at, edge = at[kept], np.concatenate([[0], np.cumsum(kept)])[edge]
+    return at, edge, coded.dictionary.cast(pa.binary())
+
+
+def places(words: pa.Array, among: pa.Array) -> np.ndarray:
+    """Place of each word in another column, -1 where it is missing."""
+    return pc.fill_null(pc.index_in(words, value_set=among), -1).to_numpy(zero_copy_only=False).astype(np.int64)
 
 
 def word_counts(texts: DataFrame) -> DataFrame:
     """word binary, c long over all texts of a one-column frame; an end token per text under the empty word."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: Counter = Counter()
-
-        def flush():
-            names = list(held)
-            for a in range(0, len(names), 50_000):
-                part = names[a : a + 50_000]
-                yield pa.RecordBatch.from_arrays([pa.array(part, pa.binary()), pa.array([held[w] for w in part], pa.int64())], names=["word", "c"])
-            held.clear()
-
-        for batch in batches:
-            for text in texts_as_bytes(batch.column(0)):
-                held.update(tokens(text))
-                held[b""] += 1
-            if len(held) > 400_000:
-                yield from flush()
-        yield from flush()
+        for block in blocks(batches):
+            at, edge, words = cut(block.column(0))
+            n = np.bincount(at, minlength=len(words))
+            there = np.flatnonzero(n)
+            for a in range(0, len(there), 50_000):
+                part = there[a : a + 50_000]
+                yield pa.RecordBatch.from_arrays([words.take(pa.array(part)), pa.array(n[part])], names=["word", "c"])
+            yield pa.RecordBatch.from_arrays([pa.array([b""], pa.binary()), pa.array([len(edge) - 1], pa.int64())], names=["word", "c"])
 
     return texts.mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
@@ -134,111 +199,127 @@ def seed_pairs(texts: DataFrame, ids: dict[bytes, int]) -> np.ndarray:
     """Square matrix of neighbouring seed words; other words and pairs with them are left out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = shared.value
-        held, codes = Counter(), []
-
-        def settle():
-            if codes:
-                pairs, n = np.unique(np.concatenate(codes), return_counts=True)
-                held.update(dict(zip(pairs.tolist(), n.tolist(), strict=True)))
-                codes.clear()
-
-        size = 0
-        for batch in batches:
-            for text in texts_as_bytes(batch.column(0)):
-                seq = np.fromiter((known.get(w, -1) for w in [b"", *tokens(text), b""]), np.int64)
-                a, b = seq[:-1], seq[1:]
-                fine = (a >= 0) & (b >= 0)
-                codes.append(a[fine] * width + b[fine])
-                size += len(seq)
-                if size > 2_000_000:
-                    settle()
-                    size = 0
-        settle()
-        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int64()), pa.array(list(held.values()), pa.int64())], names=["pair", "n"])
+        names = pa.array(shared.value, pa.binary())
+        held = np.zeros(width * width, np.int64)
+        for block in blocks(batches):
+            at, edge, words = cut(block.column(0))
+            seq = np.insert(places(words, names)[at], edge, 0)
+            a, b = seq[:-1], seq[1:]
+            fine = (a >= 0) & (b >= 0)
+            held += np.bincount(a[fine] * width + b[fine], minlength=len(held))
+        pair = np.flatnonzero(held)
+        yield pa.RecordBatch.from_arrays([pa.array(pair), pa.array(held[pair])], names=["pair", "n"])
 
     width = len(ids)
-    shared = texts.sparkSession.sparkContext.broadcast(ids)
+    shared = texts.sparkSession.sparkContext.broadcast(list(ids))
     got = texts.mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()  # at most width^2 rows
     out = np.zeros(width * width)
     out[got.column("pair").to_numpy()] = got.column("n").to_numpy()
     return out.reshape(width, width)
 
 
-def contexts(texts: DataFrame, seeds: dict[bytes, int], classes: int) -> DataFrame:
-    """word, c, x: how often each word stands after (ctx) and before (classes + FORMS + ctx) a class of seeds or forms."""
+def contexts(texts: DataFrame, seeds: dict[bytes, int], classes: int, least: int, n_tokens: int) -> DataFrame:
+    """How often each word stands after (ctx) and before (classes + FORMS + ctx) a class of seeds or forms.
+
+    A row holds up to 4,096 words: the words' bytes and lengths, their counts, how many cells each has, and the cells;
+    words seen less than ``least`` times are in rows of their own, without cells."""
     width = classes + FORMS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seed_class = shared.value
-        ids: dict[bytes, int] = {}
-        names: list[bytes] = []
-        near: list[int] = []  # context class of each local id
-
-        def number(w: bytes) -> int:
-            got = ids.get(w)
-            if got is None:
-                got = ids[w] = len(names)
-                names.append(w)
-                near.append(seed_class[w] if w in seed_class else classes + form_of(w))
-            return got
-
-        def settle(parts):
-            seq = np.concatenate([*parts, np.zeros(1, np.int64)])
-            of = np.array(near, np.int64)[seq]
-            at = np.flatnonzero(seq)
-            code = np.concatenate([seq[at] * 2 * width + of[at - 1], seq[at] * 2 * width + width + of[at + 1]])
+        names, seed_class = pa.array(list(shared.value), pa.binary()), np.array([*shared.value.values(), -1])
+        for block in blocks(batches):
+            at, edge, words = cut(block.column(0))
+            near = seed_class[places(words, names)]
+            near = np.append(np.where(near >= 0, near, classes + forms(words)), shared.value[b""])
+            whole = np.int32 if len(near) * 2 * width < 1 << 31 else np.int64
+            seq = np.insert(at.astype(whole), edge, len(words))
+            of = near.astype(whole)[seq]
+            spot = np.flatnonzero(seq < len(words))
+            code = np.concatenate([seq[spot] * (2 * width) + of[spot - 1], seq[spot] * (2 * width) + width + of[spot + 1]])
             code, n = np.unique(code, return_counts=True)
-            word, first = np.unique(code // (2 * width), return_index=True)
+            word, cell = code // (2 * width), code % (2 * width) + (n.astype(np.int64) << CELL)
+            first = np.flatnonzero(np.diff(word, prepend=-1))
             edge = np.append(first, len(code))
-            held = pa.array(names, pa.binary())
-            for a in range(0, len(word), 10_000):
-                b = min(a + 10_000, len(word))
-                part = slice(edge[a], edge[b])
-                x = pa.StructArray.from_arrays([pa.array(code[part] % (2 * width), pa.int32()), pa.array(n[part], pa.int64())], names=["ctx", "n"])
-                yield pa.RecordBatch.from_arrays([held.take(pa.array(word[a:b])), pa.ListArray.from_arrays(pa.array(edge[a : b + 1] - edge[a], pa.int32()), x)], names=["word", "x"])
-
-        number(b"")
-        parts, size = [], 0
-        for batch in batches:
-            for text in texts_as_bytes(batch.column(0)):
-                words = tokens(text)
-                parts.append(np.fromiter((number(w) for w in [b"", *words]), np.int64, len(words) + 1))
-                size += len(words) + 1
-                if size > 2_000_000:
-                    yield from settle(parts)
-                    parts, size = [], 0
-                    if len(names) > 300_000:
-                        ids.clear(), names.clear(), near.clear()
-                        number(b"")
-        if parts:
-            yield from settle(parts)
-
-    shared = texts.sparkSession.sparkContext.broadcast(seeds)
-    # a task adds one row of at most 2 * width cells for a word between two settlements, so no word makes a heavy key
-    dealt = texts.mapInArrow(run, "word binary, x array<struct<ctx:int,n:long>>").repartition("word")
-    flat = dealt.select("word", F.inline("x")).groupBy("word", "ctx").agg(F.sum("n").alias("n"))
-    return flat.groupBy("word").agg(F.sum(F.when(F.col("ctx") < width, F.col("n")).otherwise(0)).alias("c"), F.collect_list(F.struct("ctx", "n")).alias("x"))
+            for a in range(0, len(first), 10_000):
+                b = min(a + 10_000, len(first))
+                yield pa.RecordBatch.from_arrays([words.take(pa.array(word[first[a:b]])), _packed(cell[edge[a] : edge[b]], edge[a : b + 1] - edge[a])], names=["word", "x"])
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = [batch for batch in batches if batch.num_rows]
+        if not rows:
+            return
+        rows = pa.concat_batches(rows)
+        coded = rows.column(0).dictionary_encode()
+        data, edge = _binary(rows.column(1))
+        cell = data.view(np.int64)
+        key = (np.repeat(coded.indices.to_numpy().astype(np.int64), np.diff(edge) // 8) << CELL) + (cell & mask)
+        order = np.argsort(key)
+        key, n = key[order], cell[order] >> CELL
+        first = np.flatnonzero(np.diff(key, prepend=-1))
+        key, n = key[first], np.add.reduceat(n, first)
+        starts = np.flatnonzero(np.diff(key >> CELL, prepend=-1))  # every word has cells
+        c = np.add.reduceat(np.where(key & mask < width, n, 0), starts)
+        size = np.diff(starts, append=len(key))
+        cell = (key & mask) + (n << CELL)
+        for often in (True, False):
+            of = np.flatnonzero((c >= least) == often)
+            of = of[np.argsort(-size[of], kind="stable")]  # alike words side by side, see Step.sums
+            for a in range(0, len(of), 4096):
+                part = of[a : a + 4096]
+                data, edge = _binary(coded.dictionary.take(pa.array(part)))
+                cells = np.zeros(0, np.int64)
+                if often:
+                    upto = np.cumsum(size[part])
+                    cells = cell[np.arange(upto[-1]) + np.repeat(starts[part] - upto + size[part], size[part])]
+                held = [data, np.diff(edge).astype(np.int32), c[part], size[part].astype(np.int32), cells]
+                yield pa.RecordBatch.from_arrays([*(pa.array([x.tobytes()], pa.binary()) for x in held), pa.array([often])], names=["words", "lengths", "c", "size", "x", "often"])
+
+    mask = (1 << CELL) - 1
+    spark = texts.sparkSession
+    shared = spark.sparkContext.broadcast(seeds)
+    # a task adds one row of at most 2 * width cells for a word and block of text, so no word makes a heavy key
+    parts = max(spark.sparkContext.defaultParallelism, -(-n_tokens // DEALT))
+    dealt = texts.mapInArrow(run, "word binary, x binary").repartition(parts, "word")
+    return dealt.mapInArrow(merge, "words binary, lengths binary, c binary, size binary, x binary, often boolean")
+
+
+def unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Array, np.ndarray, np.ndarray, np.ndarray]]:
+    """(words, counts, cells of each word, cells) of each row that ``contexts`` made."""
+    for batch in batches:
+        for words, lengths, c, size, x in zip(*(column.to_pylist() for column in batch.columns[:5]), strict=True):
+            edge = np.concatenate([[0], np.cumsum(np.frombuffer(lengths, np.int32))])
+            yield _packed(np.frombuffer(words, np.uint8), edge), np.frombuffer(c, np.int64), np.frombuffer(size, np.int32), np.frombuffer(x, np.int64)
 
 
 class Step:
     """Counts of the classes beside each context at the start of a sweep, with the gains of small counts worked out."""
 
-    SMALL = 8
+    SMALL, SHORT = 32, 12
 
     def __init__(self, held: np.ndarray):
         self.held = held
         self.total = held[:, : held.shape[1] // 2].sum(axis=1)
         up = np.arange(1, self.SMALL + 1)[:, None, None]
-        self.quick = _xlogx(held.T + up) - _xlogx(held.T)  # count - 1, context, class
+        self.before, self.total_before = _xlogx(held.T), _xlogx(self.total)
+        self.quick = _xlogx(held.T + up) - self.before  # count - 1, context, class
 
     def gains(self, ctx: np.ndarray, n: np.ndarray) -> np.ndarray:
         """(entries, classes) growth of the likelihood's sum over cells."""
         out = self.quick[np.minimum(n, self.SMALL).astype(np.int64) - 1, ctx]
         big = np.flatnonzero(n > self.SMALL)
         if len(big):
-            cells = self.held.T[ctx[big]]
-            out[big] = _xlogx(cells + n[big, None]) - _xlogx(cells)
+            out[big] = _xlogx(self.held.T[ctx[big]] + n[big, None]) - self.before[ctx[big]]
+        return out
+
+    def sums(self, ctx: np.ndarray, n: np.ndarray, starts: np.ndarray) -> np.ndarray:
+        """(words, classes) gains of each word's entries, added from the first to the last."""
+        size = np.diff(starts, append=len(ctx))
+        if size[0] > self.SHORT or (np.diff(size) > 0).any():
+            return np.add.reduceat(self.gains(ctx, n), starts, axis=0)
+        out = self.gains(ctx[starts], n[starts])
+        for k in range(1, size[0]):  # words with fewer entries come last
+            at = starts[: np.count_nonzero(size > k)] + k
+            out[: len(at)] += self.gains(ctx[at], n[at])
         return out
 
 
@@ -249,34 +330,32 @@ def moved(ctx: np.ndarray, n: np.ndarray, starts: np.ndarray, c: np.ndarray, now
     where it is.
     """
     held, total = step.held, step.total
-    gain = np.add.reduceat(step.gains(ctx, n), starts, axis=0)
-    gain -= 2 * (_xlogx(total + c[:, None]) - _xlogx(total))
+    gain = step.sums(ctx, n, starts)
+    counts, of = np.unique(c, return_inverse=True)
+    gain -= (2 * (_xlogx(total + counts[:, None]) - step.total_before))[of]
     inside = np.flatnonzero(now >= 0)
     if len(inside):
-        word = np.repeat(np.arange(len(c)), np.diff([*starts, len(ctx)]))
+        word = np.repeat(np.arange(len(c)), np.diff(starts, append=len(ctx)))
         own = held[now[word], ctx]
-        kept = np.add.reduceat(_xlogx(own) - _xlogx(own - n), starts) - 2 * (_xlogx(total[now]) - _xlogx(total[now] - c))
+        kept = np.add.reduceat(step.before[ctx, now[word]] - _xlogx(own - n), starts) - 2 * (step.total_before[now] - _xlogx(total[now] - c))
         gain[inside, now[inside]] = kept[inside] + 1e-9
     gain[:, 0] = -np.inf  # the text boundary stays alone
     return gain.argmax(axis=1)
 
 
-def assign(batch: pa.RecordBatch, steps: list[Step], seeds: dict[bytes, int]):
-    """(class or -1 of each word of a batch, contexts and counts of its cells, class of each cell) after ``steps`` in order."""
-    c = batch.column(1).to_numpy()
-    x = batch.column(2)
-    edge = x.offsets.to_numpy() - x.offsets[0].as_py()
-    flat = x.flatten()
-    ctx, n = flat.field(0).to_numpy().astype(np.int64), flat.field(1).to_numpy().astype(float)
-    now = np.fromiter((seeds.get(w, -1) for w in batch.column(0).to_pylist()), np.int64, len(c))
-    for a in range(0, len(c), 4096):
-        b = min(a + 4096, len(c))
+def assign(words: pa.Array, c: np.ndarray, size: np.ndarray, x: np.ndarray, steps: list[Step], names: pa.Array, seed_class: np.ndarray):
+    """(class or -1 of each word, contexts and counts of their cells, class of each cell) after ``steps`` in order."""
+    edge = np.concatenate([[0], np.cumsum(size)])
+    ctx, n = x & ((1 << CELL) - 1), (x >> CELL).astype(float)
+    now = np.append(seed_class, -1)[places(words, names)]
+    for a in range(0, len(c), 1024):
+        b = min(a + 1024, len(c))
         part, fixed = slice(edge[a], edge[b]), now[a:b] >= 0
         block = np.full(b - a, -1)
         for step in steps:
             block = moved(ctx[part], n[part], edge[a:b] - edge[a], c[a:b], block, step)
         now[a:b] = np.where(fixed, now[a:b], block)
-    return now, ctx, n, np.repeat(now, np.diff(edge))
+    return now, ctx, n, np.repeat(now, size)
 
 
 def likelihood(held: np.ndarray) -> float:
@@ -303,7 +382,7 @@ class ClassModel:
         ids = {b"": 0} | {w: k for k, w in enumerate(top, 1)}
         of = exchange_clusters(seed_pairs(texts, ids), classes)
         seeds = {w: int(of[k]) for w, k in ids.items()}
-        self._spread(stored(contexts(texts, seeds, classes), "lm-contexts"), seeds, sweeps)
+        self._spread(stored(contexts(texts, seeds, classes, least, self.n), "lm-contexts"), seeds, sweeps)
         self._emissions(head)
         self.coded = self.encode(docs, learn)
         self._transitions()
@@ -312,17 +391,17 @@ class ClassModel:
         """Exchange of all words beyond the seeds.  A step is a function of a word's contexts and the small matrices of
         the steps before it, so each pass repeats the steps so far and nothing is stored between passes."""
         classes, width = self.classes, self.classes + FORMS
-        often, rare = found.where(F.col("c") >= self.least), found.where(F.col("c") < self.least)
+        often, rare = found.where("often"), found.where("not often")
+        listed, seed_class = list(seeds), np.array(list(seeds.values()))
 
         def summed(history: list[np.ndarray]) -> np.ndarray:
             def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-                steps = [Step(h) for h in history]
+                steps, names = [Step(h) for h in history], pa.array(listed, pa.binary())
                 held = np.zeros(classes * 2 * width)
-                for batch in batches:
-                    if batch.num_rows:
-                        _, ctx, n, k = assign(batch, steps, seeds)
-                        fine = k >= 0
-                        held += np.bincount(k[fine] * 2 * width + ctx[fine], weights=n[fine], minlength=len(held))
+                for row in unpacked(batches):
+                    _, ctx, n, k = assign(*row, steps, names, seed_class)
+                    fine = k >= 0
+                    held += np.bincount(k[fine] * 2 * width + ctx[fine], weights=n[fine], minlength=len(held))
                 at = np.flatnonzero(held)
                 yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(held[at].astype(np.int64))], names=["cell", "n"])
 
@@ -343,22 +422,20 @@ class ClassModel:
             history.pop()  # the last step did not help
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            steps = [Step(h) for h in history]
-            for batch in batches:
-                if batch.num_rows:
-                    now = assign(batch, steps, seeds)[0]
-                    yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(now, pa.int32()), formed(batch)], names=["word", "c", "k", "form"])
+            steps, names = [Step(h) for h in history], pa.array(listed, pa.binary())
+            for row in unpacked(batches):
+                yield formed(row[0], row[1], assign(*row, steps, names, seed_class)[0])
 
         def plain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                form = formed(batch)
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(form.to_numpy() + classes, pa.int32()), form], names=["word", "c", "k", "form"])
+            for words, c, _, _ in unpacked(batches):
+                yield formed(words, c, None)
 
-        def formed(batch: pa.RecordBatch) -> pa.Array:
-            return pa.array([form_of(w) for w in batch.column(0).to_pylist()], pa.int32())
+        def formed(words: pa.Array, c: np.ndarray, k: np.ndarray | None) -> pa.RecordBatch:
+            form = forms(words)
+            return pa.RecordBatch.from_arrays([words, pa.array(c), pa.array(form + classes if k is None else k, pa.int32()), pa.array(form, pa.int32())], names=["word", "c", "k", "form"])
 
         shape = "word binary, c long, k int, form int"
-        self.words = stored(often.mapInArrow(run, shape).unionByName(rare.select("word", "c").mapInArrow(plain, shape)), "lm-classes")
+        self.words = stored(often.mapInArrow(run, shape).unionByName(rare.mapInArrow(plain, shape)), "lm-classes")
 
     def _emissions(self, head: int) -> None:
         """Tokens of each class, discounts of the form classes, and the head words that are broadcast.
@@ -396,7 +473,7 @@ class ClassModel:
 
     def encode(self, docs: DataFrame, learn: Column | None = None) -> DataFrame:
         """doc_id, learn, n_tokens, n_known, base_score, own (emissions), seq: a byte for the class of each token but the end."""
-        shared = self.spark.sparkContext.broadcast((self.head, *self.head_facts))
+        shared = self.spark.sparkContext.broadcast((list(self.head), *self.head_facts))
         rare, ends, denominator = 255, self.ends, math.log10(self.n + self.v + 1)
         end = math.log10(ends + 1) - denominator
 
@@ -404,31 +481,27 @@ class ClassModel:
             from pyspark import TaskContext
 
             head, base, own, of = shared.value
-            forms = BoundedCache(form_of, 300_000)
+            head = pa.array(head, pa.binary())
             row = TaskContext.get().partitionId() << 40
-            for batch in batches:
-                out, edge = [], [0]
-                tail_words, tail_forms, tail_at = [], [], []
-                for text in texts_as_bytes(batch.column(2)):
-                    words = tokens(text)
-                    at = np.fromiter((head.get(w, -1) for w in words), np.int64, len(words))
-                    there = at >= 0
-                    met = at[there]
-                    seq = np.full(len(words), rare, np.uint8)
-                    seq[there] = of[met]
-                    places = np.flatnonzero(~there)
-                    rest = [words[i] for i in places.tolist()]
-                    tail_words += rest
-                    tail_forms += [forms[w] for w in rest]
-                    tail_at.append(places)
-                    edge.append(len(tail_words))
-                    row += 1
-                    out.append((row, len(words) + 1, len(met) + (ends > 0), float(base[met].sum()) + end, float(own[met].sum()), seq.tobytes()))
-                types = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary())
-                cols = list(zip(*out, strict=True)) if out else [[]] * len(types)
-                places = np.concatenate(tail_at) if tail_at else np.zeros(0, np.int64)
-                tails = pa.StructArray.from_arrays([pa.array(tail_words, pa.binary()), pa.array(tail_forms, pa.int32()), pa.array(places, pa.int32())], names=["word", "form", "place"])
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, t) for c, t in zip(cols, types, strict=True)), pa.ListArray.from_arrays(pa.array(edge, pa.int32()), tails)], names=["doc_id", "learn", "row", "n_tokens", "n_known", "base_score", "own", "seq", "rest"])
+            for block in blocks(batches):
+                at, edge, words = cut(block.column(2))
+                at = at.astype(np.int64)
+                found, form = places(words, head), forms(words)
+                texts, met = len(edge) - 1, found[at]
+                there = met >= 0
+                text = np.repeat(np.arange(texts), np.diff(edge))
+                seq = np.full(len(at), rare, np.uint8)
+                seq[there] = of[met[there]]
+                known = np.bincount(text[there], minlength=texts) + (ends > 0)
+                base_score = np.bincount(text[there], weights=base[met[there]], minlength=texts) + end
+                emitted = np.bincount(text[there], weights=own[met[there]], minlength=texts)
+                rest = np.flatnonzero(~there)
+                tails = pa.StructArray.from_arrays([words.take(pa.array(at[rest])), pa.array(form[at[rest]], pa.int32()), pa.array(rest - edge[text[rest]], pa.int32())], names=["word", "form", "place"])
+                cols = [np.arange(row + 1, row + texts + 1), np.diff(edge) + 1, known, base_score, emitted]
+                types = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64())
+                row += texts
+                lists = pa.ListArray.from_arrays(pa.array(np.searchsorted(rest, edge), pa.int32()), tails)
+                yield pa.RecordBatch.from_arrays([block.column(0), block.column(1), *(pa.array(c, t) for c, t in zip(cols, types, strict=True)), _packed(seq, edge), lists], names=["doc_id", "learn", "row", "n_tokens", "n_known", "base_score", "own", "seq", "rest"])
 
         shape = "doc_id long, learn boolean, row long, n_tokens long, n_known long, base_score double, own double, seq binary, rest array<struct<word:binary,form:int,place:int>>"
         rows = docs.select(F.col("doc_id").cast("long"), (F.lit(False) if learn is None else learn).alias("learn"), F.col("text").cast("string"))
@@ -446,14 +519,11 @@ class ClassModel:
 
         def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                seqs, tails = batch.column(6).to_pylist(), batch.column(7)
-                starts = np.cumsum([0, *map(len, seqs)])
-                held = np.frombuffer(b"".join(seqs), np.uint8).copy()
+                held, edge = _binary(batch.column(6))
+                held, tails = held.copy(), batch.column(7)
                 flat = tails.flatten()
-                held[np.repeat(starts[:-1], np.diff(tails.offsets.to_numpy())) + flat.field(0).to_numpy()] = flat.field(1).to_numpy()
-                whole = held.tobytes()
-                out = [whole[a:b] for a, b in zip(starts[:-1].tolist(), starts[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(out, pa.binary())], names=batch.schema.names[:7])
+                held[np.repeat(edge[:-1], np.diff(tails.offsets.to_numpy())) + flat.field(0).to_numpy()] = flat.field(1).to_numpy()
+                yield pa.RecordBatch.from_arrays([*batch.columns[:6], _packed(held, edge)], names=batch.schema.names[:7])
 
         return stored(both.mapInArrow(fill, "doc_id long, learn boolean, n_tokens long, n_known long, base_score double, own double, seq binary"), "lm-sequences")
 
@@ -463,9 +533,8 @@ class ClassModel:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             seen = np.zeros(size * size, np.int64)
             for batch in batches:
-                for seq in batch.column(0).to_pylist():
-                    code = _bounded(seq)
-                    seen += np.bincount(code[:-1] * size + code[1:], minlength=size * size)
+                code, _ = _bounded(batch.column(0))
+                seen += np.bincount(code[:-1] * size + code[1:], minlength=size * size)
             at = np.flatnonzero(seen)
             yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(seen[at])], names=["pair", "n"])
 
@@ -483,11 +552,8 @@ class ClassModel:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                sums = []
-                for seq in batch.column(5).to_pylist():
-                    code = _bounded(seq)
-                    sums.append(float(step[code[:-1], code[1:]].sum()))
-                score = np.array(sums, float) + batch.column(4).to_numpy()
+                code, text = _bounded(batch.column(5))
+                score = np.bincount(text, weights=step[code[:-1], code[1:]], minlength=batch.num_rows) + batch.column(4).to_numpy()
                 yield pa.RecordBatch.from_arrays([*batch.columns[:4], pa.array(score, pa.float64())], names=["doc_id", "n_tokens", "n_known", "base_score", "score"])
 
         coded = self.coded if docs is None else self.encode(docs)
@@ -495,9 +561,10 @@ class ClassModel:
         return rows.mapInArrow(run, "doc_id long, n_tokens long, n_known long, base_score double, score double")
 
 
-def _bounded(seq: bytes) -> np.ndarray:
-    """Classes of a text's tokens between its boundaries (class 0)."""
-    return np.frombuffer(b"\0" + seq + b"\0", np.uint8).astype(np.int64)
+def _bounded(seqs: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Classes of the tokens of all texts with a boundary (class 0) before, between and after them; text of each pair there."""
+    data, edge = _binary(seqs)
+    return np.insert(data, edge, 0).astype(np.int64), np.repeat(np.arange(len(seqs)), np.diff(edge) + 1)
 
 
 def held_out() -> Column:

@@ -3,9 +3,11 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 
-from querygrade.llm.class_lm import ClassModel, Step, exchange_clusters, likelihood, moved, op6_class_lm
+from querygrade.llm.class_lm import FORMS, ClassModel, Step, blocks, contexts, cut, exchange_clusters, form_of, forms, likelihood, moved, op6_class_lm, unpacked
 
 
 def brute(rows):
@@ -91,3 +93,66 @@ def test_step_gains_match_the_likelihood():
         more[k, ctx] += n
         best.append(likelihood(more))
     assert moved(ctx, n, starts, c, np.array([-1]), Step(held))[0] == 1 + int(np.argmax(best))
+
+
+def test_cut_and_forms_match_plain_code():
+    rng = np.random.default_rng(6)
+    letters = ["a", "Z", ".", ",", "7", "+", "ä", "Ä", "œ", "é", "ñ", "¿", "я", "日", " ", "  ", "\t", "\n", "\x0b", "\x0c", "\r", "\x85", "\u00a0", "\u2003"]
+    texts = ["".join(rng.choice(letters, rng.integers(0, 40))) for _ in range(3000)] + [None, "", " ", "\n\n", " a", "a ", "a"]
+    for column in (pa.array(texts), pa.array(["x y", *texts]).slice(1), pa.array(texts, pa.large_string())):
+        at, edge, words = cut(column)
+        words = words.to_pylist()
+        got = [[words[k] for k in at[a:b]] for a, b in zip(edge[:-1], edge[1:], strict=True)]
+        assert got == [(t or "").encode().lower().split() for t in texts]
+    broken = [bytes(rng.choice([0xC3, 0xA4, 0xA9, 0xC2, 0xBF, 0x61, 0x2E, 0x35], rng.integers(0, 5)).astype(np.uint8)) for _ in range(3000)]
+    every = [*words, *broken, b"", b".", b"A,", b"[", b"{"]
+    assert forms(pa.array(every, pa.binary())).tolist() == [form_of(w) for w in every]
+    assert len(forms(pa.array([], pa.binary()))) == 0
+    assert [len(cut(pa.array(t, pa.string()))[0]) for t in ([], [None], [" "])] == [0, 0, 0]
+
+
+def test_blocks_keep_every_row(monkeypatch):
+    monkeypatch.setattr("querygrade.llm.class_lm.BLOCK", 100)
+    batches = [pa.record_batch([pa.array([f"{k} {j}" for j in range(k)], pa.string())], names=["text"]) for k in range(30)]
+    got = list(blocks(iter(batches)))
+    assert [t for b in got for t in b.column(0).to_pylist()] == [t for b in batches for t in b.column(0).to_pylist()] and 1 < len(got) < 30
+
+
+def test_contexts_meet_in_packed_rows(spark):
+    """Cells by brute force; they travel packed, so the plan explodes and aggregates none and stores rows of many words."""
+    rng = np.random.default_rng(7)
+    pool = [f"w{k}" for k in range(400)] + ["é", "x.", "7"]
+    texts = [" ".join(rng.choice(pool, rng.integers(0, 60))) for _ in range(200)] + [None, "", "once"]
+    seeds, classes = {b"": 0, b"w0": 1, b"w1": 2}, 3
+    width, want = classes + FORMS, {}
+    for text in texts:
+        words = (text or "").encode().split()
+        near = [0, *(seeds.get(w, classes + form_of(w)) for w in words), 0]
+        for k, w in enumerate(words):
+            cells = want.setdefault(w, Counter())
+            cells[near[k]] += 1
+            cells[width + near[k + 2]] += 1
+    docs = spark.createDataFrame([(t,) for t in texts], "text string").repartition(5)
+    found = contexts(docs, seeds, classes, 2, 5 << 20)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "Generate" not in plan and "Aggregate" not in plan
+    rows = found.toArrow()
+    assert rows.num_rows < len(want) / 4
+    got = {}
+    for often, part in ((o, rows.filter(pc.equal(rows.column("often"), o))) for o in (True, False)):
+        for words, c, size, x in unpacked(part.to_batches()):
+            edge = np.cumsum([0, *size])
+            for k, w in enumerate(words.to_pylist()):
+                assert w not in got and (c[k] >= 2) == often
+                got[w] = (int(c[k]), {int(v) & 1023: int(v) >> 10 for v in x[edge[k] : edge[k + 1]]})
+    assert got == {w: (n, dict(cells) if n >= 2 else {}) for w, cells in want.items() for n in [sum(v for k, v in cells.items() if k < width)]}
+
+
+def test_sums_of_short_and_long_words_agree():
+    rng = np.random.default_rng(8)
+    step = Step(rng.poisson(30.0, (6, 40)).astype(float))
+    for size in (np.sort(rng.integers(1, 12, 50))[::-1], rng.integers(1, 12, 50), np.array([40, 3, 1])):
+        ctx = np.concatenate([rng.permutation(40)[:k] for k in size])
+        n = rng.integers(1, 60, len(ctx)).astype(float)
+        starts = np.cumsum(size) - size
+        np.testing.assert_allclose(step.sums(ctx, n, starts), np.add.reduceat(step.gains(ctx, n), starts, axis=0), rtol=1e-12)
