@@ -36,7 +36,7 @@ PULL = 2.0  # weight of class frequencies in transitions
 # fixed values: letters that tell written forms apart
 FORM_MARKS = tuple(map(frozenset, ("äöüß", "éèêçàâîôûùœ", "ñóíáú¿¡")))
 FORMS = 9
-BLOCK = 1 << 24  # bytes of text that are cut into tokens at once
+BLOCK = 1 << 22  # bytes of text that are cut into tokens at once
 DEALT = 1 << 20  # training tokens whose words' contexts meet in one task
 CELL = 10  # low bits of a packed cell hold its context, the others its count
 
@@ -82,7 +82,8 @@ def forms(words: pa.Array) -> np.ndarray:
     out = np.full(len(words), 5)
 
     def holding(found: np.ndarray) -> np.ndarray:
-        upto = np.concatenate([[0], np.cumsum(found)])
+        upto = np.zeros(len(found) + 1, np.int32)
+        np.cumsum(found, out=upto[1:])
         return upto[edge[1:]] > upto[edge[:-1]]
 
     some = np.flatnonzero(np.diff(edge))
@@ -90,8 +91,8 @@ def forms(words: pa.Array) -> np.ndarray:
     out[some] = np.where((first < ord("a")) | (first > ord("z")), 5, np.where(last == ord("."), 6, np.where(last == ord(","), 7, 8)))
     out[holding((data >= ord("0")) & (data <= ord("9")))] = 4
     out[holding(data >= 128)] = len(FORM_MARKS)
-    pair = np.zeros(len(data), np.int64)  # a marked letter takes two bytes of UTF-8
-    pair[:-1] = data[:-1].astype(np.int64) << 8 | data[1:]
+    pair = np.zeros(len(data), np.uint16)  # a marked letter takes two bytes of UTF-8
+    pair[:-1] = data[:-1].astype(np.uint16) << 8 | data[1:]
     pair[edge[some + 1] - 1] = 0  # last bytes begin no letter
     group = _PAIRS[pair]
     for k in reversed(range(len(FORM_MARKS))):
@@ -100,14 +101,17 @@ def forms(words: pa.Array) -> np.ndarray:
 
 
 def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Batches joined until they hold ``BLOCK`` bytes."""
+    """Batches joined until they hold ``BLOCK`` bytes; larger ones are parted between rows."""
     held, size = [], 0
     for batch in batches:
-        held.append(batch)
-        size += batch.nbytes
-        if size >= BLOCK:
-            yield pa.concat_batches(held)
-            held, size = [], 0
+        step = -(-batch.num_rows // max(1, round(batch.nbytes / BLOCK))) or 1
+        for part in (batch.slice(a, step) for a in range(0, max(1, batch.num_rows), step)):
+            if held and size + part.nbytes > 1.5 * BLOCK:
+                yield pa.concat_batches(held)
+                held, size = [], 0
+                pa.default_memory_pool().release_unused()
+            held.append(part)
+            size += part.nbytes
     if held:
         yield pa.concat_batches(held)
 
@@ -146,6 +150,18 @@ def word_counts(texts: DataFrame) -> DataFrame:
     return texts.mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
 
+def most_frequent(words: DataFrame, limit: int) -> DataFrame:
+    """The ``limit`` words of the highest counts (ties: by the word).  One task sorts them, so the words below the count
+    of the last are left out before; else each task would send it ``limit`` words."""
+    tally = words.groupBy(F.least("c", F.lit(1 << 16)).alias("c")).agg(F.count(F.lit(1)).alias("n")).collect()  # at most 65,536 rows
+    seen, last = 0, 0
+    for r in sorted(tally, reverse=True):
+        seen, last = seen + r.n, r.c
+        if seen >= limit:
+            break
+    return words.where(F.col("c") >= last).orderBy(F.desc("c"), "word").limit(limit)
+
+
 def _xlogx(x: np.ndarray) -> np.ndarray:
     return np.where(x > 0, x * np.log(np.maximum(x, 1)), 0.0)
 
@@ -458,7 +474,7 @@ class ClassModel:
         self.form_tokens = np.maximum(1, self.class_tokens[self.classes :])
         # log10 of the unknown word in each form class
         self.unknown = np.log10(np.where(types > 0, self.discount * types / self.form_tokens, 1.0))
-        listed = self.words.orderBy(F.desc("c"), "word").limit(head).select("word", "c", "k").toArrow()  # head rows
+        listed = most_frequent(self.words, head).select("word", "c", "k").toArrow()  # head rows
         c, k = listed.column("c").to_numpy().astype(float), listed.column("k").to_numpy()
         less = np.concatenate([np.zeros(self.classes), self.discount])
         self.head = {w: i for i, w in enumerate(listed.column("word").to_pylist())}

@@ -7,7 +7,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 import pytest
 
-from querygrade.llm.class_lm import FORMS, ClassModel, Step, blocks, contexts, cut, exchange_clusters, form_of, forms, likelihood, moved, op6_class_lm, unpacked
+from querygrade.llm.class_lm import FORMS, ClassModel, Step, blocks, contexts, cut, exchange_clusters, form_of, forms, likelihood, most_frequent, moved, op6_class_lm, unpacked
 
 
 def brute(rows):
@@ -112,10 +112,24 @@ def test_cut_and_forms_match_plain_code():
 
 
 def test_blocks_keep_every_row(monkeypatch):
-    monkeypatch.setattr("querygrade.llm.class_lm.BLOCK", 100)
+    monkeypatch.setattr("querygrade.llm.class_lm.BLOCK", 1000)
     batches = [pa.record_batch([pa.array([f"{k} {j}" for j in range(k)], pa.string())], names=["text"]) for k in range(30)]
     got = list(blocks(iter(batches)))
     assert [t for b in got for t in b.column(0).to_pylist()] == [t for b in batches for t in b.column(0).to_pylist()] and 1 < len(got) < 30
+    monkeypatch.setattr("querygrade.llm.class_lm.BLOCK", 100)
+    long = pa.record_batch([pa.array(["x" * 90, None, "", *["y" * 40] * 20])], names=["text"])
+    got = list(blocks(iter([long.slice(0, 0), long, long.slice(3, 1)])))
+    assert [t for b in got for t in b.column(0).to_pylist()] == [*long.column(0).to_pylist(), "y" * 40] and len(got) > 5
+
+
+def test_only_words_up_to_the_last_count_reach_the_sort(spark):
+    rows = [(f"w{k:03}".encode(), c) for k, c in enumerate([70_000, 90_000, 9, 9, 9, 5, 5, 1, 1, 1])]
+    words = spark.createDataFrame(rows, "word binary, c long").repartition(3)
+    for limit in range(1, 13):
+        found = most_frequent(words, limit)
+        assert [bytes(r.word) for r in found.collect()] == [w for w, _ in sorted(rows, key=lambda r: (-r[1], r[0]))][:limit]
+    plan = most_frequent(words, 4)._jdf.queryExecution().optimizedPlan().toString()
+    assert ">= 9)" in plan
 
 
 def test_contexts_meet_in_packed_rows(spark):
